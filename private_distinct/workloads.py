@@ -1,0 +1,9 @@
+"""Registered queries of the reference's methods and their SQL."""
+
+
+def queries() -> dict:
+    return {}
+
+
+def oracle_sql() -> dict:
+    return {}
