@@ -231,7 +231,7 @@ def _levels(counted: DataFrame, base: float) -> dict[tuple[int, int], tuple[int,
     return {(r[0], r[1]): (r[2], r[3]) for r in got.groupBy("ord", "level").agg(F.sum("n"), F.sum("total")).collect()}
 
 
-def score(docs: DataFrame, train: str, key: str = "doc_id", text: str = "text", order: int = 2, base: float = 2.0, mu: float = 200.0, filter_bytes: int = 64 << 20, probes: int = 3, broadcast_words: int = 1 << 20) -> DataFrame:
+def score(docs: DataFrame, train: str, key: str = "doc_id", text: str = "text", order: int = 2, base: float = 1.3, mu: float = 1000.0, filter_bytes: int = 64 << 20, probes: int = 3, broadcast_words: int = 1 << 20) -> DataFrame:
     """Scores of all rows by a model of the rows where the SQL condition ``train`` holds.
 
     Returns key, trained (boolean), n_tokens, n_known, train_tokens, base_score and score.
