@@ -38,6 +38,18 @@ def op1_recurrent_toxicity(spark, sf_dir):
     return out.select("doc_id", held.alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
 
 
+def op2_vantage_point_search(spark, sf_dir):
+    from . import vptree
+
+    return vptree.nearest(spark.read.parquet(f"{sf_dir}/embeddings.parquet"), F.col("vec_id") % 20 == 0)
+
+
+def op4_nn_descent(spark, sf_dir):
+    from . import nndescent
+
+    return nndescent.near_duplicates(spark.read.parquet(f"{sf_dir}/embeddings.parquet"))
+
+
 def op5_best_two_fit_packing(spark, sf_dir):
     from . import bpe, packing
 
@@ -82,7 +94,7 @@ def op10_bloom_lm(spark, sf_dir):
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_recurrent_toxicity, op5_best_two_fit_packing, op6_chat_windows, op7_simhash_balls, op8_two_tier_bpe, op9_rendezvous_sharding, op10_bloom_lm)}
+    return {f.__name__: f for f in (op1_recurrent_toxicity, op2_vantage_point_search, op4_nn_descent, op5_best_two_fit_packing, op6_chat_windows, op7_simhash_balls, op8_two_tier_bpe, op9_rendezvous_sharding, op10_bloom_lm)}
 
 
 def oracle_sql() -> dict[str, str]:
