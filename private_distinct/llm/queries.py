@@ -44,6 +44,12 @@ def op2_vantage_point_search(spark, sf_dir):
     return vptree.nearest(spark.read.parquet(f"{sf_dir}/embeddings.parquet"), F.col("vec_id") % 20 == 0)
 
 
+def op3_suffix_dedup(spark, sf_dir):
+    from . import suffix_dedup
+
+    return suffix_dedup.remove(_documents(spark, sf_dir), ["doc_id"])
+
+
 def op4_nn_descent(spark, sf_dir):
     from . import nndescent
 
@@ -94,7 +100,7 @@ def op10_bloom_lm(spark, sf_dir):
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_recurrent_toxicity, op2_vantage_point_search, op4_nn_descent, op5_best_two_fit_packing, op6_chat_windows, op7_simhash_balls, op8_two_tier_bpe, op9_rendezvous_sharding, op10_bloom_lm)}
+    return {f.__name__: f for f in (op1_recurrent_toxicity, op2_vantage_point_search, op3_suffix_dedup, op4_nn_descent, op5_best_two_fit_packing, op6_chat_windows, op7_simhash_balls, op8_two_tier_bpe, op9_rendezvous_sharding, op10_bloom_lm)}
 
 
 def oracle_sql() -> dict[str, str]:

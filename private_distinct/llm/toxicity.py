@@ -317,7 +317,7 @@ def score(docs: DataFrame, network: Network, keep: list[str], text: str = "text"
     def run(batches):
         net = shared.value
         for b in batches:
-            texts, done, i = b.column(len(keep)).to_pylist(), [], 0
+            texts, done, i = b.column(at).to_pylist(), [], 0
             while i < len(texts):
                 j, size = i, 0
                 while j < len(texts) and size < 1 << 20:
@@ -327,4 +327,5 @@ def score(docs: DataFrame, network: Network, keep: list[str], text: str = "text"
                 i = j
             yield pa.RecordBatch.from_arrays([*b.columns[: len(keep)], pa.array(np.concatenate(done or [np.empty(0)]).astype(np.float64))], names=[*keep, "score"])
 
-    return docs.select(*keep, F.col(text).alias("_text")).mapInArrow(run, schema)
+    at = keep.index(text) if text in keep else len(keep)
+    return docs.select(*keep, *[F.col(text).alias("_text")][: at == len(keep)]).mapInArrow(run, schema)
