@@ -341,7 +341,7 @@ def repeated_ranges(docs: DataFrame, length: int = 50, shards: int | None = None
                 sizes = np.fromiter(map(len, texts), np.int64, len(texts))
                 m = len(at)
                 yield pa.RecordBatch.from_arrays([pa.nulls(m, pa.int32()), *(pa.nulls(m, pa.binary()) for _ in range(3)), pa.array(h.view(np.int64)), pa.array(did), pa.array(dhs[i + doc]), pa.array(at - (np.cumsum(sizes) - sizes)[doc])], names=names)
-                if size > 96 << 20:
+                if size > 24 << 20:
                     yield flush()
                     size = 0
         if contents:
