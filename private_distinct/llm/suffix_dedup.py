@@ -30,10 +30,10 @@ import tempfile
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, partitions
+from .common import discard, materialise, partitions
 from .ngram_lm import mixed
 
 LAST = 2**63 - 1
@@ -94,6 +94,20 @@ def segments(texts: list[bytes], length: int) -> tuple[np.ndarray, np.ndarray, n
     return doc[ok], at[ok], (end - at)[ok], keys[at[ok]], joined
 
 
+def _spread(starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """Places of all bytes of ranges, one range after the other."""
+    return np.repeat(starts - np.cumsum(sizes) + sizes, sizes) + np.arange(sizes.sum())
+
+
+def merged(ranges: str) -> Column:
+    """Sorted ranges with those that meet joined."""
+    joined = lambda done, x: F.when(
+        (F.size(done) > 0) & (F.element_at(done, -1)["e"] >= x["s"]),
+        F.concat(F.slice(done, 1, F.size(done) - 1), F.array(F.struct(F.element_at(done, -1)["s"].alias("s"), F.greatest(F.element_at(done, -1)["e"], x["e"]).alias("e")))),
+    ).otherwise(F.concat(done, F.array(x)))
+    return F.aggregate(F.array_sort(ranges), F.array().cast("array<struct<s:int,e:int>>"), joined)
+
+
 def _batches(column, step: int = CHUNK):
     """Slices of a column of binary values of about ``step`` bytes."""
     i, n = 0, len(column)
@@ -230,7 +244,7 @@ def least_of_equal(contents: list[bytes], least: np.ndarray, length: int, folder
 
 
 def repeated_ranges(docs: DataFrame, length: int = 50, shards: int | None = None) -> DataFrame:
-    """(did, dh, s, e): byte ranges to remove of documents given as (did, dh, body)."""
+    """(did, dh, gone): byte ranges to remove of documents given as (did, dh, body); dh: 32 bits that tell texts apart."""
     spark = docs.sparkSession
     if length < 16:
         raise ValueError("length must be 16 or more")
@@ -301,25 +315,30 @@ def repeated_ranges(docs: DataFrame, length: int = 50, shards: int | None = None
             ok &= (table[at >> 3] >> (at & 7).astype(np.uint8) & 1).astype(bool)
         return ok
 
-    names = ["part", "sizes", "least", "bytes", "h", "did", "dh", "a"]
+    names = ["part", "sizes", "least", "bytes", "h", "did", "place"]
 
     def emit_segments(batches):
-        contents: dict[bytes, tuple[int, int]] = {}
+        held: list[tuple[np.ndarray, ...]] = []
         size = 0
 
         def flush():
-            by: dict[int, list] = {}
-            for c, (p, low) in contents.items():
-                by.setdefault(p, []).append((c, low))
-            cols = [[], [], [], []]
-            for p, x in by.items():
-                cols[0].append(p)
-                cols[1].append(np.array([len(c) for c, _ in x], "<i4").tobytes())
-                cols[2].append(np.array([low for _, low in x], "<i8").tobytes())
-                cols[3].append(b"".join(c for c, _ in x))
+            h, part, did, sizes = (np.concatenate([x[i] for x in held]) for i in range(4))
+            raw = np.concatenate([x[4] for x in held])
+            held.clear()
+            order = np.lexsort((did, h))
+            order = order[np.r_[True, h[order][1:] != h[order][:-1]]]  # each content once, with its least id
+            order = order[np.argsort(part[order], kind="stable")]
+            at = np.cumsum(sizes) - sizes
+            part, did, sizes, at = part[order], did[order], sizes[order], at[order]
+            cuts = [*np.flatnonzero(np.r_[True, part[1:] != part[:-1]]), len(part)]
+            cols: tuple[list, ...] = ([], [], [], [])
+            for i, j in zip(cuts, cuts[1:]):
+                cols[0].append(part[i])
+                cols[1].append(sizes[i:j].astype("<i4").tobytes())
+                cols[2].append(did[i:j].astype("<i8").tobytes())
+                cols[3].append(raw[_spread(at[i:j], sizes[i:j])].tobytes())
             m = len(cols[0])
-            contents.clear()
-            return pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[1:]), *(pa.nulls(m, pa.int64()) for _ in range(4))], names=names)
+            return pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[1:]), *(pa.nulls(m, pa.int64()) for _ in range(3))], names=names)
 
         for b in batches:
             dids, dhs = b.column(0).to_numpy(), b.column(1).to_numpy()
@@ -327,27 +346,25 @@ def repeated_ranges(docs: DataFrame, length: int = 50, shards: int | None = None
                 doc, at, count, keys, joined = segments(texts, length)
                 some = np.flatnonzero(maybe(shared.value, keys))
                 doc, at, count, keys = doc[some], at[some], count[some], keys[some]
-                did = dids[i + doc]
-                h = np.empty(len(at), np.uint64)
-                for j, (a, e, p, d) in enumerate(zip(at.tolist(), (at + count + length - 1).tolist(), parted(keys).tolist(), did.tolist(), strict=True)):
-                    c = joined[a:e]
-                    h[j] = xxhash.xxh3_64_intdigest(c)
-                    old = contents.get(c)
-                    if old is None:
-                        size += len(c) + 150
-                        contents[c] = (p, d)
-                    elif d < old[1]:
-                        contents[c] = (p, d)
-                sizes = np.fromiter(map(len, texts), np.int64, len(texts))
-                m = len(at)
-                yield pa.RecordBatch.from_arrays([pa.nulls(m, pa.int32()), *(pa.nulls(m, pa.binary()) for _ in range(3)), pa.array(h.view(np.int64)), pa.array(did), pa.array(dhs[i + doc]), pa.array(at - (np.cumsum(sizes) - sizes)[doc])], names=names)
-                if size > 24 << 20:
+                m, did, sizes = len(at), dids[i + doc], count + length - 1
+                digest = xxhash.xxh3_64_intdigest
+                h = np.fromiter((digest(joined[x:y]) for x, y in zip(at.tolist(), (at + sizes).tolist(), strict=True)), np.uint64, m)
+                starts = np.cumsum(list(map(len, texts))) - list(map(len, texts))
+                place = (dhs[i + doc] << 32) | (at - starts[doc] if m else at)
+                yield pa.RecordBatch.from_arrays([pa.nulls(m, pa.int32()), *(pa.nulls(m, pa.binary()) for _ in range(3)), pa.array(h.view(np.int64)), pa.array(did), pa.array(place)], names=names)
+                if m:
+                    order = np.lexsort((did, h))
+                    order = order[np.r_[True, h[order][1:] != h[order][:-1]]]
+                    raw = np.frombuffer(joined, np.uint8)[_spread(at[order], sizes[order])]
+                    held.append((h[order], parted(keys[order]), did[order], sizes[order], raw))
+                    size += len(raw) + 32 * len(order)
+                if size > 40 << 20:
                     yield flush()
                     size = 0
-        if contents:
+        if held:
             yield flush()
 
-    schema = "part int, sizes binary, least binary, bytes binary, h long, did long, dh long, a long"
+    schema = "part int, sizes binary, least binary, bytes binary, h long, did long, place long"
     found = materialise(docs.select("did", "dh", "body").mapInArrow(emit_segments, schema), "segments")
 
     def resolve(batches):
@@ -373,17 +390,21 @@ def repeated_ranges(docs: DataFrame, length: int = 50, shards: int | None = None
 
     dealt = found.where("part is not null").select("part", "sizes", "least", "bytes").repartition(max(wide, n // 4), "part")
     answers = dealt.mapInArrow(resolve, "h long, first long, n long, low long")
-    seen = found.where("part is null").select("h", "did", "dh", "a")
+    seen = found.where("part is null").select("h", "did", "place")
     out = seen.join(answers, "h").where("did > low")
-    return out.select("did", "dh", (F.col("a") + F.col("first")).alias("s"), (F.col("a") + F.col("first") + F.col("n") + F.lit(length - 1)).alias("e"))
+    start = F.col("place").bitwiseAND(F.lit(2**32 - 1)) + F.col("first")
+    out = out.select("did", F.shiftright("place", 32).alias("dh"), start.cast("int").alias("s"), (start + F.col("n") + F.lit(length - 1)).cast("int").alias("e"))
+    out = out.groupBy("did", "dh").agg(F.collect_list(F.struct("s", "e")).alias("gone"))  # a document's own
+    out = materialise(out.withColumn("gone", merged("gone")), "ranges")
+    discard(found)
+    return out
 
 
 def with_ranges(docs: DataFrame, keep: list[str], key: str = "doc_id", text: str = "text", length: int = 50) -> DataFrame:
     """``keep`` columns, ``_body`` (the text's bytes) and ``_gone`` (ranges to remove, not merged)."""
     body = F.coalesce(F.col(text), F.lit("")).cast("binary")
-    rows = docs.select(*[F.col(c).alias(f"k{i}") for i, c in enumerate(keep)], F.coalesce(F.col(key).cast("long"), F.lit(LAST)).alias("did"), F.xxhash64(body).alias("dh"), body.alias("body"))
+    rows = docs.select(*[F.col(c).alias(f"k{i}") for i, c in enumerate(keep)], F.coalesce(F.col(key).cast("long"), F.lit(LAST)).alias("did"), F.shiftright(F.xxhash64(body), 32).alias("dh"), body.alias("body"))
     ranges = repeated_ranges(rows.select("did", "dh", "body"), length)
-    ranges = ranges.groupBy("did", "dh").agg(F.collect_list(F.struct("s", "e")).alias("gone"))  # a document's own
     out = rows.join(ranges, ["did", "dh"], "left")
     return out.select(*[F.col(f"k{i}").alias(c) for i, c in enumerate(keep)], F.col("body").alias("_body"), F.col("gone").alias("_gone"))
 
