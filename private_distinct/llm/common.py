@@ -36,13 +36,17 @@ def materialise(df: DataFrame, tag: str) -> DataFrame:
 
 
 def discard(table: DataFrame) -> None:
-    """Delete a materialised table, and let the driver's collector free shuffle files that nothing refers to."""
+    """Delete a materialised table that no later plan reads."""
     jvm, sc = table.sparkSession.sparkContext._jvm, table.sparkSession.sparkContext
     for f in table.inputFiles()[:1]:
         folder = jvm.org.apache.hadoop.fs.Path(f).getParent()
         folder.getFileSystem(sc._jsc.hadoopConfiguration()).delete(folder, True)
+
+
+def free_shuffles(spark: SparkSession) -> None:
+    """Let the driver's collector free shuffle files that nothing refers to, before the next large step."""
     gc.collect()
-    jvm.System.gc()
+    spark.sparkContext._jvm.System.gc()
 
 
 def partitions(spark: SparkSession) -> int:

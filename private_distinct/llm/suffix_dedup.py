@@ -33,7 +33,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import discard, materialise, partitions
+from .common import discard, free_shuffles, materialise, partitions
 from .ngram_lm import mixed
 
 LAST = 2**63 - 1
@@ -306,6 +306,7 @@ def repeated_ranges(docs: DataFrame, length: int = 50, shards: int | None = None
     for r in got:
         table[r[0] * bits // 8 : (r[0] + 1) * bits // 8] = np.frombuffer(bytes(r[1]), np.uint8)
     del got
+    free_shuffles(spark)
     shared = spark.sparkContext.broadcast(table)
 
     def maybe(table: np.ndarray, keys: np.ndarray) -> np.ndarray:
@@ -358,7 +359,7 @@ def repeated_ranges(docs: DataFrame, length: int = 50, shards: int | None = None
                     raw = np.frombuffer(joined, np.uint8)[_spread(at[order], sizes[order])]
                     held.append((h[order], parted(keys[order]), did[order], sizes[order], raw))
                     size += len(raw) + 32 * len(order)
-                if size > 40 << 20:
+                if size > 64 << 20:
                     yield flush()
                     size = 0
         if held:
@@ -389,7 +390,8 @@ def repeated_ranges(docs: DataFrame, length: int = 50, shards: int | None = None
             shutil.rmtree(folder, ignore_errors=True)
 
     dealt = found.where("part is not null").select("part", "sizes", "least", "bytes").repartition(max(wide, n // 4), "part")
-    answers = dealt.mapInArrow(resolve, "h long, first long, n long, low long")
+    answers = materialise(dealt.mapInArrow(resolve, "h long, first long, n long, low long"), "answers")
+    free_shuffles(spark)
     seen = found.where("part is null").select("h", "did", "place")
     out = seen.join(answers, "h").where("did > low")
     start = F.col("place").bitwiseAND(F.lit(2**32 - 1)) + F.col("first")
@@ -397,6 +399,8 @@ def repeated_ranges(docs: DataFrame, length: int = 50, shards: int | None = None
     out = out.groupBy("did", "dh").agg(F.collect_list(F.struct("s", "e")).alias("gone"))  # a document's own
     out = materialise(out.withColumn("gone", merged("gone")), "ranges")
     discard(found)
+    discard(answers)
+    free_shuffles(spark)
     return out
 
 
