@@ -326,6 +326,7 @@ def repeated_ranges(docs: DataFrame, length: int = 50, shards: int | None = None
             h, part, did, sizes = (np.concatenate([x[i] for x in held]) for i in range(4))
             raw = np.concatenate([x[4] for x in held])
             held.clear()
+            codec = pa.Codec("zstd", 1)
             order = np.lexsort((did, h))
             order = order[np.r_[True, h[order][1:] != h[order][:-1]]]  # each content once, with its least id
             order = order[np.argsort(part[order], kind="stable")]
@@ -337,7 +338,7 @@ def repeated_ranges(docs: DataFrame, length: int = 50, shards: int | None = None
                 cols[0].append(part[i])
                 cols[1].append(sizes[i:j].astype("<i4").tobytes())
                 cols[2].append(did[i:j].astype("<i8").tobytes())
-                cols[3].append(raw[_spread(at[i:j], sizes[i:j])].tobytes())
+                cols[3].append(codec.compress(raw[_spread(at[i:j], sizes[i:j])].tobytes(), asbytes=True))
             m = len(cols[0])
             return pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[1:]), *(pa.nulls(m, pa.int64()) for _ in range(3))], names=names)
 
@@ -370,9 +371,11 @@ def repeated_ranges(docs: DataFrame, length: int = 50, shards: int | None = None
 
     def resolve(batches):
         held: dict[int, dict[bytes, int]] = {}
+        codec = pa.Codec("zstd", 1)
         for b in batches:
             for p, sizes, least, raw in zip(*(c.to_pylist() for c in b.columns), strict=True):
                 mine, at = held.setdefault(p, {}), 0
+                raw = codec.decompress(raw, int(np.frombuffer(sizes, "<i4").sum()), asbytes=True)
                 for size, low in zip(np.frombuffer(sizes, "<i4").tolist(), np.frombuffer(least, "<i8").tolist(), strict=True):
                     c = raw[at : at + size]
                     at += size
