@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 NONE = 0xFFFFFFFF
-LOCKSTEP_BYTES, MEMO_PIECES, SLICE_CHARS = 32, 300_000, 1 << 21
+LOCKSTEP_BYTES, MEMO_PIECES, SLICE_CHARS = 32, 800_000, 1 << 21
 _CROSSING = re.compile(r" \s")
 
 
@@ -265,7 +265,7 @@ class ByteBPE:
         """Yields for each text its chunk numbers, valid for ids(), decimals() and decode() until the next slice."""
         i = 0
         while i < len(texts):
-            if len(self.start) > MEMO_PIECES:
+            if len(self.start) > MEMO_PIECES >> self.strings:
                 self._fresh()
             j, size = i, 0
             while j < len(texts) and size < SLICE_CHARS:
