@@ -47,12 +47,27 @@ def _slot_val(spec: SketchSpec) -> tuple[Column, Column]:
     return slot, F.call_function("shiftleft", F.lit(1).cast("long"), F.least(zeros, F.lit(spec.bitmap_len - 1)).cast("int"))
 
 
+def _candidates(h: DataFrame, m: int, by: tuple) -> DataFrame:
+    """Rows that can be among the ``m`` least distinct hashes, so that few of all hashes are shuffled.
+
+    Hashes fall into 4 m bins by their low bits.  Minima of bins are distinct hashes, so the m-th least minimum is no
+    less than the m-th least hash; where fewer bins have a hash there is no cut.
+    """
+    least = h.groupBy(*by, (F.col("h") % F.lit(4 * m)).alias("bin")).agg(F.min("h").alias("least"))
+    if by:
+        rank = F.row_number().over(Window.partitionBy(*by).orderBy("least"))
+        cut = least.withColumn("rank", rank).where(F.col("rank") == m).select(*by, F.col("least").alias("cut"))
+        return h.join(cut, list(by), "left").where("cut is null or h <= cut").select(*by, "h")
+    cut = least.orderBy("least").limit(m).agg(F.when(F.count(F.lit(1)) == m, F.max("least")).alias("cut"))
+    return h.crossJoin(F.broadcast(cut)).where("cut is null or h <= cut").select("h")
+
+
 def state_of_hashes(h: DataFrame, spec: SketchSpec, by: tuple = ()) -> DataFrame:
     if spec.kind in ("hll", "linear", "fm"):
         slot, val = _slot_val(spec)
         merge = F.bit_or if spec.kind == "fm" else F.max
         return h.select(*by, slot.alias("slot"), val.alias("val")).groupBy(*by, "slot").agg(merge("val").alias("val"))
-    kept = h.select(*by, "h").distinct()
+    kept = _candidates(h.select(*by, "h"), spec.k + (spec.kind == "adaptive"), by).distinct()
     if spec.kind == "bottomk":
         order = Window.partitionBy(*by).orderBy("h")
         if by:
@@ -65,7 +80,7 @@ def state_of_hashes(h: DataFrame, spec: SketchSpec, by: tuple = ()) -> DataFrame
     counts = zeros.groupBy(*by, "z").agg(F.count(F.lit(1)).alias("c"))
     above = F.sum("c").over(Window.partitionBy(*by).orderBy(F.desc("z")))
     level = counts.withColumn("left", above).groupBy(*by).agg(F.coalesce(F.max(F.when(F.col("left") > spec.k, F.col("z") + 1)), F.lit(0)).cast("int").alias("slot"))
-    joined = zeros.join(F.broadcast(level), list(by)) if by else zeros.crossJoin(F.broadcast(level))
+    joined = zeros.join(level, list(by)) if by else zeros.crossJoin(F.broadcast(level))
     return joined.where("z >= slot").select(*by, "slot", F.col("h").alias("val"))
 
 
@@ -83,9 +98,9 @@ def merge_states(states: list[DataFrame], spec: SketchSpec, by: tuple = ()) -> D
     if spec.kind == "bottomk":
         return state_of_hashes(out.select(*by, F.col("val").alias("h")), spec, by)
     level = out.groupBy(*by).agg(F.max("slot").alias("least"))
-    both = out.join(F.broadcast(level), list(by)) if by else out.crossJoin(F.broadcast(level))
+    both = out.join(level, list(by)) if by else out.crossJoin(F.broadcast(level))
     deep = both.where(F.lit(BITS) - bit_length(F.col("val")) >= F.col("least")).select(*by, F.col("val").alias("h"))
-    again = state_of_hashes(deep, spec, by).join(F.broadcast(level), list(by)) if by else state_of_hashes(deep, spec, by).crossJoin(F.broadcast(level))
+    again = state_of_hashes(deep, spec, by).join(level, list(by)) if by else state_of_hashes(deep, spec, by).crossJoin(F.broadcast(level))
     return again.select(*by, F.greatest("slot", "least").alias("slot"), "val")
 
 

@@ -8,6 +8,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -19,8 +20,10 @@ from ..operators import release as rl
 from ..operators import sketches as sk
 from ..sources.tables import table
 from ..streaming.windows import stream_states
+from . import experiments as ex
 
 EPS = math.log(2)
+RAW = "('r:' || {})"  # text of an item, as hashed
 SPECS = {k: pv.SketchSpec(k, 64 if k == "fm" else 128) for k in ("fm", "linear", "bottomk", "adaptive", "hll")}
 GRID = [(kind, k, eps) for kind in SPECS for k in (128, 1024, 4096) for eps in (0.1, 0.5, EPS, 1.0, 2.0)]
 
@@ -209,6 +212,64 @@ def _grouped() -> None:
     _add("stream_windows_batch", lambda s, d: stream_states(table(s, d, "events"), "ts", ["user_id"], spec, key).select(F.col("window_start").cast("timestamp_ntz").alias("window_start"), "slot", "val"), _state(spec, _hashes(key, "(select date_trunc('day', ts)::timestamp as window_start, user_id from events)", "('r:' || user_id)", "window_start, "), "window_start, "))
 
 
+def _more_tables() -> None:
+    """States stored by group and privatised later; overlaps; list-valued items."""
+    spec, thin, bound = SPECS["hll"], pv.threshold(EPS), pv.pi0(EPS)
+    v = math.ceil(pv.min_cardinality(spec.k_max, EPS))
+    key = public_key("stored")
+    stop = _local_stop(spec, key)
+
+    def stored(s, d):
+        fine = sk.build_state(table(s, d, "lineitem"), ["l_orderkey"], spec, key, ("l_returnflag",))
+        back = sk.unpack_state(sk.pack_state(fine, spec, key, ("l_returnflag",)), spec, key, ("l_returnflag",))
+        return _rounded(rl.privatise_existing(sk.merge_states([back.drop("l_returnflag")], spec), spec, budget(), key))
+
+    _add("stored_states_converted", stored, _release(spec, f"{_hashes(key, 'lineitem', RAW.format('l_orderkey'))} union all {_phantom_hashes(key, stop)}", 1.0, stop, 0.0))
+    label_key = public_key("labelled")
+    for name, how, word in (("documents_labelled", "left_semi", "in"), ("documents_unlabelled", "left_anti", "not in")):
+        source = f"(select doc_id from documents where doc_id {word} (select doc_id from labels where doc_id is not null))"
+        one = label_key.derive(name)
+        hashes = f"{_hashes(one, source, RAW.format('doc_id'), below=thin)} union all {_phantom_hashes(one, v, thin)}"
+        _add(name, lambda s, d, how=how, one=one: _rounded(rl.release_any(table(s, d, "documents").join(table(s, d, "labels"), "doc_id", how), ["doc_id"], spec, budget(), one)), _release(spec, hashes, bound, v, 0.0))
+    both_key = public_key("overlap")
+
+    def overlap(s, d):
+        a, b = (sk.build_state(table(s, d, t), ["text"], spec, both_key) for t in ("documents", "benchmark"))
+        one = [sk.estimate_state(x, spec).select(F.col("base_estimate").alias(n)) for x, n in ((a, "a"), (b, "b"), (sk.merge_states([a, b], spec), "both"))]
+        rows = one[0].crossJoin(one[1]).crossJoin(one[2])
+        return _rounded(rows.select("a", "b", "both", (F.col("a") + F.col("b") - F.col("both")).alias("overlap")))
+
+    ha, hb = (_hashes(both_key, t, RAW.format("text")) for t in ("documents", "benchmark"))
+    part = lambda h, n: f"(select base_estimate as {n} from ({_estimate(spec, _state(spec, h))}))"
+    _add("text_overlap_diagnostic", overlap, f"select round(a, 6) as a, round(b, 6) as b, round(u, 6) as both, round(a + b - u, 6) as overlap from {part(ha, 'a')}, {part(hb, 'b')}, {part(f'{ha} union all {hb}', 'u')}")
+    role_key = public_key("roles")
+    hashes = f"{_hashes(role_key, 'conversations', RAW.format('conv_id'), 'role, ', thin)} union all {_phantom_hashes(role_key, v, thin, 'role, ', '(select distinct role from conversations)')}"
+    _add("conversations_per_role", lambda s, d: _rounded(rl.release_any(table(s, d, "conversations"), ["conv_id"], spec, budget(), role_key, ("role",))), _release(spec, hashes, bound, v, 0.0, "role, "))
+    vector_key = public_key("vectors")
+
+    def vectors(s, d):
+        steps = F.transform("embedding", lambda x: F.floor(x.cast("double") * 100).cast("string"))
+        rows = table(s, d, "embeddings").select("label", F.concat_ws(",", steps).alias("steps"))
+        return _rounded(sk.estimate_state(sk.build_state(rows, ["steps"], spec, vector_key, ("label",)), spec, ("label",)).drop("saturated"))
+
+    steps = "(select label, array_to_string(list_transform(embedding, lambda x: cast(floor(x::double * 100) as bigint)), ',') as steps from embeddings)"
+    _add("rounded_vectors_per_label", vectors, f"select label, round(base_estimate, 6) as base_estimate, round(pi, 6) as pi from ({_estimate(spec, _state(spec, _hashes(vector_key, steps, RAW.format('steps'), 'label, '), 'label, '), 'label, ')})")
+
+
+def _experiments() -> None:
+    n, trials, key = 1 << 20, 4, SketchKey("experiment", "native")
+
+    def errors(s, d):
+        out = [ex.error_summary(ex.estimates(s, n, pv.SketchSpec("hll", k), trials, key, eps), n).select(F.lit(k).alias("k"), F.lit(name).alias("method"), "*") for k in (128, 1024, 4096) for name, eps in (("plain", None), ("private", EPS))]
+        return reduce(DataFrame.union, out)
+
+    def space(s, d):
+        return reduce(DataFrame.union, [ex.space_summary(s, n, k, trials, key, EPS).select(F.lit(k).alias("k"), "*") for k in (128, 1024, 4096)])
+
+    _add("experiment_error", errors)
+    _add("experiment_space", space)
+
+
 def _baselines() -> None:
     _add("baseline_exact", lambda s, d: bl.exact_distinct(table(s, d, "lineitem"), ["l_orderkey"]), "select count(distinct l_orderkey) as n_distinct from lineitem")
     _add("baseline_exact_by_type", lambda s, d: bl.exact_distinct(table(s, d, "events"), ["user_id"], ("event_type",)), "select event_type, count(distinct user_id) as n_distinct from events group by 1")
@@ -246,7 +307,9 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     if not _QUERIES:
         _sketches()
         _grouped()
+        _more_tables()
         _baselines()
+        _experiments()
     return dict(_QUERIES)
 
 

@@ -19,12 +19,12 @@ EPS = math.log(2)
 def duck():
     duckdb = pytest.importorskip("duckdb")
     con = duckdb.connect()
-    for t in ("region", "nation", "customer", "orders", "lineitem", "events", "documents"):
+    for t in ("region", "nation", "customer", "orders", "lineitem", "events", "documents", "labels", "benchmark", "conversations", "embeddings"):
         con.execute(f"create view {t} as select * from '{SF}/{t}.parquet'")
     return con
 
 
-@pytest.mark.parametrize("name", ["state_fm", "plain_linear", "any_hll", "convert_bottomk", "merge_split_union_adaptive", "dup_invariance_fm", "grouped_event_type", "region_segment_customers", "words_per_lang", "rollup_internal", "stream_windows_batch", "baseline_per_bucket", "params_grid"])
+@pytest.mark.parametrize("name", ["state_fm", "state_bottomk", "state_adaptive", "stored_states_converted", "documents_labelled", "documents_unlabelled", "text_overlap_diagnostic", "conversations_per_role", "rounded_vectors_per_label", "plain_linear", "any_hll", "convert_bottomk", "merge_split_union_adaptive", "dup_invariance_fm", "grouped_event_type", "region_segment_customers", "words_per_lang", "rollup_internal", "stream_windows_batch", "baseline_per_bucket", "params_grid"])
 def test_workload_equals_sql(spark, duck, name):
     got = wl.queries()[name](spark, SF)
     cols = sorted(got.columns)
@@ -128,6 +128,33 @@ def test_plans_stay_native(spark):
         assert "ReadSchema: struct<l_orderkey:bigint>" in plan
 
 
+def test_cut_keeps_the_least_hashes(spark):
+    for n in (3, 40, 5000):
+        for kind in ("bottomk", "adaptive"):
+            spec, key = pv.SketchSpec(kind, 16), SketchKey("cut")
+            df = spark.range(n).selectExpr("id", "id % 3 as g")
+            for g in (None, 0, 1, 2):
+                rows = df if g is None else df.where(f"g = {g}")
+                all_ = sorted({r.h for r in sk.hashed(rows, ["id"], key).collect()})
+                level = next(j for j in range(60) if sum(h >> (60 - j) == 0 for h in all_) <= 16)
+                want = all_[:16] if kind == "bottomk" else [h for h in all_ if h >> (60 - level) == 0]
+                got = sk.build_state(df, ["id"], spec, key) if g is None else sk.build_state(df, ["id"], spec, key, ("g",)).where(f"g = {g}")
+                assert sorted(r.val for r in got.collect()) == want
+
+
+def test_experiments(spark):
+    from private_distinct.plans import experiments as ex
+
+    n, key, ratios = 1 << 14, SketchKey("e", "native"), []
+    for k in (128, 1024):
+        spec = pv.SketchSpec("hll", k)
+        for eps in (None, EPS):
+            r = ex.error_summary(ex.estimates(spark, n, spec, 8, key, eps), n).first()
+            assert r.trials == 8 and r.rmse < 4 * (spec.rel_std_error(n) if eps is None else math.sqrt(pv.variance_bound(n, 2 * k, k / 1.04**2, 0.5)) / n)
+        ratios.append(ex.space_summary(spark, n, k, 8, key, EPS).first().space_ratio)
+    assert 1 < ratios[0] < ratios[1]
+
+
 def test_registry():
     assert set(wl.oracle_sql()) <= set(wl.queries())
     assert all(a != b for a, b in itertools.pairwise(sorted(wl.queries())))
