@@ -46,6 +46,12 @@ def canonical(items: list[Column], namespace: str = "r") -> Column:
     return F.concat(F.lit(f"{namespace}:"), *[F.concat(F.length(p).cast("string"), F.lit("."), p) for p in parts])
 
 
+def group_tag(by: list[Column]) -> Column:
+    """Text that names a group; put before an item's text it gives every group a hash function of its own."""
+    texts = [c.cast("string") for c in by]
+    return F.concat(*[F.coalesce(F.concat(F.length(t).cast("string"), F.lit("."), t, F.lit("/")), F.lit("-/")) for t in texts])
+
+
 def slices(text: Column, key: SketchKey) -> tuple[Column, Column]:
     """(sketch hash, thinning hash), both uniform below 2**60."""
     if key.family == "native":

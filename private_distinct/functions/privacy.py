@@ -3,21 +3,57 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 from dataclasses import dataclass
 
 from .hashing import SPACE
 
 
+@dataclass(frozen=True)
+class CustomSketch:
+    """A further member of the class: a commutative, idempotent aggregate of values per slot.
+
+    ``slot`` and ``val`` take (hash column, k); ``merge`` is the aggregate over ``val``; ``estimate`` and ``pi`` take k
+    and aggregate over (slot, val), where slots without items have no row; ``bits`` bounds the size and, unless
+    ``k_max`` says better, the number of influential items too.
+    """
+
+    slot: Callable
+    val: Callable
+    merge: Callable
+    estimate: Callable
+    pi: Callable
+    bits: Callable[[int], int]
+    k_max: Callable[[int], int] | None = None
+    rel_std_error: Callable[[int], float] | None = None
+
+
+CUSTOM: dict[str, CustomSketch] = {}
+KINDS = ("fm", "linear", "bottomk", "adaptive", "hll")
+
+
+def register_sketch(kind: str, sketch: CustomSketch) -> None:
+    """Make ``SketchSpec(kind, k)`` usable in every build, merge and release."""
+    if kind in KINDS:
+        raise ValueError(f"{kind} is a sketch of the library")
+    CUSTOM[kind] = sketch
+
+
+def k_max_from_bits(bits: int) -> int:
+    """Influential items of any sketch of the class: no more than its state has bits."""
+    return bits
+
+
 @dataclass(frozen=True)
 class SketchSpec:
-    """kind: fm, linear, bottomk, adaptive or hll; k: slots or kept hashes."""
+    """kind: fm, linear, bottomk, adaptive, hll or a registered one; k: slots or kept hashes."""
 
     kind: str
     k: int
     bitmap_len: int = 32
 
     def __post_init__(self):
-        if self.kind not in ("fm", "linear", "bottomk", "adaptive", "hll"):
+        if self.kind not in KINDS and self.kind not in CUSTOM:
             raise ValueError(f"unknown sketch {self.kind}")
         if self.k < 2 or self.kind in ("hll", "fm") and self.k & (self.k - 1):
             raise ValueError("k must be 2 or more, and a power of two for hll and fm")
@@ -25,14 +61,22 @@ class SketchSpec:
     @property
     def k_max(self) -> int:
         """Most items whose removal alone can alter the state."""
+        if own := CUSTOM.get(self.kind):
+            return own.k_max(self.k) if own.k_max else k_max_from_bits(own.bits(self.k))
         return self.k * self.bitmap_len if self.kind == "fm" else self.k
 
     @property
     def size_bits(self) -> int:
+        if own := CUSTOM.get(self.kind):
+            return own.bits(self.k)
         return {"fm": self.k * self.bitmap_len, "linear": self.k, "bottomk": 64 * self.k, "adaptive": 64 * self.k, "hll": 5 * self.k}[self.kind]
 
     def rel_std_error(self, n: float) -> float:
         k = self.k
+        if own := CUSTOM.get(self.kind):
+            if own.rel_std_error is None:
+                raise ValueError(f"no standard error is known for {self.kind}")
+            return own.rel_std_error(k)
         if self.kind == "linear" and n >= k:
             return math.sqrt(k * (math.exp(n / k) - n / k - 1)) / n
         return {"fm": 0.649, "linear": 1.0, "bottomk": 1.0, "adaptive": 1.2, "hll": 1.04}[self.kind] / math.sqrt(k)
@@ -43,10 +87,18 @@ class Budget:
     eps: float
     delta: float = 0.0
     n_floor: int | None = None  # a public lower bound on the number of distinct items
+    max_groups_per_unit: int = 1  # a public upper bound on the groups that one item can be in
 
     def __post_init__(self):
         if not self.eps > 0:
             raise ValueError("eps must be positive")
+        if self.max_groups_per_unit < 1:
+            raise ValueError("an item is in one group at least")
+
+    @property
+    def total_eps(self) -> float:
+        """Of all groups together, by composition; each group has a hash function of its own."""
+        return self.eps * self.max_groups_per_unit
 
 
 def pi0(eps: float) -> float:
@@ -107,6 +159,8 @@ def delta(spec: SketchSpec, n: int, eps: float, method: str = "exact") -> float:
     ``printed`` is the published form of the hash-list bound, refused where it is not sound (eps > ln 2).
     """
     q, k = pi0(eps), spec.k
+    if spec.kind in CUSTOM:
+        raise ValueError(f"no failure probability is known for {spec.kind}: use a pure release")
     if n <= min_cardinality(spec.k_max, eps):
         return 1.0
     if spec.kind == "hll":
@@ -127,6 +181,25 @@ def delta(spec: SketchSpec, n: int, eps: float, method: str = "exact") -> float:
     return math.exp(log_binom_cdf(k, n, q))
 
 
+def estimate_threshold(spec: SketchSpec, eps: float) -> float | None:
+    """The base estimate below which a state violates, for sketches whose estimate is a falling function of pi.
+
+    None where that does not hold: adaptive sampling and bitmaps, and registers at a bound that falls in the range of
+    their small-count correction.
+    """
+    q, k = pi0(eps), spec.k
+    if spec.kind == "linear":
+        return -k * math.log(q)
+    if spec.kind == "bottomk":
+        return (k - 1) / q
+    if spec.kind == "hll":
+        from ..operators.sketches import hll_alpha
+
+        at = hll_alpha(k) * k / q
+        return at if at > 2.5 * k else None
+    return None
+
+
 def min_n_for_delta(spec: SketchSpec, eps: float, target: float, method: str = "exact") -> int:
     """Least n whose failure probability is at most ``target``."""
     low = math.floor(min_cardinality(spec.k_max, eps))

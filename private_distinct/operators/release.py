@@ -1,4 +1,7 @@
-"""Differentially private releases: plain, thinned, thinned with phantoms, and of sketches that exist already."""
+"""Differentially private releases: plain, thinned, thinned with phantoms, and of sketches that exist already.
+
+With ``by``, every group is one release under a hash function of its own; which groups there are is taken as public.
+"""
 
 from __future__ import annotations
 
@@ -9,7 +12,23 @@ from pyspark.sql import functions as F
 
 from ..functions.hashing import SketchKey
 from ..functions.privacy import Budget, SketchSpec, delta, min_cardinality, pi0, threshold
-from .sketches import build_state, estimate_state, hashed, merge_states, phantoms, state_of_hashes
+from .sketches import build_state, estimate_state, hashed, merge_states, phantoms, phantoms_of_groups, state_of_hashes
+
+
+class KeyLedger:
+    """Which output each key was spent on: a key that two outputs share protects neither.
+
+    One object per process or service; ``entries`` (key_id -> output, no secrets) can be stored and given back.
+    """
+
+    def __init__(self, entries: dict[str, str] | None = None):
+        self.entries = dict(entries or {})
+
+    def claim(self, key: SketchKey, output: str) -> SketchKey:
+        """The key, once; the same output may be computed again, as the same state is no second release."""
+        if self.entries.setdefault(key.key_id, output) != output:
+            raise ValueError(f"this key was spent on {self.entries[key.key_id]}; derive another one for {output}")
+        return key
 
 
 def _certified(est: DataFrame, spec: SketchSpec, budget: Budget, by: tuple, p: float, v: int, d: float | None) -> DataFrame:
@@ -26,29 +45,33 @@ def _certified(est: DataFrame, spec: SketchSpec, budget: Budget, by: tuple, p: f
     )
 
 
-def release_plain(df: DataFrame, item: list[str], spec: SketchSpec, budget: Budget, key: SketchKey, by: tuple = ()) -> DataFrame:
+def release_plain(df: DataFrame, item: list[str], spec: SketchSpec, budget: Budget, key: SketchKey, by: tuple = (), estimator: str = "classic") -> DataFrame:
     """The unmodified sketch: (eps, delta), delta evaluated at the declared floor."""
     d = delta(spec, budget.n_floor, budget.eps) if budget.n_floor else None
-    return _certified(estimate_state(build_state(df, item, spec, key, by), spec, by), spec, budget, by, 1.0, 0, d)
+    state = build_state(df, item, spec, key, by, None, True)
+    return _certified(estimate_state(state, spec, by, estimator), spec, budget, by, 1.0, 0, d)
 
 
-def release_large(df: DataFrame, item: list[str], spec: SketchSpec, budget: Budget, key: SketchKey, by: tuple = ()) -> DataFrame:
+def release_large(df: DataFrame, item: list[str], spec: SketchSpec, budget: Budget, key: SketchKey, by: tuple = (), estimator: str = "classic") -> DataFrame:
     """Items thinned by the second hash: pure eps for streams known to be large enough."""
     if budget.n_floor is None or budget.n_floor <= min_cardinality(spec.k_max, budget.eps):
         raise ValueError(f"needs a declared floor above {min_cardinality(spec.k_max, budget.eps):.0f} items")
-    state = build_state(df, item, spec, key, by, threshold(budget.eps))
-    return _certified(estimate_state(state, spec, by), spec, budget, by, pi0(budget.eps), 0, 0.0)
+    state = build_state(df, item, spec, key, by, threshold(budget.eps), True)
+    return _certified(estimate_state(state, spec, by, estimator), spec, budget, by, pi0(budget.eps), 0, 0.0)
 
 
-def release_any(df: DataFrame, item: list[str], spec: SketchSpec, budget: Budget, key: SketchKey, by: tuple = ()) -> DataFrame:
+def _items_and_phantoms(df: DataFrame, item: list[str], v: int, t: int, key: SketchKey, by: tuple) -> DataFrame:
+    items = hashed(df, item, key, by, t, own=True)
+    if by:
+        return items.unionByName(phantoms_of_groups(df.select(*by).distinct(), v, key, by, t))
+    return items.unionByName(phantoms(df.sparkSession, v, key, t))
+
+
+def release_any(df: DataFrame, item: list[str], spec: SketchSpec, budget: Budget, key: SketchKey, by: tuple = (), estimator: str = "classic") -> DataFrame:
     """Thinned items and thinned phantoms: pure eps for any stream."""
     v, t = math.ceil(min_cardinality(spec.k_max, budget.eps)), threshold(budget.eps)
-    items = hashed(df, item, key, by, t)
-    extra = phantoms(df.sparkSession, v, key, t)
-    if by:
-        extra = df.select(*by).distinct().crossJoin(F.broadcast(extra))  # v rows, bounded by the sketch
-    state = state_of_hashes(items.unionByName(extra.select(*by, "h")), spec, by)
-    return _certified(estimate_state(state, spec, by), spec, budget, by, pi0(budget.eps), v, 0.0)
+    state = state_of_hashes(_items_and_phantoms(df, item, v, t, key, by), spec, by)
+    return _certified(estimate_state(state, spec, by, estimator), spec, budget, by, pi0(budget.eps), v, 0.0)
 
 
 def stopping_count(spark, spec: SketchSpec, budget: Budget, key: SketchKey, max_items: int = 10**8) -> int:
@@ -83,9 +106,6 @@ def release_builtin(df: DataFrame, item: list[str], budget: Budget, key: SketchK
     k = 1 << math.ceil(2 * math.log2(1.106 / rsd))
     spec = SketchSpec("hll", k)
     v, t = math.ceil(min_cardinality(k, budget.eps)), threshold(budget.eps)
-    extra = phantoms(df.sparkSession, v, key, t)
-    if by:
-        extra = df.select(*by).distinct().crossJoin(F.broadcast(extra))
-    all_ = hashed(df, item, key, by, t).unionByName(extra.select(*by, "h"))
+    all_ = _items_and_phantoms(df, item, v, t, key, by)
     est = all_.groupBy(*by).agg(F.approx_count_distinct("h", rsd).cast("double").alias("base_estimate"))
     return _certified(est, spec, budget, by, pi0(budget.eps), v, 0.0)

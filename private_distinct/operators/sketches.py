@@ -6,39 +6,65 @@ partitions x groups x slots rows.  Packed states are for storage.
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.hashing import BITS, SPACE, SketchKey, bit_length, canonical, slices
-from ..functions.privacy import SketchSpec
+from ..functions.hashing import BITS, SPACE, SketchKey, bit_length, canonical, group_tag, slices
+from ..functions.privacy import CUSTOM, CustomSketch, SketchSpec, register_sketch
 
 
 def hll_alpha(k: int) -> float:
     return {16: 0.673, 32: 0.697, 64: 0.709}.get(k, 0.7213 / (1 + 1.079 / k))
 
 
-def hashed(df: DataFrame, item: list[str], key: SketchKey, by: tuple = (), keep_below: int | None = None, namespace: str = "r") -> DataFrame:
-    """(by.., h) of the items, nulls dropped; ``keep_below``: thinning by the second hash."""
+def hashed(df: DataFrame, item: list[str], key: SketchKey, by: tuple = (), keep_below: int | None = None, namespace: str = "r", own: bool = False, also: tuple = ()) -> DataFrame:
+    """(by.., also.., h) of the items, nulls dropped; ``keep_below``: thinning by the second hash.
+
+    ``own``: a hash function for each group.  Released groups need it, as one shared by two of them protects neither;
+    states of different groups then do not merge.
+    """
     for c in item:
         if key.family != "native" and df.schema[c].dataType.typeName() in ("double", "float"):
             raise TypeError(f"{c}: cast floating point items to decimal first")
     cols = [F.col(c) for c in item]
     if key.family == "native":
         cols = [F.when(c == 0, F.lit(0.0)).otherwise(c) if df.schema[n].dataType.typeName() == "double" else c for n, c in zip(item, cols, strict=True)]
-    h, thin = slices(canonical(cols, namespace), key)
+    text = canonical(cols, namespace)
+    if own and by:
+        text = F.concat(group_tag([F.col(c) for c in by]), text)
+    h, thin = slices(text, key)
     out = df.where(" and ".join(f"`{c}` is not null" for c in item))
     if keep_below is not None:
         out = out.where(thin < F.lit(keep_below))
-    return out.select(*by, h.alias("h"))
+    return out.select(*by, *also, h.alias("h"))
 
 
 def phantoms(spark, v: int, key: SketchKey, keep_below: int | None = None) -> DataFrame:
     return hashed(spark.range(v), ["id"], key, (), keep_below, "p")
 
 
+def phantoms_of_groups(groups: DataFrame, v: int, key: SketchKey, by: tuple, keep_below: int | None = None) -> DataFrame:
+    """(by.., h) of v phantoms for each row of ``groups``, under that group's own hash; made by the row, in blocks."""
+    block = 4096
+    first = groups.select(*by, F.explode(F.sequence(F.lit(0).cast("long"), F.lit(v - 1).cast("long"), F.lit(block).cast("long"))).alias("_first"))
+    last = F.least(F.col("_first") + F.lit(block - 1), F.lit(v - 1).cast("long"))
+    return hashed(first.select(*by, F.explode(F.sequence("_first", last)).alias("_phantom")), ["_phantom"], key, by, keep_below, "p", True)
+
+
+def _with(left: DataFrame, right: DataFrame, by: tuple, how: str = "inner") -> DataFrame:
+    """Join on the group, a null group being one like any other."""
+    right = right.select(*[F.col(c).alias(f"_of_{c}") if c in by else F.col(c) for c in right.columns])
+    same = reduce(lambda a, b: a & b, [left[c].eqNullSafe(right[f"_of_{c}"]) for c in by])
+    return left.join(right, same, how).drop(*[f"_of_{c}" for c in by])
+
+
 def _slot_val(spec: SketchSpec) -> tuple[Column, Column]:
     h, k = F.col("h"), spec.k
     slot = (h % k).cast("int")
+    if own := CUSTOM.get(spec.kind):
+        return own.slot(h, k).cast("int"), own.val(h, k).cast("long")
     if spec.kind == "linear":
         return slot, F.lit(1).cast("long")
     zeros = F.lit(BITS - k.bit_length() + 1) - bit_length(F.shiftright(h, k.bit_length() - 1))
@@ -47,6 +73,13 @@ def _slot_val(spec: SketchSpec) -> tuple[Column, Column]:
     return slot, F.call_function("shiftleft", F.lit(1).cast("long"), F.least(zeros, F.lit(spec.bitmap_len - 1)).cast("int"))
 
 
+def slot_merge(spec: SketchSpec):
+    """The aggregate that merges values of one slot; None for sketches that keep hashes."""
+    if own := CUSTOM.get(spec.kind):
+        return own.merge
+    return {"hll": F.max, "linear": F.max, "fm": F.bit_or}.get(spec.kind)
+
+
 def _candidates(h: DataFrame, m: int, by: tuple) -> DataFrame:
     """Rows that can be among the ``m`` least distinct hashes, so that few of all hashes are shuffled.
 
@@ -57,15 +90,14 @@ def _candidates(h: DataFrame, m: int, by: tuple) -> DataFrame:
     if by:
         rank = F.row_number().over(Window.partitionBy(*by).orderBy("least"))
         cut = least.withColumn("rank", rank).where(F.col("rank") == m).select(*by, F.col("least").alias("cut"))
-        return h.join(cut, list(by), "left").where("cut is null or h <= cut").select(*by, "h")
+        return _with(h, cut, by, "left").where("cut is null or h <= cut").select(*by, "h")
     cut = least.orderBy("least").limit(m).agg(F.when(F.count(F.lit(1)) == m, F.max("least")).alias("cut"))
     return h.crossJoin(F.broadcast(cut)).where("cut is null or h <= cut").select("h")
 
 
 def state_of_hashes(h: DataFrame, spec: SketchSpec, by: tuple = ()) -> DataFrame:
-    if spec.kind in ("hll", "linear", "fm"):
+    if merge := slot_merge(spec):
         slot, val = _slot_val(spec)
-        merge = F.bit_or if spec.kind == "fm" else F.max
         return h.select(*by, slot.alias("slot"), val.alias("val")).groupBy(*by, "slot").agg(merge("val").alias("val"))
     kept = _candidates(h.select(*by, "h"), spec.k + (spec.kind == "adaptive"), by).distinct()
     if spec.kind == "bottomk":
@@ -80,12 +112,12 @@ def state_of_hashes(h: DataFrame, spec: SketchSpec, by: tuple = ()) -> DataFrame
     counts = zeros.groupBy(*by, "z").agg(F.count(F.lit(1)).alias("c"))
     above = F.sum("c").over(Window.partitionBy(*by).orderBy(F.desc("z")))
     level = counts.withColumn("left", above).groupBy(*by).agg(F.coalesce(F.max(F.when(F.col("left") > spec.k, F.col("z") + 1)), F.lit(0)).cast("int").alias("slot"))
-    joined = zeros.join(level, list(by)) if by else zeros.crossJoin(F.broadcast(level))
+    joined = _with(zeros, level, by) if by else zeros.crossJoin(F.broadcast(level))
     return joined.where("z >= slot").select(*by, "slot", F.col("h").alias("val"))
 
 
-def build_state(df: DataFrame, item: list[str], spec: SketchSpec, key: SketchKey, by: tuple = (), keep_below: int | None = None) -> DataFrame:
-    return state_of_hashes(hashed(df, item, key, by, keep_below), spec, by)
+def build_state(df: DataFrame, item: list[str], spec: SketchSpec, key: SketchKey, by: tuple = (), keep_below: int | None = None, own: bool = False) -> DataFrame:
+    return state_of_hashes(hashed(df, item, key, by, keep_below, own=own), spec, by)
 
 
 def merge_states(states: list[DataFrame], spec: SketchSpec, by: tuple = ()) -> DataFrame:
@@ -93,22 +125,65 @@ def merge_states(states: list[DataFrame], spec: SketchSpec, by: tuple = ()) -> D
     out = states[0]
     for s in states[1:]:
         out = out.unionByName(s)
-    if spec.kind in ("hll", "linear", "fm"):
-        return out.groupBy(*by, "slot").agg((F.bit_or if spec.kind == "fm" else F.max)("val").alias("val"))
+    if merge := slot_merge(spec):
+        return out.groupBy(*by, "slot").agg(merge("val").alias("val"))
     if spec.kind == "bottomk":
         return state_of_hashes(out.select(*by, F.col("val").alias("h")), spec, by)
     level = out.groupBy(*by).agg(F.max("slot").alias("least"))
-    both = out.join(level, list(by)) if by else out.crossJoin(F.broadcast(level))
+    both = _with(out, level, by) if by else out.crossJoin(F.broadcast(level))
     deep = both.where(F.lit(BITS) - bit_length(F.col("val")) >= F.col("least")).select(*by, F.col("val").alias("h"))
-    again = state_of_hashes(deep, spec, by).join(level, list(by)) if by else state_of_hashes(deep, spec, by).crossJoin(F.broadcast(level))
+    again = _with(state_of_hashes(deep, spec, by), level, by) if by else state_of_hashes(deep, spec, by).crossJoin(F.broadcast(level))
     return again.select(*by, F.greatest("slot", "least").alias("slot"), "val")
 
 
-def estimate_state(state: DataFrame, spec: SketchSpec, by: tuple = ()) -> DataFrame:
-    """(by.., base_estimate, pi, saturated); base_estimate is null where the sketch is saturated."""
+def _likeliest(levels: list[tuple[float, Column, Column]], k: int) -> tuple[Column, Column]:
+    """The cardinality under which what slots show is likeliest, for independent slots with k places each.
+
+    Each level has its chance a, how often it was seen to be reached (up) and how often seen not to be, in
+    units of a (down).  With rate x of items per slot the slope of the log-likelihood is the sum of
+    a (up / (e^(a x) - 1) - down), which falls in x; its root is bisected in log2 x.
+    """
+    rows = F.array(*[F.struct(F.lit(a).alias("a"), up.cast("double").alias("up"), down.cast("double").alias("down")) for a, up, down in levels])
+
+    def slope(log_x: Column) -> Column:
+        x = F.pow(F.lit(2.0), log_x)
+        return F.aggregate("_levels", F.lit(0.0), lambda s, r: s + r.a * (r.up / F.expm1(F.least(x * r.a, F.lit(700.0))) - r.down))
+
+    def halve(s: Column, _: Column) -> Column:
+        mid = (s.lo + s.hi) / 2
+        rising = slope(mid) > 0
+        return F.struct(F.when(rising, mid).otherwise(s.lo).alias("lo"), F.when(rising, s.hi).otherwise(mid).alias("hi"))
+
+    root = F.aggregate(F.sequence(F.lit(1), F.lit(64)), F.struct(F.lit(-64.0).alias("lo"), F.lit(64.0).alias("hi")), halve, lambda s: F.pow(F.lit(2.0), (s.lo + s.hi) / 2))
+    seen = F.exists("_levels", lambda r: r.up > 0)
+    return rows, F.when(seen, F.lit(float(k)) * root).otherwise(F.lit(0.0))
+
+
+def _levels(spec: SketchSpec) -> list[tuple[float, Column, Column]]:
+    k, n, zero = spec.k, F.count("slot"), F.lit(0)
+    if spec.kind == "hll":
+        out = [(1.0, zero, F.lit(k) - n)]
+        for v in range(1, BITS - k.bit_length() + 3):
+            c = F.count(F.when(F.col("val") == v, True))
+            out.append((2.0 ** -min(v, BITS - k.bit_length() + 1), c, c))
+        return out
+    last = spec.bitmap_len - 1
+    seen = [F.count(F.when(F.col("val").bitwiseAND(F.lit(1 << i).cast("long")) != 0, True)) for i in range(spec.bitmap_len)]
+    return [(2.0 ** -min(i + 1, last), c, F.lit(k) - c) for i, c in enumerate(seen)]
+
+
+def estimate_state(state: DataFrame, spec: SketchSpec, by: tuple = (), estimator: str = "classic") -> DataFrame:
+    """(by.., base_estimate, pi, saturated); base_estimate is null where the sketch is saturated.
+
+    ``mle``: the likeliest cardinality, for fm and hll; less error for fm, and no bump of bias at small counts for hll.
+    """
     k, n = spec.k, F.count("slot")
     g = state.groupBy(*by)
-    if spec.kind == "linear":
+    if estimator not in ("classic", "mle") or estimator == "mle" and spec.kind not in ("hll", "fm"):
+        raise ValueError(f"no estimator {estimator} for {spec.kind}")
+    if own := CUSTOM.get(spec.kind):
+        est, pi = own.estimate(k), own.pi(k)
+    elif spec.kind == "linear":
         pi = 1 - n / F.lit(float(k))
         est = F.when(pi > 0, -F.lit(float(k)) * F.ln(pi))
     elif spec.kind == "hll":
@@ -129,6 +204,10 @@ def estimate_state(state: DataFrame, spec: SketchSpec, by: tuple = ()) -> DataFr
     else:
         pi = F.pow(F.lit(2.0), -F.coalesce(F.max("slot"), F.lit(0)))
         est = n / pi
+    if estimator == "mle":
+        rows, likeliest = _likeliest(_levels(spec), k)
+        out = g.agg(pi.alias("pi"), rows.alias("_levels")).select(*by, likeliest.alias("base_estimate"), "pi")
+        return out.withColumn("saturated", F.lit(False))
     return g.agg(est.alias("base_estimate"), pi.alias("pi")).withColumn("saturated", F.col("base_estimate").isNull())
 
 
@@ -160,6 +239,8 @@ def size_bits(state: DataFrame, k: int, by: tuple = ()) -> DataFrame:
 def influential_items(df: DataFrame, item: list[str], spec: SketchSpec, key: SketchKey) -> DataFrame:
     """Number of items whose removal alone alters the state: for a diagnosis, not for release."""
     h = hashed(df, item, key).distinct()
+    if spec.kind in CUSTOM:
+        raise ValueError("influential items are counted for the sketches of the library only")
     if spec.kind in ("bottomk", "adaptive"):
         return build_state(df, item, spec, key).agg(F.count(F.lit(1)).alias("influential"))
     slot, val = _slot_val(spec)
@@ -171,3 +252,24 @@ def influential_items(df: DataFrame, item: list[str], spec: SketchSpec, key: Ske
         alone = each.groupBy("slot", "val").agg(F.count(F.lit(1)).alias("n")).withColumn("r", F.row_number().over(at)).where("r = 1 and n = 1")
     return alone.agg(F.count(F.lit(1)).alias("influential"))
 
+
+
+def _least_fraction(k: int) -> Column:
+    """Sum over slots of the least hash, as a fraction; an empty slot counts as one."""
+    return F.coalesce(F.sum(F.col("val") / F.lit(float(SPACE >> (k.bit_length() - 1)))), F.lit(0.0)) + (F.lit(k) - F.count("slot"))
+
+
+#: The least hash of each of k bins (k a power of two), as a registered sketch: one narrow aggregate, no distinct step.
+register_sketch(
+    "binmin",
+    CustomSketch(
+        slot=lambda h, k: h % k,
+        val=lambda h, k: F.shiftright(h, k.bit_length() - 1),
+        merge=F.min,
+        estimate=lambda k: F.when(F.count("slot") == 0, F.lit(0.0)).otherwise(F.lit(float(k * (k - 1))) / _least_fraction(k)),
+        pi=lambda k: _least_fraction(k) / F.lit(float(k)),
+        bits=lambda k: 64 * k,
+        k_max=lambda k: k,
+        rel_std_error=lambda k: (k - 2) ** -0.5,
+    ),
+)

@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.hashing import SPACE, SketchKey, slices
-from ..functions.privacy import SketchSpec, min_cardinality, pi0, threshold
+from ..functions.privacy import SketchSpec, delta, estimate_threshold, min_cardinality, pi0, threshold, variance_bound
 from ..operators.baselines import default_gamma
 from ..operators.sketches import estimate_state, hashed, size_bits, state_of_hashes
 
@@ -60,3 +60,26 @@ def space_summary(spark: SparkSession, n: int, k: int, trials: int, key: SketchK
     theirs = size_bits(simulated_per_bucket(spark, n, k, trials, key), k, ("trial",))
     both = ours.agg(F.avg("paper_bits").alias("private_bits")).crossJoin(theirs.agg(F.avg("paper_bits").alias("per_bucket_bits")))
     return both.select("*", (F.col("per_bucket_bits") / F.col("private_bits")).alias("space_ratio"))
+
+
+def violation_summary(spark: SparkSession, n: int, spec: SketchSpec, trials: int, key: SketchKey, eps: float) -> DataFrame:
+    """Share of unmodified states that violate, the same told from the estimate, and the stated failure probability.
+
+    Below the least cardinality the stated one is 1, as the theorem then says nothing.
+    """
+    est = estimates(spark, n, spec, trials, key)
+    least = estimate_threshold(spec, eps)
+    low = F.avg((F.col("estimate") < F.lit(least)).cast("double")) if least else F.lit(None).cast("double")
+    return est.agg(F.avg((F.col("pi") >= F.lit(pi0(eps))).cast("double")).alias("violating"), low.alias("below_threshold"), F.lit(float(delta(spec, n, eps))).alias("delta"), F.count(F.lit(1)).alias("trials"))
+
+
+def moment_summary(spark: SparkSession, n: int, spec: SketchSpec, trials: int, key: SketchKey, eps: float) -> DataFrame:
+    """Bias of the private estimate with its z-score, its variance, the bound on it and its ratio to the plain one's."""
+    v = math.ceil(min_cardinality(spec.k_max, eps))
+    mine, plain = estimates(spark, n, spec, trials, key, eps), estimates(spark, n, spec, trials, key)
+    error = F.col("estimate") - F.lit(n)
+    own = mine.agg(F.avg(error).alias("bias"), F.var_samp("estimate").alias("variance"), F.count(F.lit(1)).alias("trials"))
+    other = plain.agg(F.var_samp("estimate").alias("plain_variance"))
+    z = F.col("bias") / F.sqrt(F.col("variance") / F.col("trials"))
+    bound = F.lit(float(variance_bound(n, v, spec.rel_std_error(n) ** -2, pi0(eps))))
+    return own.crossJoin(other).select("bias", z.alias("z"), "variance", bound.alias("variance_bound"), (F.col("variance") / F.col("plain_variance")).alias("variance_ratio"), "trials")

@@ -14,7 +14,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import privacy as pv
+from ..functions import sqlapi
 from ..functions.hashing import BITS, SPACE, SketchKey, local_slices
+from ..operators import audit
 from ..operators import baselines as bl
 from ..operators import release as rl
 from ..operators import sketches as sk
@@ -25,6 +27,7 @@ from . import experiments as ex
 EPS = math.log(2)
 RAW = "('r:' || {})"  # text of an item, as hashed
 SPECS = {k: pv.SketchSpec(k, 64 if k == "fm" else 128) for k in ("fm", "linear", "bottomk", "adaptive", "hll")}
+TINY = {"linear": (3, 0, 6), "bottomk": (2, 6, 5), "hll": (2, 3, 5), "fm": (1, 3, 5)}  # kind -> k, levels, items
 GRID = [(kind, k, eps) for kind in SPECS for k in (128, 1024, 4096) for eps in (0.1, 0.5, EPS, 1.0, 2.0)]
 
 
@@ -50,6 +53,12 @@ def _hashes(key: SketchKey, source: str, text: str, by: str = "", below: int | N
     return f"select {by}{part(1)} as h from {source} where {text} is not null{keep}"
 
 
+def _tagged(by: str, text: str) -> str:
+    """Text of an item of a group that has a hash function of its own."""
+    parts = [f"coalesce(length({c}::varchar) || '.' || {c}::varchar || '/', '-/')" for c in by.rstrip(", ").split(", ")]
+    return f"({' || '.join(parts)} || {text})"
+
+
 def _state(spec: pv.SketchSpec, hashes: str, by: str = "") -> str:
     k, b = spec.k, spec.k.bit_length() - 1
     zeros = f"({BITS - b} - case when h >> {b} = 0 then 0 else length(bin(h >> {b})) end)"
@@ -57,6 +66,8 @@ def _state(spec: pv.SketchSpec, hashes: str, by: str = "") -> str:
     part = f"partition by {by.rstrip(', ')} " if by else ""
     if spec.kind == "hll":
         return f"select {by}slot, max(val) as val from (select {by}cast(h % {k} as int) as slot, cast({zeros} + 1 as bigint) as val from ({hashes})) {group}"
+    if spec.kind == "binmin":
+        return f"select {by}slot, min(val) as val from (select {by}cast(h % {k} as int) as slot, h >> {b} as val from ({hashes})) {group}"
     if spec.kind == "linear":
         return f"select {by}slot, max(val) as val from (select {by}cast(h % {k} as int) as slot, cast(1 as bigint) as val from ({hashes})) {group}"
     if spec.kind == "fm":
@@ -79,6 +90,9 @@ def _estimate(spec: pv.SketchSpec, state: str, by: str = "") -> str:
         last = spec.bitmap_len - 1
         missing = " + ".join(f"case when val & {1 << i} = 0 then {2.0 ** -min(i + 1, last)!r}::double else 0 end" for i in range(spec.bitmap_len))
         est, pi = f"{k / 0.77351!r}::double * pow(2.0::double, coalesce(sum(bit_count(xor(val, val + 1)) - 1), 0) / {float(k)}::double)", f"(coalesce(sum({missing}), 0) + {k} - count(slot)) / {float(k)}::double"
+    elif spec.kind == "binmin":
+        total = f"(coalesce(sum(val / {float(SPACE >> (k.bit_length() - 1))!r}::double), 0) + {k} - count(slot))"
+        est, pi = f"case when count(slot) = 0 then 0 else {float(k * (k - 1))!r}::double / {total} end", f"{total} / {float(k)}::double"
     elif spec.kind == "bottomk":
         kth = f"(max(val) / {float(SPACE)!r}::double)"
         est, pi = f"case when count(slot) < {k} then count(slot)::double else {k - 1.0} / {kth} end", f"case when count(slot) < {k} then 1.0 else {kth} end"
@@ -95,7 +109,7 @@ def _release(spec, hashes: str, p: float, v: int, d: float | None, by: str = "")
 
 def _phantom_hashes(key: SketchKey, v: int, below: int | None = None, by: str = "", groups: str = "") -> str:
     source = f"(select {by}g.i as id from {groups + ', ' if groups else ''}(select unnest(range({v})) as i) g)"
-    return _hashes(key, source, "('p:' || id)", by, below)
+    return _hashes(key, source, _tagged(by, "'p:' || id") if by else "('p:' || id)", by, below)
 
 
 def _local_stop(spec: pv.SketchSpec, key: SketchKey) -> int:
@@ -185,7 +199,7 @@ def _grouped() -> None:
     v = math.ceil(pv.min_cardinality(spec.k_max, EPS))
     for name, t, item, by in (("grouped_event_type", "events", "user_id", "event_type"), ("grouped_priority", "orders", "o_custkey", "o_orderpriority")):
         key = public_key(name)
-        hashes = f"{_hashes(key, t, f'({chr(39)}r:{chr(39)} || {item})', f'{by}, ', thin)} union all {_phantom_hashes(key, v, thin, f'{by}, ', f'(select distinct {by} from {t})')}"
+        hashes = f"{_hashes(key, t, _tagged(by, RAW.format(item)), f'{by}, ', thin)} union all {_phantom_hashes(key, v, thin, f'{by}, ', f'(select distinct {by} from {t})')}"
         _add(name, lambda s, d, t=t, item=item, by=by, key=key: _rounded(rl.release_any(table(s, d, t), [item], spec, budget(), key, (by,))), _release(spec, hashes, bound, v, 0.0, f"{by}, "))
     star_key = public_key("segment")
     star = "(select r_name, c_mktsegment, o_custkey from orders join customer on o_custkey = c_custkey join nation on c_nationkey = n_nationkey join region on n_regionkey = r_regionkey)"
@@ -196,7 +210,7 @@ def _grouped() -> None:
         return _rounded(rl.release_any(rows, ["o_custkey"], spec, budget(), star_key, ("r_name", "c_mktsegment")))
 
     by = "r_name, c_mktsegment, "
-    hashes = f"{_hashes(star_key, star, chr(40) + chr(39) + 'r:' + chr(39) + ' || o_custkey)', by, thin)} union all {_phantom_hashes(star_key, v, thin, by, f'(select distinct r_name, c_mktsegment from {star})')}"
+    hashes = f"{_hashes(star_key, star, _tagged(by, RAW.format('o_custkey')), by, thin)} union all {_phantom_hashes(star_key, v, thin, by, f'(select distinct r_name, c_mktsegment from {star})')}"
     _add("region_segment_customers", segments, _release(spec, hashes, bound, v, 0.0, by))
     word_key = public_key("words")
     _add("words_per_lang", lambda s, d: _rounded(sk.estimate_state(sk.build_state(table(s, d, "documents").select("lang", F.explode(F.split(F.lower("text"), " ")).alias("w")), ["w"], spec, word_key, ("lang",)), spec, ("lang",)).drop("saturated")), f"select lang, round(base_estimate, 6) as base_estimate, round(pi, 6) as pi from ({_estimate(spec, _state(spec, _hashes(word_key, '(select lang, unnest(string_split(lower(text), chr(32))) as w from documents)', chr(40) + chr(39) + 'r:' + chr(39) + ' || w)', 'lang, '), 'lang, '), 'lang, ')})")
@@ -209,7 +223,7 @@ def _grouped() -> None:
 
     _add("rollup_internal", rollup, f"select l_returnflag, round(base_estimate, 6) as base_estimate, round(pi, 6) as pi from ({_estimate(spec, _state(spec, _hashes(roll_key, 'lineitem', chr(40) + chr(39) + 'r:' + chr(39) + ' || l_orderkey)', 'l_returnflag, '), 'l_returnflag, '), 'l_returnflag, ')})")
     key = public_key("stream")
-    _add("stream_windows_batch", lambda s, d: stream_states(table(s, d, "events"), "ts", ["user_id"], spec, key).select(F.col("window_start").cast("timestamp_ntz").alias("window_start"), "slot", "val"), _state(spec, _hashes(key, "(select date_trunc('day', ts)::timestamp as window_start, user_id from events)", "('r:' || user_id)", "window_start, "), "window_start, "))
+    _add("stream_windows_batch", lambda s, d: stream_states(table(s, d, "events"), "ts", ["user_id"], spec, key).select(F.col("window_start").cast("timestamp_ntz").alias("window_start"), "slot", "val"), _state(spec, _hashes(key, "(select date_trunc('day', ts)::timestamp as window_start, user_id from events)", _tagged("window_start", RAW.format("user_id")), "window_start, "), "window_start, "))
 
 
 def _more_tables() -> None:
@@ -243,7 +257,7 @@ def _more_tables() -> None:
     part = lambda h, n: f"(select base_estimate as {n} from ({_estimate(spec, _state(spec, h))}))"
     _add("text_overlap_diagnostic", overlap, f"select round(a, 6) as a, round(b, 6) as b, round(u, 6) as both, round(a + b - u, 6) as overlap from {part(ha, 'a')}, {part(hb, 'b')}, {part(f'{ha} union all {hb}', 'u')}")
     role_key = public_key("roles")
-    hashes = f"{_hashes(role_key, 'conversations', RAW.format('conv_id'), 'role, ', thin)} union all {_phantom_hashes(role_key, v, thin, 'role, ', '(select distinct role from conversations)')}"
+    hashes = f"{_hashes(role_key, 'conversations', _tagged('role', RAW.format('conv_id')), 'role, ', thin)} union all {_phantom_hashes(role_key, v, thin, 'role, ', '(select distinct role from conversations)')}"
     _add("conversations_per_role", lambda s, d: _rounded(rl.release_any(table(s, d, "conversations"), ["conv_id"], spec, budget(), role_key, ("role",))), _release(spec, hashes, bound, v, 0.0, "role, "))
     vector_key = public_key("vectors")
 
@@ -256,6 +270,97 @@ def _more_tables() -> None:
     _add("rounded_vectors_per_label", vectors, f"select label, round(base_estimate, 6) as base_estimate, round(pi, 6) as pi from ({_estimate(spec, _state(spec, _hashes(vector_key, steps, RAW.format('steps'), 'label, '), 'label, '), 'label, ')})")
 
 
+def _any_by(name: str, rows: Callable, source: str, item: str, by: tuple) -> None:
+    """A grouped release of ``item`` beside its SQL over ``source``, which has the same columns."""
+    spec, thin, bound, key = SPECS["hll"], pv.threshold(EPS), pv.pi0(EPS), public_key(name)
+    v, cols = math.ceil(pv.min_cardinality(SPECS["hll"].k_max, EPS)), "".join(f"{c}, " for c in by)
+    groups = f"(select distinct {cols.rstrip(', ')} from {source})"
+    hashes = f"{_hashes(key, source, _tagged(cols, RAW.format(item)), cols, thin)} union all {_phantom_hashes(key, v, thin, cols, groups)}"
+    _add(name, lambda s, d: _rounded(rl.release_any(rows(s, d), [item], spec, budget(), key, by)), _release(spec, hashes, bound, v, 0.0, cols))
+
+
+def _wider() -> None:
+    """Days, joins, cubes, hosts and copies of texts; likelihood estimators; registered sketches; Spark SQL."""
+    spec = SPECS["hll"]
+    day = lambda s, d: table(s, d, "events").select(F.to_date("ts").alias("day"), "user_id")
+    _any_by("grouped_day", day, "(select ts::date as day, user_id from events)", "user_id", ("day",))
+    _any_by("nation_suppliers", lambda s, d: table(s, d, "supplier").join(table(s, d, "nation"), F.col("s_nationkey") == F.col("n_nationkey")), "(select n_name, s_suppkey from supplier join nation on s_nationkey = n_nationkey)", "s_suppkey", ("n_name",))
+    host = lambda s, d: table(s, d, "pages").select(F.regexp_extract("url", "^[a-z]+://([^/]+)", 1).alias("host"))
+
+    def whole(name: str, rows: Callable, source: str, item: str) -> None:
+        key = public_key(name)
+        v, thin, bound = math.ceil(pv.min_cardinality(spec.k_max, EPS)), pv.threshold(EPS), pv.pi0(EPS)
+        hashes = f"{_hashes(key, source, RAW.format(item), below=thin)} union all {_phantom_hashes(key, v, thin)}"
+        _add(name, lambda s, d: _rounded(rl.release_any(rows(s, d), [item], spec, budget(), key)), _release(spec, hashes, bound, v, 0.0))
+
+    whole("url_hosts", host, "(select regexp_extract(url, '^[a-z]+://([^/]+)', 1) as host from pages)", "host")
+    whole("text_copies", lambda s, d: table(s, d, "documents"), "documents", "text")
+
+    cube_key = public_key("cube")
+    cuts = [("l_returnflag", "l_linestatus"), ("l_returnflag",), ("l_linestatus",), ()]
+
+    def cube(s, d):
+        fine = sk.build_state(table(s, d, "lineitem"), ["l_orderkey"], spec, cube_key, cuts[0])
+        name = lambda c, by: F.col(c) if c in by else F.lit(None).cast("string").alias(c)
+        levels = [sk.estimate_state(sk.merge_states([fine.select(*by, "slot", "val")], spec, by), spec, by).select(name("l_returnflag", by), name("l_linestatus", by), "base_estimate", "pi") for by in cuts]
+        return _rounded(reduce(DataFrame.unionByName, levels))
+
+    def cell(by: tuple) -> str:
+        cols = "".join(f"{c}, " for c in by)
+        shown = ", ".join(c if c in by else f"cast(null as varchar) as {c}" for c in cuts[0])
+        return f"select {shown}, round(base_estimate, 6) as base_estimate, round(pi, 6) as pi from ({_estimate(spec, _state(spec, _hashes(cube_key, 'lineitem', RAW.format('l_orderkey'), cols), cols), cols)})"
+
+    _add("cube_internal", cube, " union all ".join(cell(by) for by in cuts))
+    week_key = public_key("weeks")
+
+    def weeks(s, d):
+        fine = sk.build_state(table(s, d, "events").withColumn("week", F.date_trunc("week", "ts")), ["user_id"], spec, week_key, ("week",))
+        return sk.merge_states([fine.drop("week")], spec).select("slot", "val")
+
+    _add("merge_equals_whole", weeks, _state(spec, _hashes(week_key, "events", RAW.format("user_id"))))
+    for kind in ("hll", "fm"):
+        one, key = SPECS[kind], public_key(kind)
+        state = _state(one, _hashes(key, "lineitem", RAW.format("l_orderkey")))
+        _add(f"mle_{kind}", lambda s, d, one=one, key=key: _rounded(sk.estimate_state(sk.build_state(table(s, d, "lineitem"), ["l_orderkey"], one, key), one, (), "mle")), _mle(one, state))
+    own, own_key = pv.SketchSpec("binmin", 128), public_key("binmin")
+    v, thin = math.ceil(pv.min_cardinality(own.k_max, EPS)), pv.threshold(EPS)
+    hashes = f"{_hashes(own_key, 'lineitem', RAW.format('l_orderkey'), below=thin)} union all {_phantom_hashes(own_key, v, thin)}"
+    _add("any_registered", lambda s, d: _rounded(rl.release_any(table(s, d, "lineitem"), ["l_orderkey"], own, budget(), own_key)), _release(own, hashes, pv.pi0(EPS), v, 0.0))
+
+    def by_sql(s, d):
+        sqlapi.register(s)
+        return _rounded(s.sql(sqlapi.sql_release_any("{lines}", "l_orderkey", public_key("hll").secret, 128, EPS), lines=table(s, d, "lineitem")))
+
+    _add("sql_release", by_sql, f"select base_estimate, estimate from ({_SQL['any_hll']})")
+
+    def curve(s, d):
+        sqlapi.register(s)
+        return _rounded(s.sql(f"select * from private_delta_curve('hll', 128, {EPS!r}D, 200, 8000, 200)"))
+
+    _add("delta_curve", curve, f"select n, round({pv.min_cardinality(128, EPS)!r}::double, 6) as n0, round(case when n <= {pv.min_cardinality(128, EPS)!r} then 1 else least(1, 128 * exp(-{pv.pi0(EPS)!r}::double * n / 128)) end, 6) as delta from (select unnest(range(200, 8001, 200)) as n)")
+
+
+def _mle(spec: pv.SketchSpec, state: str) -> str:
+    k, b = spec.k, spec.k.bit_length() - 1
+    if spec.kind == "hll":
+        levels = f"select 1.0::double as a, 0.0::double as up, ({k} - count(slot))::double as down from s union all select pow(2.0::double, -least(val, {BITS - b})), count(*)::double, count(*)::double from s group by val"
+    else:
+        last = spec.bitmap_len - 1
+        levels = " union all ".join(f"select {2.0 ** -min(i + 1, last)!r}::double as a, c::double as up, ({k} - c)::double as down from (select count(*) as c from s where val & {1 << i} <> 0)" for i in range(spec.bitmap_len))
+    slope = "list_sum(list_transform(l, lambda r: r.a * (r.up / (exp(least(pow(2.0::double, (lo + hi) / 2) * r.a, 700)) - 1) - r.down)))"
+    return f"with recursive s as materialized ({state}), l as materialized (select list({{'a': a, 'up': up, 'down': down}} order by a) as l from ({levels}) where up > 0 or down > 0), b as (select 0 as i, -64.0::double as lo, 64.0::double as hi union all select i + 1, case when f > 0 then (lo + hi) / 2 else lo end, case when f > 0 then hi else (lo + hi) / 2 end from (select i, lo, hi, {slope} as f from b, l where i < 64)) select round({float(k)}::double * pow(2.0::double, (lo + hi) / 2), 6) as base_estimate, round(pi, 6) as pi, false as saturated from b, ({_estimate(spec, 'select * from s')}) where i = 64"
+
+
+def _audits() -> None:
+    """Every hash function of tiny sketches; thinned ones above the least cardinality stay within eps."""
+    def add(name: str, kind: str, k: int, levels: int, n: int, rate: float) -> None:
+        _add(name, lambda s, d: _rounded(audit.bayes_factors(s, kind, k, levels, n, rate)), audit.bayes_sql(kind, k, levels, n, rate))
+
+    for kind, (k, levels, n) in TINY.items():
+        add(f"bayes_{kind}", kind, k, levels, n, 1.0)
+    add("bayes_thinned", "linear", 2, 0, 7, pv.pi0(0.4))
+
+
 def _experiments() -> None:
     n, trials, key = 1 << 20, 4, SketchKey("experiment", "native")
 
@@ -266,6 +371,21 @@ def _experiments() -> None:
     def space(s, d):
         return reduce(DataFrame.union, [ex.space_summary(s, n, k, trials, key, EPS).select(F.lit(k).alias("k"), "*") for k in (128, 1024, 4096)])
 
+    def violations(s, d):
+        out = []
+        for kind in ("hll", "linear", "bottomk"):
+            spec = pv.SketchSpec(kind, 128)
+            for m in (1.02, 1.25, 1.5):
+                size = math.ceil(m * pv.min_cardinality(spec.k_max, EPS)) if kind != "linear" else math.ceil(m * 88)
+                out.append(ex.violation_summary(s, size, spec, 200, key, EPS).select(F.lit(kind).alias("kind"), F.lit(size).alias("n"), "*"))
+        return reduce(DataFrame.union, out)
+
+    def moments(s, d):
+        spec = pv.SketchSpec("bottomk", 64)
+        return reduce(DataFrame.union, [ex.moment_summary(s, size, spec, 200, key, EPS).select(F.lit(size).alias("n"), "*") for size in (256, 1024, 4096, 16384)])
+
+    _add("experiment_violation", violations)
+    _add("experiment_bias_variance", moments)
     _add("experiment_error", errors)
     _add("experiment_space", space)
 
@@ -308,6 +428,8 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         _sketches()
         _grouped()
         _more_tables()
+        _wider()
+        _audits()
         _baselines()
         _experiments()
     return dict(_QUERIES)

@@ -7,21 +7,28 @@ from pyspark.sql import functions as F
 
 from ..functions.hashing import SketchKey
 from ..functions.privacy import SketchSpec
-from ..operators.sketches import _slot_val, hashed
+from ..operators.sketches import _slot_val, hashed, slot_merge
 
 
-def stream_states(events: DataFrame, ts: str, item: list[str], spec: SketchSpec, key: SketchKey, window: str = "1 day", slide: str | None = None, watermark: str = "1 day") -> DataFrame:
+def stream_states(events: DataFrame, ts: str, item: list[str], spec: SketchSpec, key: SketchKey, window: str = "1 day", slide: str | None = None, watermark: str = "1 day", own: bool = True) -> DataFrame:
     """(window_start, slot, val); the same plan over a stream (append mode) and over a table.
 
+    ``own``: each window has a hash function of its own, so that windows can be released one by one; without it
+    states of windows merge but at most one function of them may be released.
+
     Replays and duplicates are harmless, rows later than the watermark are dropped by the engine.
     """
-    if spec.kind not in ("hll", "linear", "fm"):
+    merge = slot_merge(spec)
+    if merge is None:
         raise ValueError("only slot sketches aggregate over a stream")
     rows = events.withColumn("_ts", F.col(ts).cast("timestamp"))
     if rows.isStreaming:
         rows = rows.withWatermark("_ts", watermark)
     slot, val = _slot_val(spec)
-    h = hashed(rows, item, key, ("_ts",)).select("_ts", slot.alias("slot"), val.alias("val"))
-    merge = F.bit_or if spec.kind == "fm" else F.max
-    out = h.groupBy(F.window("_ts", window, slide), "slot").agg(merge("val").alias("val"))
-    return out.select(F.col("window.start").alias("window_start"), "slot", "val")
+    rows = rows.withColumn("_window", F.window("_ts", window, slide)).withColumn("_start", F.col("_window.start"))
+    if own:
+        h = hashed(rows.withColumn("_kept", F.col("_window")), item, key, ("_start",), None, "r", True, ("_kept",))
+    else:
+        h = hashed(rows, item, key, ("_window",)).withColumnRenamed("_window", "_kept")
+    out = h.select("_kept", slot.alias("slot"), val.alias("val")).groupBy("_kept", "slot").agg(merge("val").alias("val"))
+    return out.select(F.col("_kept.start").alias("window_start"), "slot", "val")
