@@ -142,8 +142,9 @@ class Model:
         p = (lower + 1) / (self.tokens + self.kinds + 1)
         for k in range(2, self.order + 1):
             g, at = grams[k - 1]
+            some, where = np.unique(g, return_inverse=True)  # frequent n-grams take the most probes
             c = np.zeros(len(h))
-            c[at] = self.bloom.count(k, g)
+            c[at] = self.bloom.count(k, some)[where]
             context = np.zeros(len(h))
             context[at] = np.maximum(lower[at - 1], c[at])
             p = (c + self.mu * p) / (context + self.mu)
