@@ -13,7 +13,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from private_distinct.llm import bpe, packing, simhash, suffix_dedup, toxicity
+from private_distinct.llm import bpe, near_copies, packing, simhash, suffix_dedup, toxicity
 from private_distinct.llm.common import materialise
 
 THRESHOLD, SEQUENCE, LENGTH = 0.5, 2048, 50
@@ -29,13 +29,22 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document of least id of each SimHash group."""
+    """The document of least id of each SimHash group under op7's contract (three words, three bits); not in STAGES."""
     groups = simhash.near_duplicates(docs.where("doc_id is not null"))
     first = groups.where("doc_id = component_id").select("doc_id")
     kept = docs.join(first, "doc_id", "left_semi").dropDuplicates(["doc_id"])
     return kept.select(*docs.columns).union(docs.where("doc_id is null"))
 
 
+def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The document of least id of each group linked by five-word similarity of 0.8 or more."""
+    groups = near_copies.grouped(docs.where("doc_id is not null"))
+    groups = groups.withColumn("_tie", F.xxhash64(*docs.columns))
+    first = groups.groupBy("root").agg(F.min(F.struct("doc_id", "_tie")).alias("first")).select("root", "first.*")
+    kept = groups.join(first, ["root", "doc_id", "_tie"], "left_semi").dropDuplicates(["root", "doc_id", "_tie"])
+    return kept.select(*docs.columns).union(docs.where("doc_id is null"))
+
+
 def drop_repeated_strings(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Texts without the bytes of strings that an earlier document has."""
     others = [c for c in docs.columns if c not in ("text", "n_chars")]
@@ -54,7 +63,7 @@ def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 STAGES = [
     ("toxicity", drop_toxic),
-    ("simhash_near_dedup", drop_near_duplicates),
+    ("simhash_near_dedup", drop_near_copies),
     ("suffix_array_dedup", drop_repeated_strings),
     ("best_fit_packing", pack_sequences),
 ]
