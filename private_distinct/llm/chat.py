@@ -2,7 +2,8 @@
 
 Turns are written as ``<|im_start|>role\\ntext<|im_end|>\\n``.  Prefix sums of turn tokens choose spans of whole
 turns: each window holds the system turn, up to ``history`` earlier turns that fit, repeated as context, and
-new turns up to the budget.  The loss mask covers the assistant texts of new turns only, so a repeated target is
+new turns up to the budget.  A turn that fits the budget but not beside the system turn gets a window without
+it; a system turn over the budget is an ordinary turn, as no window can hold it.  The loss mask covers the assistant texts of new turns only, so a repeated target is
 masked.  A single turn over the budget gets a window of its own, whole, without history.
 
 Control strings inside texts are escaped reversibly: every ``<``, backslashes, ``|`` run in a text gains one
@@ -72,6 +73,7 @@ class Windows:
     def __init__(self, budget: int, history: int, count):
         self.budget, self.history, self.count = budget, history, count
         self.system = None
+        self.beside = True  # the current window holds the system turn, if there is one
         self.turns: list = []  # (number, tokens, role, text, is new)
         self.prefix = [0]  # token sums over self.turns
         self.number = self.windows = 0
@@ -79,21 +81,26 @@ class Windows:
     def add(self, role: str, text: str):
         """Yields the window that this turn does not fit into, if any."""
         tokens = self.count(write_turn(role, text)[0])
-        base = self.system[1] if self.system else 0
-        if any(t[4] for t in self.turns) and base + self.prefix[-1] + tokens > self.budget:
+        if role == "system" and not self.number and tokens <= self.budget:
+            self.system = (0, tokens, role, text, True)
+            self.number += 1
+            return
+        most = self.system[1] if self.system else 0
+        beside = most + tokens <= self.budget or tokens > self.budget  # a turn over the budget is over it anyway
+        full = (most if self.beside else 0) + self.prefix[-1] + tokens > self.budget
+        begun = any(t[4] for t in self.turns) or self.system and self.system[4] and not beside
+        if begun and (full or beside and not self.beside):
             yield self.window()
-            room = self.budget - base - tokens
+            self.beside = beside
+            room = self.budget - (most if beside else 0) - tokens
             # the earliest start whose suffix fits, by the prefix sums
             n = len(self.turns)
             start = max(n - self.history, 0)
             while start < n and self.prefix[n] - self.prefix[start] > room:
                 start += 1
             self._restart([(*t[:4], False) for t in self.turns[start:]])
-        if role == "system" and not self.number and tokens <= self.budget // 2:
-            self.system = (0, tokens, role, text, True)
-        else:
-            self.turns.append((self.number, tokens, role, text, True))
-            self.prefix.append(self.prefix[-1] + tokens)
+        self.turns.append((self.number, tokens, role, text, True))
+        self.prefix.append(self.prefix[-1] + tokens)
         self.number += 1
 
     def _restart(self, turns: list) -> None:
@@ -103,7 +110,7 @@ class Windows:
 
     def window(self) -> tuple:
         parts, loss, at, tokens = [], [], 0, 0
-        shown = ([self.system] if self.system else []) + self.turns
+        shown = ([self.system] if self.system and self.beside else []) + self.turns
         for number, n, role, text, new in shown:
             written, a, b = write_turn(role, text)
             if new and role == "assistant":
