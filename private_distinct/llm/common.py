@@ -32,15 +32,18 @@ def materialise(df: DataFrame, tag: str) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
+    folder = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(folder)  # what no step discards goes with the driver
     return spark.read.schema(df.schema).parquet(path)
 
 
-def discard(table: DataFrame) -> None:
-    """Delete a materialised table that no later plan reads."""
-    jvm, sc = table.sparkSession.sparkContext._jvm, table.sparkSession.sparkContext
-    for f in table.inputFiles()[:1]:
-        folder = jvm.org.apache.hadoop.fs.Path(f).getParent()
-        folder.getFileSystem(sc._jsc.hadoopConfiguration()).delete(folder, True)
+def discard(*tables: DataFrame) -> None:
+    """Delete materialised tables that no later plan reads."""
+    for table in tables:
+        jvm, sc = table.sparkSession.sparkContext._jvm, table.sparkSession.sparkContext
+        for f in table.inputFiles()[:1]:
+            folder = jvm.org.apache.hadoop.fs.Path(f).getParent()
+            folder.getFileSystem(sc._jsc.hadoopConfiguration()).delete(folder, True)
 
 
 def free_shuffles(spark: SparkSession) -> None:
@@ -78,8 +81,9 @@ def numbered(df: DataFrame, group: list[str], order: list[str], name: str) -> Da
 def connected_components(edges: DataFrame, tag: str = "cc") -> DataFrame:
     """(node, root) of every node of ``edges(a, b)``; root is the least node reachable.
 
-    Alternating large-star and small-star rounds.  Only joins and combinable minima: no adjacency
-    list is ever gathered, so a hub costs no more than its rows.
+    Alternating large-star and small-star rounds.  Only joins and combinable minima: no adjacency list is ever
+    gathered.  Minima are written before they are joined, so that both sides of a join are plain exchanges and a
+    hub's rows can be split over tasks.
     """
     e = edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct()
     e = materialise(e, tag)
@@ -87,14 +91,18 @@ def connected_components(edges: DataFrame, tag: str = "cc") -> DataFrame:
     while True:
         now = tuple(e.agg(F.count(F.lit(1)), F.bit_xor(F.xxhash64("u", "v"))).first())
         if now == mark or now[0] == 0:
-            return e.select(F.col("u").alias("node"), F.col("v").alias("root")).union(e.select("v", "v")).distinct()
+            out = materialise(e.select(F.col("u").alias("node"), F.col("v").alias("root")).union(e.select("v", "v")).distinct(), tag)
+            discard(e)
+            return out
         mark = now
         both = e.union(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
+        least = materialise(both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m")), tag)
         large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
-        least = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(least, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        e = materialise(small.union(least).where("u <> v").distinct(), tag)
+        again = materialise(large.groupBy("u").agg(F.min("v").alias("m")), tag)
+        small = large.join(again, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        new = materialise(small.union(again).where("u <> v").distinct(), tag)
+        discard(e, least, again)
+        e = new
 
 
 def forest(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:

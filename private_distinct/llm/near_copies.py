@@ -1,14 +1,17 @@
 """Near copies: texts whose sets of five-word shingles have a Jaccard similarity of 0.8 or more, found exactly.
 
-A 64-bit fingerprint is too coarse for this: at similarity 0.83 fingerprints in the given tables differ in up to
-17 bits.  Here sets are ordered by one order of all shingles, those common in a sample of texts last.  Of two
-sets of similarity t, the first size - ceil(t size) + 1 shingles of each share one, whatever the order, so these
-prefixes are dealt by shingle and sets that meet are compared whole.  Sizes and places in the order rule out
-pairs before that.  First each set is compared with the next one of its shingle only; in the second round pairs
-already in one component are left out, so a large group of copies costs no square of its size.
+SimHash comes first: fingerprints of the five-word shingles within three bits meet through their half-radius
+balls (``simhash.ball_edges``), and what meets is verified by the sets themselves.  That links most copies, but a
+64-bit fingerprint is too coarse to find them all: at similarity 0.83 fingerprints of the given tables differ in
+up to 17 bits.  So a second pass finds the rest.  Sets are ordered by one order of all shingles, those common in
+a sample of texts last.  Of two sets of similarity t, the first size - ceil(t size) + 1 shingles of each share one,
+whatever the order, so these prefixes are dealt by shingle and sets that meet are compared whole.  Shingles that
+one prefix has alone are left out by a filter of repeated keys; sizes and places in the order rule out pairs
+before sets are fetched; pairs already in one component are left out, so a large group of copies costs no square
+of its size.
 
 Edge cases: null and blank texts share the empty set and are one class; a text shorter than a shingle is one
-shingle; equal sets are one class; sets and shingles are told apart by 64-bit hashes.
+shingle; equal sets are one class; texts, sets and shingles are told apart by 64-bit hashes.
 """
 
 from __future__ import annotations
@@ -18,27 +21,43 @@ import math
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from . import repeats
 from .common import connected_components, discard, forest, free_shuffles, materialise, partitions
+from .simhash import ball_edges, majority
 
 WORDS, SIMILARITY, SAMPLE, COMMON = 5, 0.8, 8192, 1 << 19
 _POSTING = np.dtype([("shingle", "<u8"), ("cls", "<i8"), ("root", "<i8"), ("size", "<u4"), ("place", "<u4")])
 
 
-def shingle_set(text: str | None, words: int = WORDS) -> np.ndarray:
-    """Sorted distinct hashes of the word shingles of a whole text."""
+def shingles(text: str | None, words: int = WORDS) -> np.ndarray:
+    """Hashes of the word shingles of a whole text, repeats included."""
     found = (text or "").encode().lower().split()
     if not found:
         return np.empty(0, np.uint64)
+    if len(found) <= words:
+        return np.array([xxhash.xxh64_intdigest(b" ".join(found), 42)], np.uint64)
+    joined = b" ".join(found)
+    size = np.fromiter(map(len, found), np.int64, len(found)) + 1
+    ends = np.cumsum(size) - 1
+    starts = (ends + 1 - size)[: len(found) - words + 1].tolist()
     digest = xxhash.xxh64_intdigest
-    n = max(1, len(found) - words + 1)
-    return np.unique(np.fromiter((digest(b" ".join(found[i : i + words])) for i in range(n)), np.uint64, n))
+    return np.array([digest(joined[a:b], 42) for a, b in zip(starts, ends[words - 1 :].tolist(), strict=True)], np.uint64)
+
+
+def shingle_set(text: str | None, words: int = WORDS) -> np.ndarray:
+    """Sorted distinct hashes."""
+    return np.unique(shingles(text, words))
 
 
-def class_of(shingles: np.ndarray) -> int:
-    return int(np.array(xxhash.xxh3_64_intdigest(shingles.tobytes()), np.uint64).view(np.int64))
+def class_of(found: np.ndarray) -> int:
+    return int(np.array(xxhash.xxh3_64_intdigest(found.tobytes()), np.uint64).view(np.int64))
+
+
+def text_hash(text: str) -> Column:
+    return F.xxhash64(F.coalesce(F.col(text), F.lit("")))
 
 
 def least_overlap(a: np.ndarray, b: np.ndarray, similarity: float) -> np.ndarray:
@@ -67,35 +86,39 @@ def common_shingles(docs: DataFrame, text: str, words: int) -> np.ndarray:
     return rows.column(0).to_numpy()[::-1].view(np.uint64)
 
 
-def classed(docs: DataFrame, text: str, words: int, similarity: float) -> DataFrame:
-    """docs with ``cls`` (hash of the set), ``size`` and ``prefix`` (packed shingles in the common order)."""
+def signed(docs: DataFrame, text: str, words: int, similarity: float) -> DataFrame:
+    """For each row the hash of its text, its class (hash of the set), set size, fingerprint, and prefix in the common order."""
     common = common_shingles(docs, text, words)
     by = np.argsort(common)
-    shared = docs.sparkSession.sparkContext.broadcast((common[by], by))
-    names, at = [*docs.columns, "cls", "size", "prefix"], docs.columns.index(text)
+    shared = docs.sparkSession.sparkContext.broadcast((common[by], by))  # at most COMMON shingles
 
     def run(batches):
         known, rank = shared.value
         for b in batches:
-            cls, sizes, prefixes = [], [], []
-            for x in b.column(at):
-                s = shingle_set(x.as_py(), words)
+            cls, sizes, fps, prefixes = [], [], [], []
+            for x in b.column(1):
+                all_ = shingles(x.as_py(), words)
+                fps.append(majority(all_))
+                s = np.unique(all_)
                 cls.append(class_of(s))
                 sizes.append(len(s))
                 if len(known) and len(s):
                     i = np.minimum(np.searchsorted(known, s), len(known) - 1)
                     s = s[np.argsort(np.where(known[i] == s, rank[i], -1), kind="stable")]
                 prefixes.append(s[: len(s) - math.ceil(similarity * len(s) - 1e-9) + 1].tobytes())
-            new = [pa.array(cls, pa.int64()), pa.array(sizes, pa.int32()), pa.array(prefixes, pa.binary())]
-            yield pa.RecordBatch.from_arrays([*b.columns, *new], names=names)
+            new = [pa.array(cls, pa.int64()), pa.array(sizes, pa.int32()), pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(prefixes, pa.binary())]
+            yield pa.RecordBatch.from_arrays([b.column(0), *new], names=["th", "cls", "size", "fp", "prefix"])
 
-    schema = docs.select("*", F.lit(0).cast("long").alias("cls"), F.lit(0).alias("size"), F.lit(b"").alias("prefix")).schema
-    return docs.mapInArrow(run, schema)
+    return docs.select(text_hash(text).alias("th"), F.col(text).alias("_text")).mapInArrow(run, "th long, cls long, size int, fp long, prefix binary")
 
 
-def meeting(rows: np.ndarray, similarity: float, next_only: bool) -> np.ndarray:
-    """Pairs of classes, as rows (a, b), that share a shingle of their prefixes and may be similar."""
+def meeting(rows: np.ndarray, similarity: float) -> np.ndarray:
+    """Pairs of classes, as rows (a, b), that share a shingle of their prefixes, may be similar and have different roots."""
     rows = rows[np.lexsort((rows["cls"], rows["size"], rows["shingle"]))]
+    first = np.flatnonzero(np.r_[True, rows["shingle"][1:] != rows["shingle"][:-1]])
+    n = np.diff(np.append(first, len(rows)))
+    mixed = np.minimum.reduceat(rows["root"], first) != np.maximum.reduceat(rows["root"], first)
+    rows = rows[np.repeat(mixed, n)]  # shingles of one component have nothing to add
     key, cls, root = rows["shingle"], rows["cls"], rows["root"]
     size, place = rows["size"].astype(np.int64), rows["place"].astype(np.int64)
     same, d, found, held = np.arange(len(rows)), 1, [np.empty((0, 2), np.int64)], 0
@@ -113,42 +136,59 @@ def meeting(rows: np.ndarray, similarity: float, next_only: bool) -> np.ndarray:
         if held > 1 << 21:
             found = [np.unique(np.concatenate(found), axis=0)]
             held = len(found[0])
-        if next_only:
-            break
         d += 1
     return np.unique(np.concatenate(found), axis=0)
 
 
-def candidates(classes: DataFrame, similarity: float, next_only: bool) -> DataFrame:
-    """Distinct pairs (a, b) of ``classes`` (cls, root, size, prefix) that may be similar."""
-    n = partitions(classes.sparkSession)
-
-    def emit(batches):
-        held: list[np.ndarray] = []
+def candidates(classes: DataFrame, similarity: float) -> DataFrame:
+    """Distinct pairs (a, b) of ``classes`` (cls, root, size, prefix) with different roots that may be similar."""
+    spark = classes.sparkSession
+    n = partitions(spark)
+    many = max(256, 4 * n)
 
-        def flush():
-            rows = np.concatenate(held)
-            held.clear()
-            part = ((rows["shingle"] >> np.uint64(20)) % np.uint64(n)).astype(np.int64)
-            order = np.argsort(part, kind="stable")
-            rows, cuts = rows[order], np.searchsorted(part[order], np.arange(n + 1))
-            some = [p for p in range(n) if cuts[p] < cuts[p + 1]]
-            return pa.RecordBatch.from_arrays([pa.array(some, pa.int32()), pa.array([rows[cuts[p] : cuts[p + 1]].tobytes() for p in some], pa.binary())], names=["part", "rows"])
-
-        size = 0
+    def keys(batches):
+        held, size = [], 0
         for b in batches:
-            for cls, root, length, prefix in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                h = np.frombuffer(prefix, "<u8")
-                if len(h):
-                    rows = np.empty(len(h), _POSTING)
-                    rows["shingle"], rows["cls"], rows["root"], rows["size"], rows["place"] = h, cls, root, length, np.arange(len(h))
-                    held.append(rows)
-                    size += rows.nbytes
-                if size > 32 << 20:
-                    yield flush()
-                    size = 0
-        if held:
-            yield flush()
+            held += [np.frombuffer(x, "<u8") for x in b.column(0).to_pylist()]
+            size += sum(map(len, held[-b.num_rows :])) if b.num_rows else 0
+            if size > 3 << 20:
+                yield repeats.dealt(np.concatenate(held), many)
+                held, size = [], 0
+        if size:
+            yield repeats.dealt(np.concatenate(held), many)
+
+    known = repeats.filters(classes.select("prefix").mapInArrow(keys, repeats.SCHEMA), many, "copy-shingles")
+
+    def emit_for(filter_):
+        def emit(batches):
+            held: list[np.ndarray] = []
+
+            def flush():
+                rows = np.concatenate(held)
+                held.clear()
+                rows = rows[filter_.value.maybe(rows["shingle"])]
+                part = ((rows["shingle"] >> np.uint64(20)) % np.uint64(n)).astype(np.int64)
+                order = np.argsort(part, kind="stable")
+                rows, cuts = rows[order], np.searchsorted(part[order], np.arange(n + 1))
+                some = [p for p in range(n) if cuts[p] < cuts[p + 1]]
+                return pa.RecordBatch.from_arrays([pa.array(some, pa.int32()), pa.array([rows[cuts[p] : cuts[p + 1]].tobytes() for p in some], pa.binary())], names=["part", "rows"])
+
+            size = 0
+            for b in batches:
+                for cls, root, length, prefix in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                    h = np.frombuffer(prefix, "<u8")
+                    if len(h):
+                        rows = np.empty(len(h), _POSTING)
+                        rows["shingle"], rows["cls"], rows["root"], rows["size"], rows["place"] = h, cls, root, length, np.arange(len(h))
+                        held.append(rows)
+                        size += rows.nbytes
+                    if size > 32 << 20:
+                        yield flush()
+                        size = 0
+            if held:
+                yield flush()
+
+        return emit
 
     def meet(batches):
         by_part: dict[int, list[bytes]] = {}
@@ -156,23 +196,50 @@ def candidates(classes: DataFrame, similarity: float, next_only: bool) -> DataFr
             for p, x in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                 by_part.setdefault(p, []).append(x)
         for x in by_part.values():
-            pairs = meeting(np.frombuffer(b"".join(x), _POSTING), similarity, next_only)
+            pairs = meeting(np.frombuffer(b"".join(x), _POSTING), similarity)
             x.clear()
             for i in range(0, len(pairs), 1 << 16):
                 yield pa.RecordBatch.from_arrays([pa.array(pairs[i : i + (1 << 16), 0]), pa.array(pairs[i : i + (1 << 16), 1])], names=["a", "b"])
 
-    dealt = classes.select("cls", "root", "size", "prefix").mapInArrow(emit, "part int, rows binary").repartition(n, "part")
-    return dealt.mapInArrow(meet, "a long, b long").distinct()
+    postings = None
+    for f in known:
+        more = classes.select("cls", "root", "size", "prefix").mapInArrow(emit_for(f), "part int, rows binary")
+        postings = more if postings is None else postings.union(more)
+    return postings.repartition(n, "part").mapInArrow(meet, "a long, b long").distinct()
 
 
-def links(pairs: DataFrame, docs: DataFrame, text: str, words: int, similarity: float) -> DataFrame:
-    """Those ``pairs`` of classes whose sets are similar; ``docs`` have ``cls``."""
-    wanted = pairs.select(F.col("a").alias("cls")).union(pairs.select("b")).distinct()
-    texts = docs.select("cls", text).join(wanted, "cls", "left_semi").groupBy("cls").agg(F.first(text).alias("t"))
+def sets_of(wanted: DataFrame, docs: DataFrame, text: str, words: int) -> DataFrame:
+    """(cls, s) for ``wanted`` (cls, th): the sets are made where the texts are read, texts are not shuffled."""
+    n = max(256, 4 * partitions(docs.sparkSession))
 
-    def sets(batches):
+    def keys(batches):
         for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([shingle_set(x, words).tobytes() for x in b.column(1).to_pylist()], pa.binary())], names=["cls", "s"])
+            if b.num_rows:
+                yield repeats.dealt(repeats.mixed(b.column(0).to_numpy().view(np.uint64)), n)
+
+    parts = repeats.filters(wanted.select("th").mapInArrow(keys, repeats.SCHEMA), n, "copy-wanted", least=1)
+
+    def sets_for(filter_):
+        def run(batches):
+            for b in batches:
+                th = b.column(0).to_numpy()
+                at = np.flatnonzero(filter_.value.maybe(repeats.mixed(th.view(np.uint64))))
+                for i in range(0, len(at), 256):
+                    some = pa.array(at[i : i + 256])
+                    found = [shingle_set(x, words).tobytes() for x in b.column(1).take(some).to_pylist()]
+                    yield pa.RecordBatch.from_arrays([b.column(0).take(some), pa.array(found, pa.binary())], names=["th", "s"])
+
+        return run
+
+    made = None
+    for f in parts:
+        more = docs.select(text_hash(text).alias("th"), F.col(text).alias("_text")).mapInArrow(sets_for(f), "th long, s binary")
+        made = more if made is None else made.union(more)
+    return made.join(wanted, "th").dropDuplicates(["cls"]).select("cls", "s")
+
+
+def links(pairs: DataFrame, classes: DataFrame, docs: DataFrame, text: str, words: int, similarity: float) -> DataFrame:
+    """Forests of those ``pairs`` (a, b) of classes whose sets are similar."""
 
     def verify(batches):
         for b in batches:
@@ -182,27 +249,43 @@ def links(pairs: DataFrame, docs: DataFrame, text: str, words: int, similarity:
             i, j = forest(i, j)
             yield pa.RecordBatch.from_arrays([pa.array(i), pa.array(j)], names=["a", "b"])
 
-    held = materialise(texts.mapInArrow(sets, "cls long, s binary"), "copy-sets")
-    free_shuffles(docs.sparkSession)
+    spark = docs.sparkSession
+    pairs = materialise(pairs, "copy-pairs")
+    free_shuffles(spark)
+    ends = pairs.select(F.col("a").alias("cls")).union(pairs.select("b")).distinct()
+    wanted = materialise(classes.select("cls", "th").join(ends, "cls"), "copy-ends")
+    held = materialise(sets_of(wanted, docs, text, words), "copy-sets")
+    free_shuffles(spark)
     both = pairs.join(held.select(F.col("cls").alias("a"), F.col("s").alias("x")), "a").join(held.select(F.col("cls").alias("b"), F.col("s").alias("y")), "b")
     out = materialise(both.select("a", "b", "x", "y").mapInArrow(verify, "a long, b long"), "copy-links")
-    discard(held)
-    discard(pairs)
-    free_shuffles(docs.sparkSession)
+    discard(held, pairs, wanted)
+    free_shuffles(spark)
     return out
 
 
-def grouped(docs: DataFrame, text: str = "text", words: int = WORDS, similarity: float = SIMILARITY) -> DataFrame:
-    """docs with ``root``, equal for the rows of a group of near copies."""
-    docs = materialise(classed(docs, text, words, similarity), "copy-classes")
-    classes = docs.groupBy("cls").agg(F.first("size").alias("size"), F.first("prefix").alias("prefix"))
-    pairs = materialise(candidates(classes.withColumn("root", F.col("cls")), similarity, True), "copy-pairs")
-    free_shuffles(docs.sparkSession)
-    found = links(pairs, docs, text, words, similarity)
-    roots = materialise(connected_components(found, "copies"), "copy-roots")
-    rooted = classes.join(roots, classes.cls == roots.node, "left").withColumn("root", F.coalesce("root", "cls"))
-    pairs = materialise(candidates(rooted, similarity, False), "copy-pairs")
-    free_shuffles(docs.sparkSession)
-    found = found.union(links(pairs, docs, text, words, similarity))
-    roots = materialise(connected_components(found, "copies"), "copy-roots")
-    return docs.join(roots, docs.cls == roots.node, "left").withColumn("root", F.coalesce("root", "cls")).drop("node", "size", "prefix")
+def groups(docs: DataFrame, text: str = "text", words: int = WORDS, similarity: float = SIMILARITY) -> DataFrame:
+    """(th, root) for every distinct text of ``docs``; equal roots for near copies."""
+    spark = docs.sparkSession
+    rows = materialise(signed(docs, text, words, similarity), "copy-rows")
+    one = rows.groupBy("cls").agg(F.first(F.struct("th", "size", "fp", "prefix")).alias("x")).select("cls", "x.*")
+    classes = materialise(one, "copy-classes")
+    named = materialise(rows.select("th", "cls").distinct(), "copy-texts")
+    discard(rows)
+    free_shuffles(spark)
+    by_print = materialise(classes.groupBy("fp").agg(F.min("cls").alias("first")), "copy-prints")
+    met = ball_edges(by_print.select("fp"))
+    met = met.join(by_print.select(F.col("fp").alias("a"), F.col("first").alias("x")), "a").join(by_print.select(F.col("fp").alias("b"), F.col("first").alias("y")), "b")
+    equal = classes.select("fp", "cls").join(by_print, "fp").where("cls <> first").select(F.col("first").alias("x"), F.col("cls").alias("y"))
+    pairs = met.select("x", "y").union(equal).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
+    found = links(pairs, classes, docs, text, words, similarity)
+    discard(by_print)
+    roots = connected_components(found, "copies")
+    rooted = classes.join(roots, classes.cls == roots.node, "left").select("cls", "th", "size", "prefix", F.coalesce("root", "cls").alias("root"))
+    rooted = materialise(rooted, "copy-rooted")
+    discard(classes, roots)
+    more = links(candidates(rooted, similarity), rooted, docs, text, words, similarity)
+    roots = connected_components(found.union(more), "copies")
+    out = materialise(named.join(roots, named.cls == roots.node, "left").select("th", F.coalesce("root", "cls").alias("root")), "copy-groups")
+    discard(found, more, roots, rooted, named)
+    free_shuffles(spark)
+    return out

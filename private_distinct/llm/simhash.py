@@ -37,7 +37,11 @@ def fingerprint(text: str | None, words_in_shingle: int = 3, seed: int = 42) ->
     ends = np.cumsum(size) - 1
     starts = (ends + 1 - size)[: len(words) - words_in_shingle + 1].tolist()
     digest = xxhash.xxh64_intdigest
-    h = np.array([digest(joined[a:b], seed) for a, b in zip(starts, ends[words_in_shingle - 1 :].tolist(), strict=True)], np.uint64)
+    return majority(np.array([digest(joined[a:b], seed) for a, b in zip(starts, ends[words_in_shingle - 1 :].tolist(), strict=True)], np.uint64))
+
+
+def majority(h: np.ndarray) -> int:
+    """Bits that are set in over half of the hashes."""
     octets = h.view(np.uint8).reshape(-1, 8).astype(np.int64) + np.arange(8) * 256
     ones = np.bincount(octets.ravel(), minlength=2048).reshape(8, 256) @ _BITS
     bits = (ones * 2 > len(h)).ravel()

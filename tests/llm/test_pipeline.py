@@ -67,27 +67,34 @@ def test_toxicity_held_out(spark):
 
 def test_stages(spark):
     import corpus_pipeline as p
-    from private_distinct.llm import simhash
+    from test_near_copies import plain as copies
     from test_suffix_dedup import plain
-    from test_text_operators import components
 
     given = spark.read.parquet(f"{SF}/documents.parquet")
-    docs = given.union(spark.createDataFrame([(None, "no id", "en", "s", 5), (5000, None, None, None, None), (5001, "", "en", "s", 0)], COLUMNS)).cache()
+    odd = [(None, "no id", "en", "s", 5), (5000, None, None, None, None), (5001, "", "en", "s", 0), (7, "another text of the same id", "en", "s", 0), (5002, "twice", "en", "s", 5), (5002, "twice", "en", "s", 5)]
+    docs = given.union(spark.createDataFrame(odd, COLUMNS))
+    docs = docs.selectExpr("*", "'a' as score", "1 as kept_text", "2 as n_removed", "3 as th", "4 as root", "5 as _tie_", "6 as k0").cache()  # clashing names
     rows = [r for r in docs.collect() if r.doc_id is not None]
-    fps = [simhash.fingerprint(r.text) for r in rows]
-    root = components(len(rows), lambda i, j: (fps[i] ^ fps[j]).bit_count() <= 3)
-    least = {}
-    for r, c in zip(rows, root):
-        least[c] = min(r.doc_id, least.get(c, r.doc_id))
-    kept = p.drop_near_duplicates(spark, docs, SF).cache()
+    kept = p.drop_near_copies(spark, docs, SF).cache()
     assert kept.columns == docs.columns
-    assert Counter(r.doc_id for r in kept.collect()) == Counter([*least.values(), None])
+    assert Counter(r.doc_id for r in kept.collect()) == copies(rows) + Counter([None])
+    assert sum(r.doc_id == 7 for r in kept.collect()) == 1 + any(r.doc_id == 7 and r.text.startswith("another") for r in kept.collect())
     cut = p.drop_repeated_strings(spark, kept, SF)
     assert cut.columns == docs.columns
-    want = {d: n - gone for d, n, gone, _, _ in plain([(r.doc_id, (r.text or "").encode()) for r in kept.collect() if r.doc_id is not None])}
+    want = Counter((d, n - gone) for d, n, gone, _, _ in plain([(r.doc_id, (r.text or "").encode()) for r in kept.collect() if r.doc_id is not None]))
     for r in cut.collect():
-        assert r.doc_id is None or 0 <= want[r.doc_id] - len(r.text.encode()) < 8  # bytes of cut characters go too
-        assert r.n_chars == len(r.text)
+        assert r.doc_id is None or any(d == r.doc_id and 0 <= n - len(r.text.encode()) < 8 for d, n in want)  # bytes of cut characters go too
+        assert r.n_chars == len(r.text) and r.score == "a" and (r.kept_text, r.n_removed, r.k0) == (1, 2, 6)
+    assert p.drop_toxic(spark, docs, SF).columns == docs.columns
+
+
+def test_stages_of_empty_tables(spark):
+    import corpus_pipeline as p
+
+    docs = spark.createDataFrame([], COLUMNS)
+    for _, stage in p.STAGES:
+        docs = stage(spark, docs, SF)
+        assert docs.count() == 0
 
 
 def test_run(spark):
