@@ -1,165 +1,293 @@
 """Embedding near-duplicates from a neighbour graph refined by NN-descent.
 
-Equal vectors of a label are one class with a weight.  Classes are dealt into cells by sign patterns of random
-directions, in several tables, so that a pair at the threshold shares a cell of some table with probability
-0.998 or more; bits and tables follow from the size of the largest label.  A cell that is too large is dealt as
-pairs of blocks.  Within a cell, neighbour lists start at random and are refined by joins of neighbours of
-neighbours; a list in which every entry passes the threshold is saturated and enlarged, in the end to the whole
-cell; an audit of some rows against all others repeats the search with longer lists if links were missed.
-A pair is counted only in the first table where it shares a cell, so cells send link counts per class and a
-spanning forest, never all pairs.
-
-Edge cases: null labels, and vectors that are null, empty, zero or hold null or non-finite components, link with
-nothing and are their own component; vectors of different lengths never link; repeated ids are rows of their
-own that link if their vectors do; an empty table gives no rows.
+Equal vectors of a label are one class with a weight.  A label of up to ``cell_rows`` classes is one cell.  Larger
+ones are dealt into cells of about that size by sign patterns of random directions, in as many tables as a pair
+at the threshold needs to share a cell of some table with probability ``1 - MISS``; a cell that is still larger is
+dealt as pairs of blocks.  Each cell's neighbour graph starts from neighbours along random projections and is
+refined by joins of neighbours of neighbours until few entries change.  A list in which every entry passes the
+threshold is saturated and enlarged by degrees, in the end to a comparison with the whole cell.  An audit then
+compares a sixteenth of the rows with all others: if a link was missed, the descent goes on with lists of twice
+the length, and after ``TRIES`` such audits the cell is compared whole, so what a cell returns has passed its audit.
+
+A pair is counted in the first table where it shares a cell.  Cells send link counts per class and a spanning
+forest, never all pairs; links of saturated rows are counted block by block and not held.
+
+Edge cases: null labels or ids, and vectors that are null, empty, zero or hold null or non-finite components, link
+with nothing and are their own component; vectors of different lengths never link; -0.0 is 0.0; repeated ids are
+rows of their own that link if their vectors do; an empty table gives no rows.
 """
 
 from __future__ import annotations
 
 import math
+from collections import Counter
+from collections.abc import Callable
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import connected_components, forest, materialise, partitions
+from .common import connected_components, discard, forest, materialise, partitions
 from .vptree import usable
 
-MISS = 0.002
-
-
-def refine(x: np.ndarray, threshold: float, k: int = 16, rounds: int = 6, seed: int = 1) -> tuple[np.ndarray, np.ndarray]:
-    """Pairs i < j of unit rows with inner product >= threshold, by NN-descent."""
-    n = len(x)
-    if n <= 4 * k:  # lists hold the whole cell
-        return np.nonzero(np.triu(x @ x.T >= threshold, 1))
-    rng = np.random.default_rng(seed)
-    lists = rng.integers(0, n, (n, k))
-    sims = np.einsum("nd,nkd->nk", x, x[lists])
-    for _ in range(rounds):
-        changed = 0
-        back = np.empty((n, k), np.int64)  # some rows that have this one in their list
-        at = rng.permutation(n * k)
-        back[:] = lists
-        back[lists.ravel()[at], at % k] = at // k
-        both = np.concatenate([lists, back], 1)
-        for i in range(0, n, 512):
-            me = np.arange(i, min(n, i + 512))
-            near = both[me]
-            two = both[near[:, rng.permutation(2 * k)[:8]]].reshape(len(me), -1)
-            cand = np.concatenate([lists[me], near, two], 1)
-            cand.sort(1)
-            s = np.einsum("nd,nkd->nk", x[me], x[cand])
-            s[(cand == me[:, None]) | np.concatenate([np.zeros((len(me), 1), bool), cand[:, 1:] == cand[:, :-1]], 1)] = -2
-            top = np.argpartition(-s, k - 1, axis=1)[:, :k]
-            new = np.take_along_axis(cand, top, 1)
-            got = np.take_along_axis(s, top, 1)
-            changed += int((got.min(1) > sims[me].min(1) + 1e-12).sum())
-            lists[me], sims[me] = new, got
-        if changed <= n // 100:
-            break
-    full = np.flatnonzero(sims.min(1) >= threshold)  # saturated: enlarged to the whole cell
-    rest = np.setdiff1d(np.arange(n), full)
-    hit = sims[rest] >= threshold
-    a, b = [np.repeat(rest, hit.sum(1))], [lists[rest][hit]]
-    for some in np.array_split(full, len(full) // 512 + 1):
-        i, j = np.nonzero(x[some] @ x.T >= threshold)
-        a.append(some[i])
-        b.append(j)
-    a, b = np.concatenate(a), np.concatenate(b)
-    pair = np.unique(np.minimum(a, b)[a != b] * n + np.maximum(a, b)[a != b])
-    audit = rng.choice(n, min(n, 48), replace=False)
-    i, j = np.nonzero(x[audit] @ x.T >= threshold)
-    i = audit[i]
-    true = np.unique((np.minimum(i, j) * n + np.maximum(i, j))[i != j])
-    if len(true) and np.isin(true, pair).mean() < 0.999:
-        return refine(x, threshold, 2 * k, rounds + 2, seed + 1)
-    return pair // n, pair % n
-
-
-def _links(ids, weights, x, sigs, table, block, first, second, threshold):
-    """Link weight of each class, and forest edges, from one cell."""
-    i, j = refine(x, threshold)
-    if first != second:  # a pair of blocks: pairs inside a block are counted elsewhere
-        cross = block[i] != block[j]
-        i, j = i[cross], j[cross]
-    new = ~(sigs[i, :table] == sigs[j, :table]).any(1)
-    i, j = i[new], j[new]
-    n = np.bincount(i, weights[j], len(ids)) + np.bincount(j, weights[i], len(ids))
-    a, b = forest(ids[i], ids[j])
-    return n.astype(np.int64), a, b
-
-
-def near_duplicates(df: DataFrame, threshold: float = 0.98, key: str = "vec_id", vector: str = "embedding", label: str = "label", cell_rows: int = 4096, seed: int = 5) -> DataFrame:
-    """key, n_links, component_id, kept for every row."""
+MISS, LIST, ROUNDS, TRIES, CHUNK = 0.002, 16, 8, 3, 256
+
+
+class Graph:
+    """Neighbour lists of unit rows, refined by NN-descent; ``done`` counts the steps for tests and logs."""
+
+    def __init__(self, x: np.ndarray, k: int = LIST, seed: int = 1):
+        self.x, self.n, self.rng, self.done = x, len(x), np.random.default_rng(seed), Counter()
+        self.lists = np.empty((self.n, 0), np.int64)
+        self.sims = np.empty((self.n, 0))
+        self.enlarge(k)
+
+    def enlarge(self, k: int) -> None:
+        """Lists of length k: what is held, and neighbours along random projections."""
+        self.k = k = min(k, self.n - 1)
+        near = [self.lists]
+        at, steps = np.arange(self.n), 4
+        for _ in range(max(2, -(-k // steps))):
+            order = np.argsort(self.x @ self.rng.standard_normal(self.x.shape[1]), kind="stable")
+            place = np.empty(self.n, np.int64)
+            place[order] = at
+            near += [order[(place + s) % self.n][:, None] for s in (-2, -1, 1, 2)]
+        self._keep(at, np.concatenate(near, 1), k, start=True)
+
+    def _best(self, rows: np.ndarray, cand: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+        """The k nearest of each row's candidates, repeats and the row itself left out."""
+        cand = np.sort(cand, 1)
+        s = np.einsum("nd,nkd->nk", self.x[rows], self.x[cand], optimize=False)
+        s[(cand == rows[:, None]) | np.concatenate([np.zeros((len(rows), 1), bool), cand[:, 1:] == cand[:, :-1]], 1)] = -2
+        k = min(k, cand.shape[1])
+        top = np.argpartition(-s, k - 1, axis=1)[:, :k]
+        return np.take_along_axis(cand, top, 1), np.take_along_axis(s, top, 1)
+
+    def _keep(self, rows: np.ndarray, cand: np.ndarray, k: int, start: bool = False) -> None:
+        if start:
+            self.lists, self.sims = np.empty((self.n, k), np.int64), np.empty((self.n, k))
+        for i in range(0, len(rows), CHUNK):
+            me = rows[i : i + CHUNK]
+            self.lists[me], self.sims[me] = self._best(me, cand[i : i + CHUNK], k)
+
+    def _both(self) -> np.ndarray:
+        """Each row's list, and as many rows that have it in theirs."""
+        back = self.lists.copy()
+        at = self.rng.permutation(self.n * self.k)
+        back[self.lists.ravel()[at], at % self.k] = at // self.k
+        return np.concatenate([self.lists, back], 1)
+
+    def descend(self, rounds: int = ROUNDS) -> None:
+        """Joins of neighbours of neighbours, until less than a hundredth of the lists get better."""
+        for _ in range(rounds):
+            both, changed = self._both(), 0
+            for i in range(0, self.n, CHUNK):
+                me = np.arange(i, min(self.n, i + CHUNK))
+                near = both[me]
+                two = both[near[:, self.rng.permutation(2 * self.k)[:8]]].reshape(len(me), -1)
+                new, got = self._best(me, np.concatenate([near, two], 1), self.k)
+                changed += int((got.min(1) > self.sims[me].min(1) + 1e-12).sum())
+                self.lists[me], self.sims[me] = new, got
+                self.done["joins"] += two.size
+            self.done["rounds"] += 1
+            if changed <= self.n // 100:
+                break
+
+    def saturated(self, threshold: float) -> tuple[np.ndarray, list[np.ndarray]]:
+        """Rows to be compared with the whole cell, and further pairs from lists enlarged by degrees."""
+        full, lists, more = np.flatnonzero(self.sims.min(1) >= threshold), None, []
+        both = self._both() if len(full) else None
+        lists = self.lists[full]
+        for k in (4 * self.k, 16 * self.k):
+            if not len(full) or 2 * k >= self.n:
+                break
+            self.done["enlarged"] += len(full)
+            new, still = np.empty((len(full), k), np.int64), np.zeros(len(full), bool)
+            for i in range(0, len(full), 32):
+                some = lists[i : i + 32]
+                pool = both[some[:, self.rng.permutation(some.shape[1])[:64]]].reshape(len(some), -1)
+                near, s = self._best(full[i : i + 32], np.concatenate([some, pool], 1), k)
+                new[i : i + 32, : near.shape[1]], still[i : i + 32] = near, (s.min(1) >= threshold) | (near.shape[1] < k)
+                a, b = np.nonzero(s >= threshold)
+                keep = ~still[i : i + 32][a]
+                more.append(np.stack([full[i : i + 32][a[keep]], near[a[keep], b[keep]]], 1))
+            full, lists = full[still], new[still]
+        return full, more
+
+    def exact(self, rows: np.ndarray, threshold: float):
+        """Pairs of some rows with the whole cell, in blocks."""
+        step = max(16, min(512, (1 << 22) // self.n))
+        for i in range(0, len(rows), step):
+            me = rows[i : i + step]
+            a, b = np.nonzero(self.x[me] @ self.x.T >= threshold)
+            yield me[a], b
+
+    def links(self, threshold: float):
+        """Yields arrays (i, j) of pairs with inner product >= threshold, each pair once."""
+        if self.n > 2:
+            for tried in range(TRIES):
+                self.descend()
+                whole, more = self.saturated(threshold)
+                apart = np.zeros(self.n, bool)
+                apart[whole] = True
+                rest = np.flatnonzero(~apart)
+                hit = self.sims[rest] >= threshold
+                both = np.concatenate([np.stack([np.repeat(rest, hit.sum(1)), self.lists[rest][hit]], 1), *more])
+                both = both[~apart[both].any(1)]  # pairs with a saturated row come from there
+                pair = np.unique(both.min(1) * self.n + both.max(1))
+                audit = self.rng.choice(self.n, min(self.n, max(64, self.n // 16)), replace=False)
+                missed = 0
+                for i, j in self.exact(audit, threshold):
+                    ok = (i != j) & ~apart[i] & ~apart[j]
+                    true = np.minimum(i, j)[ok] * self.n + np.maximum(i, j)[ok]
+                    found = np.isin(true, pair)
+                    self.done["audited"] += len(true)
+                    missed += int((~found).sum())
+                self.done["missed"] += missed
+                if not missed:
+                    yield pair // self.n, pair % self.n
+                    break
+                if tried < TRIES - 1:
+                    self.enlarge(2 * self.k)
+            else:
+                whole = np.arange(self.n)
+        else:
+            whole = np.arange(self.n)
+        apart = np.zeros(self.n, bool)
+        apart[whole] = True
+        self.done["whole"] += len(whole)
+        for i, j in self.exact(whole, threshold):
+            once = ~apart[j] | (i < j)
+            yield i[once], j[once]
+
+
+def refine(x: np.ndarray, threshold: float, seed: int = 1) -> tuple[np.ndarray, np.ndarray]:
+    """All pairs i < j of unit rows with inner product >= threshold that the descent finds."""
+    found = list(Graph(x, seed=seed).links(threshold)) if len(x) > 1 else []
+    i, j = (np.concatenate([f[s] for f in found] or [np.empty(0, np.int64)]) for s in (0, 1))
+    return np.minimum(i, j), np.maximum(i, j)
+
+
+def cell_links(x: np.ndarray, weights: np.ndarray, threshold: float, wanted: Callable) -> tuple[np.ndarray, np.ndarray, np.ndarray, Counter]:
+    """Link weight of each row and forest edges from one cell; ``wanted`` says which pairs are counted here."""
+    n, edges, held = np.zeros(len(x)), [], 0
+    graph = Graph(x)
+    for i, j in graph.links(threshold):
+        ok = wanted(i, j)
+        i, j = i[ok], j[ok]
+        n += np.bincount(i, weights[j], len(x)) + np.bincount(j, weights[i], len(x))
+        edges.append(forest(i, j))
+        held += len(edges[-1][0])
+        if held > 1 << 20:
+            edges = [forest(*(np.concatenate([e[s] for e in edges]) for s in (0, 1)))]
+            held = len(edges[0][0])
+    a, b = (np.concatenate([e[s] for e in edges] or [np.empty(0, np.int64)]) for s in (0, 1))
+    return n.astype(np.int64), *(forest(a, b) if len(a) else (a, b)), graph.done
+
+
+def tables_for(bits: int, threshold: float) -> int:
+    """Tables of so many sign bits that a pair at the threshold shares a cell of one but for ``MISS``."""
+    same = 1 - math.acos(min(1.0, threshold)) / math.pi
+    if bits == 0 or same >= 1:
+        return 1
+    return math.ceil(math.log(MISS) / math.log(1 - same**bits))
+
+
+def near_duplicates(df: DataFrame, threshold: float = 0.98, key: str = "vec_id", vector: str = "embedding", label: str = "label", cell_rows: int = 8192, seed: int = 5, log: list | None = None) -> DataFrame:
+    """key, n_links, component_id, kept for every row; ``log`` gets the counts of the descent's steps over all cells."""
     spark = df.sparkSession
-    rows = df.select(F.col(key), F.when(usable(vector) & F.col(label).isNotNull() & F.col(key).isNotNull(), F.col(vector)).alias("v"), F.col(label).alias("label"))
-    classes = rows.where("v is not null").groupBy("label", "v").agg(F.min(key).cast("long").alias("id"), F.count(F.lit(1)).alias("w"))
+    v = F.transform(vector, lambda x: F.when(x == 0, F.lit(0).cast(df.schema[vector].dataType.elementType)).otherwise(x))
+    fine = usable(vector) & F.col(label).isNotNull() & F.col(key).isNotNull()
+    rows = df.select(F.col(key).alias("key"), F.when(fine, v).alias("v"), F.col(label).alias("label"))
+    rows = rows.withColumn("cls", F.when(F.col("v").isNotNull(), F.xxhash64("label", "v")))
+    classes = rows.where("cls is not null").groupBy("cls", "label", "v").agg(F.min("key").alias("first"), F.count(F.lit(1)).alias("w"))
     classes = materialise(classes, "vector-classes")
-    dims = [(r[0], r[1]) for r in classes.groupBy(F.size("v")).agg(F.max("label")).collect()]
-    top = classes.groupBy("label").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n")).first()[0] or 1
-    same = 1 - math.acos(min(1.0, threshold)) / math.pi
-    bits = min(40, max(6, math.ceil(math.log2(top / 64 + 1))))
-    tables = max(1, math.ceil(math.log(MISS) / math.log(max(1e-12, 1 - same**bits)))) if threshold < 1 else 1
-    planes = {d: np.random.default_rng(seed).standard_normal((d, tables * bits)) for d, _ in dims}
+    dims = [r[0] for r in classes.groupBy(F.size("v")).agg(F.count(F.lit(1))).collect()]  # lengths of vectors
+    sizes = classes.groupBy("label").agg(F.count(F.lit(1)).alias("n"))
+    sizes = materialise(sizes.select("label", F.greatest(F.ceil(F.log2(F.col("n") / F.lit(cell_rows))), F.lit(0)).cast("int").alias("bits")), "vector-labels")
+    most = sizes.agg(F.max("bits")).first()[0] or 0
+    tables = [tables_for(b, threshold) for b in range(most + 1)]
+    planes = {d: np.random.default_rng(seed).standard_normal((d, max(tables) * most)) for d in dims}
+    wide = np.float64 if df.schema[vector].dataType.elementType.simpleString() == "double" else np.float32
 
-    def sign(batches):
+    def place(batches):
+        """Each class once for each table of its label: cell, table, cls, w, vector, and its patterns in all tables."""
         for b in batches:
-            vs = b.column(0).to_pylist()
-            by: dict[int, list[int]] = {}
-            for i, v in enumerate(vs):
-                by.setdefault(len(v), []).append(i)
-            for d, at in by.items():
-                x = np.array([vs[i] for i in at], np.float64)
-                up = ((x @ planes[d]) > 0).reshape(len(at), tables, bits)
-                sig = (up << np.arange(bits)).sum(2)
-                x /= np.sqrt((x * x).sum(1, keepdims=True))
-                some = pa.array(at)
-                raw = pa.array([r.tobytes() for r in x], pa.binary())
-                yield pa.RecordBatch.from_arrays([b.column(1).take(some), b.column(2).take(some), b.column(3).take(some), raw, pa.array(list(sig.astype(np.int64)), pa.list_(pa.int64()))], names=["label", "id", "w", "x", "sigs"])
+            vs, bits = b.column(0).to_pylist(), b.column(3).to_numpy()
+            by: dict[tuple[int, int], list[int]] = {}
+            for i, x in enumerate(vs):
+                by.setdefault((len(x), int(bits[i])), []).append(i)
+            for (d, m), at in by.items():
+                for lo in range(0, len(at), 4096):
+                    some = at[lo : lo + 4096]
+                    x = np.array([vs[i] for i in some], wide)
+                    t = tables[m]
+                    up = ((x.astype(np.float64) @ planes[d][:, : t * m]) > 0).reshape(len(some), t, m)
+                    sig = (up << np.arange(m)).sum(2).astype(np.int64)
+                    pick, raw = pa.array(some), pa.array([r.tobytes() for r in x], pa.binary())
+                    patterns = pa.array([r.tobytes() if t > 1 else b"" for r in sig], pa.binary())
+                    for j in range(t):
+                        yield pa.RecordBatch.from_arrays([b.column(4).take(pick), pa.array(np.full(len(some), d, np.int32)), pa.array(np.full(len(some), j, np.int32)), pa.array(sig[:, j]), b.column(1).take(pick), b.column(2).take(pick), raw, patterns], names=["label", "d", "t", "sig", "cls", "w", "x", "sigs"])
 
     kind = df.schema[label].dataType.simpleString()
-    signed = classes.select("v", "label", "id", "w").mapInArrow(sign, f"label {kind}, id long, w long, x binary, sigs array<long>")
-    signed = materialise(signed, "vector-signs")
-    placed = signed.select("*", F.posexplode("sigs").alias("table", "sig")).withColumn("cell", F.xxhash64("label", "table", "sig", F.octet_length("x")))
-    sizes = placed.groupBy("cell").agg(F.count(F.lit(1)).alias("m")).where("m > 1")
-    dealt = placed.join(sizes, "cell").withColumn("parts", F.ceil(F.col("m") / F.lit(cell_rows)).cast("int"))
-    dealt = dealt.withColumn("block", F.pmod(F.xxhash64("id"), F.col("parts")).cast("int"))
+    known = classes.join(sizes, "label").select("v", "cls", "w", "bits", "label")
+    placed = known.mapInArrow(place, f"label {kind}, d int, t int, sig long, cls long, w long, x binary, sigs binary")
+    placed = placed.withColumn("cell", F.xxhash64("label", "d", "t", "sig")).drop("label", "sig", "d")
+    large = materialise(placed.groupBy("cell").agg(F.count(F.lit(1)).alias("m")).where(F.col("m") > 2 * cell_rows), "vector-cells")
+    dealt = placed.join(large, "cell", "left")
+    dealt = dealt.withColumn("parts", F.coalesce(F.ceil(F.col("m") / F.lit(cell_rows)), F.lit(1)).cast("int"))
+    dealt = dealt.withColumn("block", F.pmod(F.xxhash64("cls"), F.col("parts")).cast("int"))
     dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
-    dealt = dealt.select("cell", F.least("block", "other").alias("first"), F.greatest("block", "other").alias("second"), "block", "table", "id", "w", "x", "sigs")
-    n = max(partitions(spark), 16)
-    dealt = dealt.repartition(n, "cell", "first", "second").sortWithinPartitions("cell", "first", "second")
+    dealt = dealt.select("cell", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"), "block", "t", "cls", "w", "x", "sigs")
+    dealt = dealt.repartition(max(partitions(spark), 16), "cell", "lo", "hi").sortWithinPartitions("cell", "lo", "hi")
 
     def link(batches):
         held: list = []
         now = None
+        steps: Counter = Counter()
 
         def done():
             if len(held) < 2:
                 return
-            block, table, ids, w, x, sigs = zip(*held, strict=True)
-            x = np.frombuffer(b"".join(x), np.float64).reshape(len(held), -1)
-            n, a, b = _links(np.array(ids), np.array(w, np.float64), x, np.array(sigs), table[0], np.array(block), now[1], now[2], threshold)
+            block, table, cls, w, x, sigs = zip(*held, strict=True)
+            block, cls = np.array(block), np.array(cls)
+            x = np.frombuffer(b"".join(x), wide).reshape(len(held), -1).astype(np.float64)
+            x /= np.abs(x).max(1, keepdims=True)
+            x /= np.sqrt((x * x).sum(1, keepdims=True))
+            sigs = np.frombuffer(b"".join(sigs), np.int64).reshape(len(held), -1)[:, : table[0]] if table[0] else np.empty((len(held), 0))
+
+            def wanted(i, j):  # pairs inside a block, and pairs of an earlier table, are counted elsewhere
+                return ((block[i] != block[j]) | (now[1] == now[2])) & ~(sigs[i] == sigs[j]).any(1)
+
+            n, a, b, took = cell_links(x, np.array(w, np.float64), threshold, wanted)
+            steps.update(took)
             at = np.flatnonzero(n)
-            ids = np.array(ids)[at]
             if len(at):
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([ids, a])), pa.array(np.concatenate([n[at], np.zeros(len(a), np.int64)])), pa.array([None] * len(ids) + b.tolist(), pa.int64())], names=["a", "n", "b"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([cls[at], cls[a]])), pa.array(np.concatenate([n[at], np.zeros(len(a), np.int64)])), pa.array([None] * len(at) + cls[b].tolist(), pa.int64()), pa.nulls(len(at) + len(a), pa.string())], names=["a", "n", "b", "step"])
 
         for batch in batches:
-            for cell, first, second, *row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                if (cell, first, second) != now:
+            for cell, lo, hi, *row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if (cell, lo, hi) != now:
                     if held:
                         yield from done()
-                    held, now = [], (cell, first, second)
+                    held, now = [], (cell, lo, hi)
                 held.append(row)
         if held:
             yield from done()
+        if steps:
+            yield pa.RecordBatch.from_arrays([pa.nulls(len(steps), pa.int64()), pa.array(list(steps.values()), pa.int64()), pa.nulls(len(steps), pa.int64()), pa.array(list(steps), pa.string())], names=["a", "n", "b", "step"])
 
-    found = materialise(dealt.mapInArrow(link, "a long, n long, b long"), "vector-links")
-    counts = found.groupBy("a").agg(F.sum("n").alias("others"))
+    found = materialise(dealt.mapInArrow(link, "a long, n long, b long, step string"), "vector-links")
+    if log is not None:
+        log += [(r[0], r[1]) for r in found.where("step is not null").groupBy("step").agg(F.sum("n")).collect()]
+    counts = found.where("a is not null").groupBy("a").agg(F.sum("n").alias("others"))
     roots = connected_components(found.where("b is not null").select("a", "b"), "vector-components")
-    named = classes.join(counts, classes.id == counts.a, "left").join(roots, classes.id == roots.node, "left")
-    named = named.select("label", "v", (F.coalesce("others", F.lit(0)) + F.col("w") - 1).alias("n_links"), F.coalesce("root", "id").alias("component_id"))
-    out = rows.join(named, ["label", "v"], "left")
-    return out.select(key, F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("component_id", F.col(key).cast("long")).alias("component_id")).withColumn("kept", F.coalesce(F.col(key) == F.col("component_id"), F.lit(False)))
+    named = classes.select("cls", "first", "w").join(counts, F.col("cls") == counts.a, "left").join(roots, F.col("cls") == roots.node, "left")
+    named = materialise(named.select("cls", "first", (F.coalesce("others", F.lit(0)) + F.col("w") - 1).alias("n_links"), F.coalesce("root", "cls").alias("root")), "vector-named")
+    discard(classes, sizes, large, found, roots)
+    least = named.groupBy("root").agg(F.min("first").alias("component_id"))
+    named = materialise(named.join(least, "root").select("cls", "n_links", "component_id"), "vector-groups")
+    out = rows.select("key", "cls").join(named, "cls", "left")
+    out = out.select(F.col("key").alias(key), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("component_id", "key").cast("long").alias("component_id"))
+    return out.withColumn("kept", F.coalesce(F.col(key) == F.col("component_id"), F.lit(False)))
