@@ -173,17 +173,28 @@ def nearest(df: DataFrame, is_query: Column, k: int = 20, factor: float = 1.0, k
     ``log`` gets how many (query, shard) searches were made and how many there could have been.
     """
     spark = df.sparkSession
-    rows = df.where(usable(vector) & F.col(key).isNotNull()).select(F.col(key).cast("long").alias("id"), F.col(vector).cast("array<double>").alias("v"), F.coalesce(is_query, F.lit(False)).alias("q"))
-    rows = rows.withColumn("dim", F.size("v"))
-    top = F.array_max(F.transform("v", F.abs))
-    norm = F.least(top * F.sqrt(F.aggregate("v", F.lit(0.0), lambda s, x: s + (x / top) * (x / top))), F.lit(1.7e308))
-    found = {r["dim"]: r for r in rows.groupBy("dim").agg(F.count(F.lit(1)).alias("n"), F.max(norm).alias("reach")).collect()}  # a row for each length
+    wide = np.float64 if df.schema[vector].dataType.elementType.simpleString() == "double" else np.float32
+    rows = df.where(usable(vector) & F.col(key).isNotNull()).select(F.col(key).cast("long").alias("id"), F.col(vector).alias("v"), F.coalesce(is_query, F.lit(False)).alias("q"))
+
+    def raw(batches):
+        """Vectors as bytes, with their lengths and norms."""
+        for b in batches:
+            v = b.column(1)
+            size = v.value_lengths().to_numpy() if b.num_rows else np.empty(0, np.int64)
+            flat, first = v.flatten().to_numpy().astype(wide), np.cumsum(size) - size
+            top = np.maximum.reduceat(np.abs(flat).astype(np.float64), first) if b.num_rows else size
+            norm = top * np.sqrt(np.add.reduceat((flat / np.repeat(top, size)) ** 2, first)) if b.num_rows else size.astype(np.float64)
+            x = pa.array([flat[i : i + n].tobytes() for i, n in zip(first.tolist(), size.tolist(), strict=True)], pa.binary())
+            yield pa.RecordBatch.from_arrays([pa.array(size.astype(np.int32)), b.column(0), b.column(2), pa.array(np.minimum(norm, 1.7e308)), x], names=["dim", "id", "q", "norm", "x"])
+
+    rows = materialise(rows.mapInArrow(raw, "dim int, id long, q boolean, norm double, x binary"), "vp-rows")
+    found = {r["dim"]: r for r in rows.groupBy("dim").agg(F.count(F.lit(1)).alias("n"), F.max("norm").alias("reach")).collect()}  # a row for each length
     scale = {d: float(2.0 ** min(1023, max(-1022, np.ceil(np.log2(r["reach"]))))) for d, r in found.items()}
     points = {}
     for d, r in found.items():
         n = min(pivots, -(-r["n"] // shard_rows))
-        some = rows.where(F.col("dim") == d).orderBy(F.xxhash64("id", F.lit(7)), "id", "v").limit(n).select("v").collect() if n > 1 else []  # ``pivots`` rows at most
-        x = np.unique(np.array([p.v for p in some] or [[0.0] * d]), axis=0) / scale[d]
+        some = rows.where(F.col("dim") == d).orderBy(F.xxhash64("id", F.lit(7)), "id", "x").limit(n).select("x").collect() if n > 1 else []  # ``pivots`` rows at most
+        x = np.unique(np.frombuffer(b"".join(bytes(p.x) for p in some) or bytes(d * np.dtype(wide).itemsize), wide).reshape(-1, d).astype(np.float64), axis=0) / scale[d]
         points[d] = (x, lifted(x))
 
     def away(y: np.ndarray, extra, d: int) -> np.ndarray:
@@ -193,10 +204,10 @@ def nearest(df: DataFrame, is_query: Column, k: int = 20, factor: float = 1.0, k
 
     def assign(batches):
         for b in batches:
-            ids, dims, q = b.column(0).to_numpy(), b.column(2).to_numpy(), b.column(3).to_numpy(zero_copy_only=False)
+            dims, ids, q = b.column(0).to_numpy(), b.column(1).to_numpy(), b.column(2).to_numpy(zero_copy_only=False)
             for d in np.unique(dims):
                 at = np.flatnonzero(dims == d)
-                x = np.array(b.column(1).take(pa.array(at)).to_pylist(), np.float64)
+                x = np.frombuffer(b"".join(b.column(3).take(pa.array(at)).to_pylist()), wide).reshape(-1, d).astype(np.float64)
                 order = np.lexsort((ids[at], *x.T[::-1]))
                 same = np.cumsum(np.r_[True, (x[order][1:] != x[order][:-1]).any(1)]) - 1
                 keep = np.sort(order[(np.arange(len(order)) - np.searchsorted(same, same) <= k) | q[at][order]])
@@ -204,9 +215,10 @@ def nearest(df: DataFrame, is_query: Column, k: int = 20, factor: float = 1.0, k
                 y = x / scale[int(d)]
                 far = away(y, lifted(y), int(d))
                 near = far.argmin(1)
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), d, np.int32)), pa.array(near.astype(np.int32)), pa.array(far[np.arange(len(at)), near]), b.column(0).take(pa.array(at)), b.column(3).take(pa.array(at)), pa.array([r.tobytes() for r in x], pa.binary())], names=["dim", "pivot", "far", "id", "q", "x"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), d, np.int32)), pa.array(near.astype(np.int32)), pa.array(far[np.arange(len(at)), near]), *(b.column(c).take(pa.array(at)) for c in (1, 2, 3))], names=["dim", "pivot", "far", "id", "q", "x"])
 
-    cells = materialise(rows.select("id", "v", "dim", "q").mapInArrow(assign, "dim int, pivot int, far double, id long, q boolean, x binary"), "vp-cells")
+    cells = materialise(rows.select("dim", "id", "q", "x").mapInArrow(assign, "dim int, pivot int, far double, id long, q boolean, x binary"), "vp-cells")
+    discard(rows)
     sizes = {(r["dim"], r["pivot"]): r for r in cells.groupBy("dim", "pivot").agg(F.count(F.lit(1)).alias("n"), F.max("far").alias("radius")).collect()}  # ``pivots`` rows a length
     parts = {at: -(-r["n"] // shard_rows) for at, r in sizes.items()}
     nq = cells.where("q").count()
@@ -216,7 +228,7 @@ def nearest(df: DataFrame, is_query: Column, k: int = 20, factor: float = 1.0, k
 
     def build(pdf: pd.DataFrame) -> pd.DataFrame:
         d = int(pdf["dim"].iloc[0])
-        tree = VPTree(pdf["id"].to_numpy(), np.frombuffer(b"".join(pdf["x"]), np.float64).reshape(-1, d), scale[d], k + 1)
+        tree = VPTree(pdf["id"].to_numpy(), np.frombuffer(b"".join(pdf["x"]), wide).reshape(-1, d).astype(np.float64), scale[d], k + 1)
         return pd.DataFrame({"dim": [d], "pivot": [pdf["pivot"].iloc[0]], "sub": [pdf["sub"].iloc[0]], "tree": [pickle.dumps(tree)]})
 
     place = ["dim", "pivot", "sub"]
@@ -233,7 +245,7 @@ def nearest(df: DataFrame, is_query: Column, k: int = 20, factor: float = 1.0, k
             def done():
                 ids = np.array([h[0] for h in held])
                 d = now[0]
-                q = np.frombuffer(b"".join(h[1] for h in held), np.float64).reshape(-1, d)
+                q = np.frombuffer(b"".join(h[1] for h in held), wide).reshape(-1, d).astype(np.float64)
                 within = None if first else np.array([h[2] for h in held], np.float64)
                 i, found, s = tree.search(ids, q, k, factor, within)
                 none = pa.nulls(len(i), pa.int32())
