@@ -3,16 +3,20 @@
 Counting: each task counts its n-grams as sorted 64-bit hashes, deals them as packed arrays by hash, and each
 receiver merges its range, so a frequent word sends one entry per task.  A count c is stored as its level
 1 + floor(log_base c): the filter gets the n-gram once for each level up to it, and a reader probes level after
-level until one is missing.  The filter has a fixed size, each range of hashes its own segment of it; n-grams
-too rare for that size (least count per order, found from the table of counts) are left out of the model.
+level until one is missing.  Every n-gram of the corpus is in the filter, once-seen ones too; it is sized by their
+number, ``key_bits`` bits for each entry, so it grows with the input.  A filter of more than ``limit`` bytes is cut
+into ranges of hashes, each broadcast by itself, and the texts are passed over once a range, each pass adding the
+levels that it knows: no broadcast outgrows the limit and no n-gram is left out.
 Scoring uses Dirichlet smoothing over orders: p(w|h) = (c(hw) + mu p(w|h')) / (c(h) + mu), down to an
 add-one unigram; counts come from the filter only.
 
 ``base_score`` is the exact add-one unigram score.  Words up to a fixed number, the most frequent, are
-broadcast with their counts; the others are looked up by a shuffle join.
+broadcast with their counts; the others that the filter knows are looked up by a shuffle join, each text sending a
+word once with its number.
 
 Edge cases: a null or blank text has its end token only; a null id hashes as an empty string; with no training
-rows every token has count 0; repeated rows are scored once each; an empty table gives no rows.
+rows every token has count 0; repeated rows are scored once each; an empty table gives no rows; other columns are
+ignored.
 """
 
 from __future__ import annotations
@@ -23,7 +27,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, partitions
+from .common import discard, materialise, partitions
+from .repeats import mixed
 
 END = xxhash.xxh64_intdigest(b" end")  # a word has no space, so this is none
 LOW = np.uint64((1 << 40) - 1)
@@ -35,12 +40,6 @@ def token_hashes(text: str | None) -> np.ndarray:
     return np.fromiter((*map(xxhash.xxh64_intdigest, words), END), np.uint64, len(words) + 1)
 
 
-def mixed(x: np.ndarray) -> np.ndarray:
-    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
-    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
-    return x ^ (x >> np.uint64(31))
-
-
 def ngram_hashes(h: np.ndarray, order: int) -> np.ndarray:
     """Hash of each n-gram of this order, by its last token."""
     out = h
@@ -74,37 +73,32 @@ def _merge(keys: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray
 
 
 class LogBloom:
-    """Read side: count level and mean count of n-grams, by repeated membership probes."""
+    """One range of the filter: count levels of n-grams by repeated membership probes.
 
-    def __init__(self, segments: dict[tuple[int, int], bytes], parts: int, bits: int, base: float, probes: int):
-        self.parts, self.bits, self.base, self.probes = parts, bits, base, probes
-        step = bits // 8
-        size = (max((k * parts + p for k, p in segments), default=0) + 1) * step
-        self.table = np.zeros(size, np.uint8)
-        for (k, p), x in segments.items():
-            at = (k * parts + p) * step
-            self.table[at : at + step] = np.frombuffer(x, np.uint8)
+    ``table`` has a segment of bits for each (order, part) whose part falls in this range.
+    """
+
+    def __init__(self, table: np.ndarray, first: np.ndarray, bits: np.ndarray, probes: int, ranges: int, mine: int):
+        self.table, self.first, self.bits, self.probes, self.ranges, self.mine = table, first, bits, probes, ranges, mine
+        self.parts = bits.shape[1]
 
     def level(self, order: int, h: np.ndarray) -> np.ndarray:
-        out = np.zeros(len(h), np.int64)
-        home = (np.uint64(order - 1) * np.uint64(self.parts) + (h >> np.uint64(40)) % np.uint64(self.parts)) * np.uint64(self.bits)
-        at, level = np.arange(len(h)), 1
+        """Level of each hash, 0 if unknown or of another range."""
+        out = np.zeros(len(h), np.uint8)
+        part = ((h >> np.uint64(40)) % np.uint64(self.parts)).astype(np.int64)
+        at, level = np.flatnonzero((part % self.ranges == self.mine) & (self.bits[order - 1, part] > 0)), 1
+        home, wide = self.first[order - 1, part], self.bits[order - 1, part].astype(np.uint64)
         while len(at):
             for i in range(self.probes):
-                place = home[at] + probe(h[at] & LOW, level, i, self.bits)
-                ok = place < np.uint64(len(self.table) * 8)
-                at, place = at[ok], place[ok]
-                at = at[(self.table[(place >> np.uint64(3)).astype(np.int64)] >> (place & np.uint64(7)).astype(np.uint8)) & 1 > 0]
+                place = home[at] + probe(h[at] & LOW, level, i, wide[at]).astype(np.int64)
+                at = at[(self.table[place >> 3] >> (place & 7).astype(np.uint8)) & 1 > 0]
             out[at] = level
             level += 1
         return out
 
-    def count(self, order: int, h: np.ndarray) -> np.ndarray:
-        return level_count(self.level(order, h), self.base)
-
 
-def probe(low: np.ndarray, level: int, i: int, bits: int) -> np.ndarray:
-    return mixed(low + np.uint64((level * 0x9E3779B97F4A7C15 + i * 0xD1B54A32D192ED03) % 2**64)) % np.uint64(bits)
+def probe(low: np.ndarray, level: int, i: int, bits) -> np.ndarray:
+    return mixed(low + np.uint64((level * 0x9E3779B97F4A7C15 + i * 0xD1B54A32D192ED03) % 2**64)) % (bits if isinstance(bits, np.ndarray) else np.uint64(bits))
 
 
 def count_level(c: np.ndarray, base: float) -> np.ndarray:
@@ -128,30 +122,40 @@ def segment(low: np.ndarray, level: np.ndarray, bits: int, probes: int) -> bytes
     return np.packbits(table, bitorder="little").tobytes()
 
 
-class Model:
-    """What a worker needs to score: the filter, totals and smoothing."""
+class Smoothing:
+    """Probabilities from count levels."""
 
-    def __init__(self, bloom: LogBloom, tokens: int, kinds: int, order: int, mu: float):
-        self.bloom, self.tokens, self.kinds, self.order, self.mu = bloom, tokens, kinds, order, mu
+    def __init__(self, tokens: int, kinds: int, order: int, mu: float, base: float):
+        self.tokens, self.kinds, self.order, self.mu, self.base = tokens, kinds, order, mu, base
 
-    def log10p(self, h: np.ndarray, sizes: np.ndarray) -> np.ndarray:
-        """log10 probability of each token given those before it in its text."""
-        grams = _orders(h, sizes, self.order)
-        one, where = np.unique(h, return_inverse=True)
-        lower = self.bloom.count(1, one)[where]
+    def log10p(self, levels: list[np.ndarray]) -> np.ndarray:
+        """log10 probability of each token given those before it in its text; ``levels``: of its n-gram of each order."""
+        lower = level_count(levels[0].astype(np.int64), self.base)
         p = (lower + 1) / (self.tokens + self.kinds + 1)
-        for k in range(2, self.order + 1):
-            g, at = grams[k - 1]
-            some, where = np.unique(g, return_inverse=True)  # frequent n-grams take the most probes
-            c = np.zeros(len(h))
-            c[at] = self.bloom.count(k, some)[where]
-            context = np.zeros(len(h))
-            context[at] = np.maximum(lower[at - 1], c[at])
+        for found in levels[1:]:
+            c = level_count(found.astype(np.int64), self.base)
+            context = np.r_[0.0, lower[:-1]]  # of the n-gram one shorter that ends a token earlier
+            context = np.where(found == NONE, 0.0, np.maximum(context, c))
+            c = np.where(found == NONE, 0.0, c)
             p = (c + self.mu * p) / (context + self.mu)
             lower = c
         return np.log10(p)
 
 
+NONE = 255  # level of a place where no n-gram of the order ends
+
+
+def token_levels(h: np.ndarray, sizes: np.ndarray, order: int, bloom: LogBloom) -> list[np.ndarray]:
+    """Level of the n-gram of each order that ends at each token."""
+    out = []
+    for k, (g, at) in enumerate(_orders(h, sizes, order), 1):
+        some, where = np.unique(g, return_inverse=True)  # frequent n-grams take the most probes
+        levels = np.full(len(h), NONE, np.uint8)
+        levels[at] = bloom.level(k, some)[where]
+        out.append(levels)
+    return out
+
+
 def count_ngrams(docs: DataFrame, text: str, order: int, flush: int = 3 << 20) -> DataFrame:
     """ord, part, low hash bits and counts of all n-grams: rows of packed arrays, one or more per part."""
     n = partitions(docs.sparkSession)
@@ -205,8 +209,6 @@ def count_ngrams(docs: DataFrame, text: str, order: int, flush: int = 3 << 20) -
         for (kind, part), mine in held.items():
             k, c = _merge(np.concatenate([x[0] for x in mine]), np.concatenate([x[1] for x in mine]))
             mine.clear()
-            if kind > 1:  # n-grams of count 1 predict nothing that the shorter ones do not
-                k, c = k[c > 1], c[c > 1]
             yield pa.RecordBatch.from_arrays([pa.array([kind], pa.int32()), pa.array([part], pa.int32()), pa.array([k.tobytes()], pa.binary()), pa.array([c.astype("<i8").tobytes()], pa.binary())], names=["ord", "part", "keys", "counts"])
 
     schema = "ord int, part int, keys binary, counts binary"
@@ -232,7 +234,44 @@ def _levels(counted: DataFrame, base: float) -> dict[tuple[int, int], tuple[int,
     return {(r[0], r[1]): (r[2], r[3]) for r in got.groupBy("ord", "level").agg(F.sum("n"), F.sum("total")).collect()}
 
 
-def score(docs: DataFrame, train: str, key: str = "doc_id", text: str = "text", order: int = 2, base: float = 1.3, mu: float = 1000.0, filter_bytes: int = 64 << 20, probes: int = 3, broadcast_words: int = 1 << 20) -> DataFrame:
+def build_filter(counted: DataFrame, order: int, base: float, probes: int, key_bits: float, limit: int) -> list:
+    """Broadcast ranges of the filter, each of about ``limit`` bytes at most (one part is the least a range can be)."""
+    spark = counted.sparkSession
+    n = partitions(spark)
+
+    def entries(batches):
+        for b in batches:
+            for kind, part, counts in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                c = np.frombuffer(counts, "<i8")
+                yield pa.RecordBatch.from_arrays([pa.array([kind], pa.int32()), pa.array([part], pa.int32()), pa.array([int(count_level(np.maximum(c, 1), base).sum())], pa.int64())], names=["ord", "part", "n"])
+
+    sizes = counted.select("ord", "part", "counts").mapInArrow(entries, "ord int, part int, n long").groupBy("ord", "part").agg(F.sum("n")).collect()  # orders x parts rows
+    bits = np.zeros((order, n), np.int64)
+    for k, p, m in sizes:
+        bits[k - 1, p] = max(64, int(m * key_bits) // 8 * 8 + 8)
+    ranges = min(n, max(1, -(-int(bits.sum()) // 8 // limit)))
+
+    def build(batches):
+        for b in batches:
+            for kind, part, keys, counts in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                level = count_level(np.maximum(np.frombuffer(counts, "<i8"), 1), base)
+                table = segment(np.frombuffer(keys, "<u8") & LOW, level, int(bits[kind - 1, part]), probes)
+                yield pa.RecordBatch.from_arrays([pa.array([kind - 1], pa.int32()), pa.array([part], pa.int32()), pa.array([table], pa.binary())], names=["ord", "part", "bits"])
+
+    out = []
+    for r in range(ranges):
+        mine = np.where(np.arange(n) % ranges == r, bits, 0)
+        first = (np.cumsum(mine.ravel()) - mine.ravel()).reshape(order, n)
+        table = np.zeros(int(mine.sum()) // 8 + 8, np.uint8)
+        got = counted.where(F.col("part") % ranges == r).mapInArrow(build, "ord int, part int, bits binary").toLocalIterator()
+        for k, p, x in got:  # ``limit`` bytes in all
+            at = int(first[k, p]) // 8
+            table[at : at + len(x)] = np.frombuffer(bytes(x), np.uint8)
+        out.append(spark.sparkContext.broadcast(LogBloom(table, first, mine, probes, ranges, r)))
+    return out
+
+
+def score(docs: DataFrame, train: str, key: str = "doc_id", text: str = "text", order: int = 2, base: float = 1.5, mu: float = 1000.0, probes: int = 3, key_bits: float = 10.0, limit: int = 128 << 20, broadcast_words: int = 1 << 20) -> DataFrame:
     """Scores of all rows by a model of the rows where the SQL condition ``train`` holds.
 
     Returns key, trained (boolean), n_tokens, n_known, train_tokens, base_score and score.
@@ -241,38 +280,11 @@ def score(docs: DataFrame, train: str, key: str = "doc_id", text: str = "text",
     sc = spark.sparkContext
     source = docs.select(F.col(key).alias("_key"), F.col(text).alias("_text"), F.coalesce(F.expr(train), F.lit(False)).alias("_train"))
     counted = materialise(count_ngrams(source.where("_train"), "_text", order), "ngrams")
-    n = partitions(spark)
     levels = _levels(counted, base)
     tokens = sum(t for (k, _), (_, t) in levels.items() if k == 1)
     kinds = sum(c for (k, _), (c, _) in levels.items() if k == 1)
-
-    # least level kept of each order, so that a key of the filter has ten bits at least
-    budget = filter_bytes * 8 // order // 10
-    least = []
-    for k in range(1, order + 1):
-        mine = sorted(((j, c) for (o, j), (c, _) in levels.items() if o == k), reverse=True)
-        keys, low = 0, 1
-        for j, c in mine:
-            if keys + c * j > budget:
-                low = j + 1
-                break
-            keys += c * j
-        least.append(low)
-    bits = max(8, filter_bytes * 8 // order // n // 8 * 8)
-
-    def build(batches):
-        for b in batches:
-            for kind, part, keys, counts in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                level = count_level(np.maximum(np.frombuffer(counts, "<i8"), 1), base)
-                low = np.frombuffer(keys, "<u8") & LOW
-                some = level >= least[kind - 1]
-                yield pa.RecordBatch.from_arrays([pa.array([kind - 1], pa.int32()), pa.array([part], pa.int32()), pa.array([segment(low[some], level[some], bits, probes)], pa.binary())], names=["ord", "part", "bits"])
-
-    got = counted.mapInArrow(build, "ord int, part int, bits binary").collect()  # filter_bytes in all
-    bloom = LogBloom({(r[0], r[1]): bytes(r[2]) for r in got}, n, bits, base, probes)
-    del got
-    model = sc.broadcast(Model(bloom, tokens, kinds, order, mu))
-    del bloom
+    ranges = build_filter(counted, order, base, probes, key_bits, limit)
+    smooth = Smoothing(tokens, kinds, order, mu, base)
 
     def words(batches):
         for b in batches:
@@ -301,32 +313,67 @@ def score(docs: DataFrame, train: str, key: str = "doc_id", text: str = "text",
     shared = sc.broadcast((top_keys[by], top_logs[by]))
     del top
 
+    def levels_so_far(texts, earlier, bloom):
+        """Hashes, sizes and levels of some texts; ``earlier``: levels from the ranges before, one row of bytes a text."""
+        h, sizes = _split(texts)
+        found = token_levels(h, sizes, order, bloom)
+        if earlier is not None:
+            before = [np.frombuffer(x, np.uint8).reshape(order, -1) for x in earlier]
+            found = [np.maximum(f, np.concatenate([x[k] for x in before])) for k, f in enumerate(found)]
+        return h, sizes, found
+
+    def passing(bloom):
+        def run(batches):
+            for b in batches:
+                at = b.schema.get_field_index("_levels")
+                out = []
+                for i in range(0, b.num_rows, 256):
+                    earlier = b.column(at).slice(i, 256).to_pylist() if at >= 0 else None
+                    _, sizes, found = levels_so_far(b.column(2).slice(i, 256).to_pylist(), earlier, bloom.value)
+                    ends = np.cumsum(sizes)
+                    whole = np.stack(found)
+                    out += [whole[:, e - m : e].tobytes() for e, m in zip(ends.tolist(), sizes.tolist(), strict=True)]
+                yield pa.RecordBatch.from_arrays([*b.columns[:4], pa.array(out, pa.binary())], names=["_row", "_key", "_text", "_train", "_levels"])
+
+        return run
+
     def scored(batches):
-        m = model.value
+        bloom = ranges[-1].value
         keys, logs = shared.value
         for b in batches:
-            n_tok, done, logsum, n_known, rare = [], [], [], [], []
-            texts = b.column(2)
+            n_tok, done, logsum, n_known, rare, times = [], [], [], [], [], []
+            texts, more = b.column(2), b.schema.get_field_index("_levels")
             for i in range(0, len(texts), 256):
-                h, sizes = _split(texts.slice(i, 256).to_pylist())
+                earlier = b.column(more).slice(i, 256).to_pylist() if more >= 0 else None
+                h, sizes, found = levels_so_far(texts.slice(i, 256).to_pylist(), earlier, bloom)
                 first = np.cumsum(sizes) - sizes
-                done.append(np.add.reduceat(m.log10p(h, sizes), first))
+                done.append(np.add.reduceat(smooth.log10p(found), first))
                 at = np.minimum(np.searchsorted(keys, h), len(keys) - 1) if len(keys) else np.zeros(len(h), np.int64)
                 hit = keys[at] == h if len(keys) else np.zeros(len(h), bool)
                 logsum.append(np.add.reduceat(np.where(hit, logs[at] if len(keys) else 0.0, 0.0), first))
                 n_known.append(np.add.reduceat(hit.astype(np.int64), first))
                 n_tok.append(sizes)
-                rare += [x[~y].view(np.int64) for x, y in zip(np.split(h, first[1:]), np.split(hit, first[1:]), strict=True)]
+                ask = ~hit & (found[0] > 0)  # the filter forgets no word that was counted
+                for x, y in zip(np.split(h, first[1:]), np.split(ask, first[1:]), strict=True):
+                    some, n = np.unique(x[y], return_counts=True)
+                    rare.append(some.view(np.int64))
+                    times.append(n)
             cat = lambda x, kind: pa.array(np.concatenate(x).astype(kind) if x else np.empty(0, kind))
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(3), cat(n_tok, np.int64), cat(done, np.float64), cat(logsum, np.float64), cat(n_known, np.int64), pa.array(rare, pa.list_(pa.int64()))], names=["_row", "_key", "trained", "n_tokens", "score", "logs", "n", "rare"])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(3), cat(n_tok, np.int64), cat(done, np.float64), cat(logsum, np.float64), cat(n_known, np.int64), pa.array(rare, pa.list_(pa.int64())), pa.array(times, pa.list_(pa.int64()))], names=["_row", "_key", "trained", "n_tokens", "score", "logs", "n", "rare", "times"])
 
     kind = source.schema["_key"].dataType.simpleString()
-    numbered_rows = source.select(F.monotonically_increasing_id().alias("_row"), "_key", "_text", "_train")
-    part = numbered_rows.mapInArrow(scored, f"_row long, _key {kind}, trained boolean, n_tokens long, score double, logs double, n long, rare array<long>")
+    held = source.select(F.monotonically_increasing_id().alias("_row"), "_key", "_text", "_train")
+    for bloom in ranges[:-1]:
+        before, held = held, materialise(held.mapInArrow(passing(bloom), f"_row long, _key {kind}, _text string, _train boolean, _levels binary"), "lm-levels")
+        if "_levels" in before.columns:
+            discard(before)
+    part = held.mapInArrow(scored, f"_row long, _key {kind}, trained boolean, n_tokens long, score double, logs double, n long, rare array<long>, times array<long>")
     part = materialise(part, "lm-scores")
-    rest = part.select("_row", F.explode("rare").alias("h"))
-    rest = rest.join(known, "h").groupBy("_row").agg(F.sum(F.log10(F.col("c") + 1.0)).alias("more"), F.count(F.lit(1)).alias("found"))
-    out = part.drop("rare").join(rest, "_row", "left")
+    if len(ranges) > 1:
+        discard(held)
+    rest = part.select("_row", F.explode(F.arrays_zip("rare", "times")).alias("x")).select("_row", F.col("x.rare").alias("h"), F.col("x.times").alias("times"))
+    rest = rest.join(known, "h").groupBy("_row").agg(F.sum(F.col("times") * F.log10(F.col("c") + 1.0)).alias("more"), F.sum("times").alias("found"))
+    out = part.drop("rare", "times").join(rest, "_row", "left")
     return out.select(
         F.col("_key").alias(key),
         "trained",

@@ -34,7 +34,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import discard, free_shuffles, materialise, partitions
-from .ngram_lm import mixed
+from .repeats import mixed
 
 LAST = 2**63 - 1
 FILTER_BITS, PROBES = 1 << 28, 2
