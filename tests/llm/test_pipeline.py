@@ -40,7 +40,7 @@ def test_gradient():
         s = t.soft_maximum(net.window_logits(tables, index.T, 0).astype(np.float64), doc, 3)[0]
         return float(np.mean(np.log1p(np.exp(s)) - y * s))
 
-    for k, g in t._gradient(net, lower, y, np.random.default_rng(0), blank=0).items():
+    for k, g in t._gradient(net, [t.cut_words(ws) for ws in lower], y, np.random.default_rng(0), blank=0).items():
         i = np.unravel_index(np.abs(g).argmax(), g.shape)
         old, step = net.p[k][i], 1e-2
         net.p[k][i] = old + step
@@ -51,6 +51,20 @@ def test_gradient():
         assert abs((up - down) / (2 * step) - g[i]) < 0.02 * abs(g[i]) + 1e-5, k
 
 
+def test_windows_and_words_train_whole():
+    from private_distinct.llm import toxicity as t
+
+    words = [f"w{i}" for i in range(5000)]
+    assert [w for ws in t.cut_words(words) for w in ws[: t.STRIDE]][:4990] == words[:4990]  # nothing between windows is lost
+    some = t.cut_words(words, 64)
+    assert len(some) == 64 and some == t.cut_words(words, 64) and some[-1][0] > some[0][0]
+    rng = np.random.default_rng(1)
+    texts = [" ".join("abcdefghijklmnopqrstuvwxy"[j % 25] for j in rng.integers(0, 25, 24)) for _ in range(120)]
+    texts = [t_.replace(" ", "") + ("zz" if i % 2 else "qq") for i, t_ in enumerate(texts)]  # the 25th and 26th byte tell
+    net = t.train(texts, [i % 2 for i in range(120)], steps=260)
+    assert np.mean([(s >= 0.5) == i % 2 for i, s in enumerate(net.score(texts))]) >= 0.9
+
+
 def test_toxicity_held_out(spark):
     from private_distinct.llm import toxicity
 
@@ -58,6 +72,8 @@ def test_toxicity_held_out(spark):
     net = toxicity.fit(docs, labels, F.col("doc_id") % 3 != 0)
     got = toxicity.score(docs, net, ["doc_id"]).collect()
     assert len(got) == docs.count() and all(0 <= r.score <= 1 for r in got)
+    twice = toxicity.score(docs.union(docs).withColumn("score", F.lit("clash")), net, ["doc_id"]).groupBy("doc_id").agg(F.count("score").alias("n"), (F.max("score") - F.min("score")).alias("d"))
+    assert all(r.n == 2 and r.d < 1e-6 for r in twice.collect())
     held = [r for r in got if r.doc_id is not None and r.doc_id < 240 and r.doc_id % 3 == 0]
     assert np.mean([(r.score >= 0.5) == (r.doc_id % 4 == 0) for r in held]) >= 0.9
     none = toxicity.fit(docs, labels.limit(0), F.lit(True))
