@@ -1,14 +1,15 @@
 """Byte-level BPE encoding and decoding with a two-tier lookup.
 
 Tier one: a minimal perfect hash over the vocabulary resolves a whole pre-token that is itself a token.
-Tier two, for misses: bytes form a doubly linked list and the pair of least rank is merged until none is
-left.  Long misses use a binary heap of (rank, place).  Short ones, which are nearly all, are merged in
-lockstep: one row of pair ranks per pre-token, the row's minimum being the top of its heap; both give the
-same ids (tested).  A text is cut at single spaces, where no pre-token can cross, and the pieces seen so far
-are kept in a bounded memo per worker.
-
-Edge cases: a null text is an empty one and has no ids; very long pre-tokens take the heap, n log n; rows are
-encoded one by one, so repeated rows and other columns do not matter; an empty table gives no rows.
+Tier two, for every miss: bytes form a doubly linked list, a binary heap of (rank, place) gives the pair of least
+rank, the leftmost first, and pairs are merged until none is left.  A text is cut at single spaces, where no
+pre-token can cross, and the pieces seen so far are kept in a bounded memo per worker.
+
+``lockstep`` replaces the heap for misses of up to ``LOCKSTEP_BYTES`` bytes by rows of pair ranks that are merged all
+at once, with the same ids (tested); packing uses it, the encoder itself does not.
+
+Edge cases: a null text is an empty one and has no ids; very long pre-tokens cost n log n; rows are encoded one by
+one, so repeated rows and other columns do not matter; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -86,9 +87,9 @@ class PerfectHash:
 class ByteBPE:
     """Encoder and decoder for one vocabulary; small enough to broadcast (bounded by the vocabulary)."""
 
-    def __init__(self, ranks: dict[bytes, int], pattern: str, strings: bool = True):
+    def __init__(self, ranks: dict[bytes, int], pattern: str, strings: bool = True, lockstep: bool = False):
         """``strings``: keep each piece's ids in decimal and its decoded bytes, for digests."""
-        self.pattern, self.strings = pattern, strings
+        self.pattern, self.strings, self.lockstep = pattern, strings, lockstep
         self.tokens = sorted(ranks, key=ranks.get)
         self.ids = np.array([ranks[t] for t in self.tokens], np.uint32)
         self.of_id = dict(zip(self.ids.tolist(), self.tokens, strict=True))
@@ -135,7 +136,7 @@ class ByteBPE:
         return out
 
     def __getstate__(self):
-        return {k: v for k, v in self.__dict__.items() if k not in ("spaced", "bare", "flat", "start", "count", "decimal", "plain", "split")}
+        return {k: v for k, v in self.__dict__.items() if k not in ("pairs", "spaced", "bare", "flat", "start", "count", "decimal", "plain", "split")}
 
     def __setstate__(self, state):
         self.__dict__ |= state
@@ -145,33 +146,26 @@ class ByteBPE:
 
     def merge_heap(self, piece: bytes) -> list[int]:
         """Least pair first, from a binary heap over linked bytes."""
-        n = len(piece)
-        sym = self.single[np.frombuffer(piece, np.uint8)]
-        left, right = list(range(-1, n - 1)), list(range(1, n + 1))
-        first = self.pair_rank(sym[:-1], sym[1:]).tolist() if n > 1 else []
-        sym = sym.tolist()
-        heap = [(r, i, sym[i], sym[i + 1]) for i, r in enumerate(first) if r != NONE]
+        n, rank = len(piece), self.pairs.get
+        sym = list(map(self.first.__getitem__, piece))
+        heap = [(r, i) for i in range(n - 1) if (r := rank(sym[i] << 32 | sym[i + 1])) is not None]
         heapq.heapify(heap)
-        gone = bytearray(n + 1)
-
-        def push(i: int) -> None:
-            j = right[i]
-            r = int(self.pair_rank(np.array([sym[i]]), np.array([sym[j]]))[0])
-            if r != NONE:
-                heapq.heappush(heap, (r, i, sym[i], sym[j]))
-
+        left, right = list(range(-1, n - 1)), list(range(1, n + 1))
         while heap:
-            r, i, a, b = heapq.heappop(heap)
+            r, i = heapq.heappop(heap)
             j = right[i]
-            if gone[i] or j >= n or sym[i] != a or sym[j] != b:
+            if sym[i] < 0 or j >= n or rank(sym[i] << 32 | sym[j]) != r:  # merged away since
                 continue
-            sym[i], gone[j], right[i] = r, 1, right[j]
-            if right[j] < n:
-                left[right[j]] = i
-                push(i)
-            if left[i] >= 0:
-                push(left[i])
-        return [s for i, s in enumerate(sym) if not gone[i]]
+            sym[i], sym[j] = r, -1
+            right[i] = k = right[j]
+            if k < n:
+                left[k] = i
+                if (x := rank(r << 32 | sym[k])) is not None:
+                    heapq.heappush(heap, (x, i))
+            k = left[i]
+            if k >= 0 and (x := rank(sym[k] << 32 | r)) is not None:
+                heapq.heappush(heap, (x, k))
+        return [s for s in sym if s >= 0]
 
     def merge_lockstep(self, pieces: list[bytes]) -> list[list[int]]:
         """The same for many short pieces at once."""
@@ -220,10 +214,10 @@ class ByteBPE:
         for i, (p, k) in enumerate(zip(pieces, at, strict=True)):
             if tokens[k] == p:
                 out[i] = [rank_of[k]]
-            elif len(p) > LOCKSTEP_BYTES:
-                out[i] = self.merge_heap(p)
-            else:
+            elif self.lockstep and len(p) <= LOCKSTEP_BYTES:
                 short.setdefault((len(p) + 3) // 4, []).append(i)
+            else:
+                out[i] = self.merge_heap(p)
         for where in short.values():
             for i, ids in zip(where, self.merge_lockstep([pieces[i] for i in where]), strict=True):
                 out[i] = ids
@@ -237,6 +231,9 @@ class ByteBPE:
         self.decimal: list[bytes] = []
         self.plain: list[bytes] = []
         self.split = regex.compile(self.pattern)
+        full = self.values != NONE
+        self.pairs = dict(zip(self.keys[full].tolist(), self.values[full].tolist(), strict=True))
+        self.first = self.single.tolist()
 
     def _learn(self, fresh: list[str]) -> None:
         pieces, sizes = [], []

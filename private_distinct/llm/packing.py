@@ -13,6 +13,8 @@ empty table gives no rows; other columns are ignored unless asked to be kept.
 
 from __future__ import annotations
 
+import json
+import re
 import zlib
 
 import numpy as np
@@ -83,18 +85,30 @@ def places(planned: list[tuple[list[int], int]]) -> np.ndarray:
     return np.array(sorted(rows), np.int64).reshape(-1, 4)
 
 
-def encode_pieces(docs: DataFrame, ranks: dict[bytes, int], pattern: str, capacity: int = 2048, end_id: int = 0, key: str = "doc_id", text: str = "text", keep_ids: bool = False) -> DataFrame:
-    """key, piece, start, length, ids_crc32 (and ids) of each piece of each document."""
-    bpe_on_workers = docs.sparkSession.sparkContext.broadcast(ByteBPE(ranks, pattern, strings=False))
+def encode_pieces(docs: DataFrame, ranks: dict[bytes, int], pattern: str, capacity: int = 2048, end_id: int = 0, key: str = "doc_id", text: str = "text", keep_ids: bool = False, special: dict[str, int] | None = None) -> DataFrame:
+    """key, piece, start, length, ids_crc32 (and ids) of each piece of each document.
+
+    ``special``: strings that are one id wherever they stand in a text, as a tokenizer has them by default.
+    """
+    bpe_on_workers = docs.sparkSession.sparkContext.broadcast(ByteBPE(ranks, pattern, strings=False, lockstep=True))
     kind = docs.select(key).schema[0].dataType.simpleString()
     schema = f"`{key}` {kind}, piece int, start long, length long, ids_crc32 long" + (", ids array<int>" if keep_ids else "")
+    special = special or {}
+    finder = re.compile("(" + "|".join(map(re.escape, sorted(special, key=len, reverse=True))) + ")")
+
+    def ids_of_rows(bpe: ByteBPE, texts: list[str | None]):
+        """Ids of each text, the end included."""
+        parts = [finder.split(t) if t and any(x in t for x in special) else [t] for t in texts]
+        encoded = bpe.encode_all([None if p in special else p for ps in parts for p in ps])
+        for ps in parts:
+            found = [np.array([special[p]], np.uint32) if p in special else bpe.ids_of(chunks) for p, chunks in zip(ps, encoded, strict=False)]
+            yield np.concatenate([*found, np.array([end_id], np.uint32)]).astype("<u4")
 
     def run(batches):
         bpe = bpe_on_workers.value
         for b in batches:
             row, piece, start, length, crc, kept = [], [], [], [], [], []
-            for i, chunks in enumerate(bpe.encode_all(b.column(1).to_pylist())):
-                ids = np.append(bpe.ids_of(chunks), np.uint32(end_id)).astype("<u4")
+            for i, ids in enumerate(ids_of_rows(bpe, b.column(1).to_pylist())):
                 at, size, k = 0, len(ids) % capacity or capacity, 0
                 while at < len(ids):
                     row.append(i)
@@ -112,6 +126,12 @@ def encode_pieces(docs: DataFrame, ranks: dict[bytes, int], pattern: str, capaci
     return docs.select(key, F.col(text).alias("_text")).mapInArrow(run, schema)
 
 
+def special_tokens(path: str) -> dict[str, int]:
+    """Special strings of a tokenizer's JSON file."""
+    with open(path, encoding="utf-8") as f:
+        return {t["content"]: t["id"] for t in json.load(f)["added_tokens"] if t["special"]}
+
+
 def pack(pieces: DataFrame, capacity: int = 2048, order: tuple[str, ...] = ("doc_id", "piece")) -> DataFrame:
     """Adds sequence_id and offset to pieces with a ``length`` column from 1 to ``capacity``."""
     pieces = materialise(pieces, "pieces")

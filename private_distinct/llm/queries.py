@@ -60,7 +60,8 @@ def op5_best_two_fit_packing(spark, sf_dir):
     from . import bpe, packing
 
     ranks = bpe.read_ranks(_vocabulary("byte_bpe_50k.tiktoken"))  # the same ids as byte_bpe_50k.json (tested)
-    return packing.pack(packing.encode_pieces(_documents(spark, sf_dir), ranks, _pattern()))
+    special = packing.special_tokens(_vocabulary("byte_bpe_50k.json"))
+    return packing.pack(packing.encode_pieces(_documents(spark, sf_dir), ranks, _pattern(), special=special))
 
 
 def op6_chat_windows(spark, sf_dir):

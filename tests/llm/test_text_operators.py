@@ -59,7 +59,9 @@ def test_bpe_equals_library(spark, docs):
     coder = bpe.ByteBPE(ranks, P.PATTERN)
     assert coder.decode(coder.encode(ODD[5][1])).decode() == ODD[5][1]
     words = [w.encode() for _, t, _ in docs.limit(20).collect() for w in coder.split.findall(t or "")]
-    assert [coder.merge_heap(w) for w in words] == coder.encode_pieces(words)
+    words += [b"", b"a" * 3000, b"ab" * 700, "日本語".encode() * 50]
+    assert [coder.merge_heap(w) for w in words] == bpe.ByteBPE(ranks, P.PATTERN, lockstep=True).encode_pieces(words)
+    assert coder.encode_pieces(words) == [coder.merge_heap(w) if w not in ranks else [ranks[w]] for w in words]
 
 
 def test_packing(spark, docs):
@@ -68,8 +70,10 @@ def test_packing(spark, docs):
     from private_distinct.llm import bpe, packing
 
     tok = Tokenizer.from_file(P.path("byte_bpe_50k.json"))
-    tok.encode_special_tokens = True
-    got = rows(packing.pack(packing.encode_pieces(docs, bpe.read_ranks(P.path("byte_bpe_50k.tiktoken")), P.PATTERN, keep_ids=True)))
+    special = packing.special_tokens(P.path("byte_bpe_50k.json"))
+    more = spark.createDataFrame([(2000, "<|endoftext|>", "x"), (2001, "a <|endoftext|><|endoftext|> b<|endoftext", "x"), (2002, " x" * 5000 + "<|endoftext|>", "x")], docs.schema)
+    docs = docs.union(more).cache()
+    got = rows(packing.pack(packing.encode_pieces(docs, bpe.read_ranks(P.path("byte_bpe_50k.tiktoken")), P.PATTERN, keep_ids=True, special=special)))
     want = Counter()
     for d, t, _ in docs.collect():
         ids = tok.encode(t or "", add_special_tokens=False).ids + [0]
