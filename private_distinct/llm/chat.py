@@ -1,10 +1,11 @@
 """Chat formatting into windows under a token budget.
 
 Turns are written as ``<|im_start|>role\\ntext<|im_end|>\\n``.  Prefix sums of turn tokens choose spans of whole
-turns: each window holds the system turn, up to ``history`` earlier turns that fit, repeated as context, and
+turns: a window holds the system turn, up to ``history`` earlier turns that fit, repeated as context, and
 new turns up to the budget.  A turn that fits the budget but not beside the system turn gets a window without
-it; a system turn over the budget is an ordinary turn, as no window can hold it.  The loss mask covers the assistant texts of new turns only, so a repeated target is
-masked.  A single turn over the budget gets a window of its own, whole, without history.
+it; a system turn over the budget is an ordinary turn, as no window can hold it.  The loss mask covers the
+assistant texts of new turns only, so a repeated target is masked.  A single turn over the budget gets a window
+beside the system turn only, whole, without history.
 
 Control strings inside texts are escaped reversibly: every ``<``, backslashes, ``|`` run in a text gains one
 backslash, so no written text can hold ``<|``; reading back removes it.  In roles backslashes and line ends are
@@ -21,6 +22,7 @@ assistant turns has empty loss; an empty table gives no rows; other columns are
 from __future__ import annotations
 
 import hashlib
+import os
 import re
 from itertools import groupby
 
@@ -78,9 +80,9 @@ class Windows:
         self.prefix = [0]  # token sums over self.turns
         self.number = self.windows = 0
 
-    def add(self, role: str, text: str):
-        """Yields the window that this turn does not fit into, if any."""
-        tokens = self.count(write_turn(role, text)[0])
+    def add(self, role: str, text: str, tokens: int | None = None):
+        """Yields the window that this turn does not fit into, if any; ``tokens``: of the written turn, if known."""
+        tokens = self.count(write_turn(role, text)[0]) if tokens is None else tokens
         if role == "system" and not self.number and tokens <= self.budget:
             self.system = (0, tokens, role, text, True)
             self.number += 1
@@ -139,6 +141,7 @@ def format_windows(turns: DataFrame, tokenizer: str, budget: int = 1024, history
     types = [pa.int32(), pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.string(), pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())]))]
 
     def run(batches):
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core
         from tokenizers import Tokenizer
 
         tok = Tokenizer.from_str(shared.value)
@@ -150,19 +153,26 @@ def format_windows(turns: DataFrame, tokenizer: str, budget: int = 1024, history
             cols = [pa.array([r[0] for r in out], kind), *(pa.array([r[i + 1] for r in out], t) for i, t in enumerate(types))]
             return pa.RecordBatch.from_arrays(cols, names=names)
 
+        def counted():
+            """Rows with the tokens of their written turns, counted some at a time."""
+            for b in batches:
+                rows = list(zip(*(c.to_pylist() for c in b.columns), strict=True))
+                for i in range(0, len(rows), 256):
+                    some = rows[i : i + 256]
+                    found = tok.encode_batch_fast([write_turn(role, text)[0] for _, _, role, text in some], add_special_tokens=False)
+                    yield from ((b.schema.field(0).type, conv, role, text, len(e)) for (conv, _, role, text), e in zip(some, found, strict=True))
+
         out, size = [], 0
-        for b in batches:
-            kind = b.schema.field(0).type
-            for conv, _, role, text in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                if conv != now or now is none:
-                    if held:
-                        out += [(now, *w) for w in held.rest()]
-                    held, now = Windows(budget, history, lambda s: len(tok.encode(s, add_special_tokens=False).ids)), conv
-                out += [(now, *w) for w in held.add(role, text)]
-                size += len(text)
-                if size > 1 << 22:
-                    yield batch(out)
-                    out, size = [], 0
+        for kind, conv, role, text, tokens in counted():
+            if conv != now or now is none:
+                if held:
+                    out += [(now, *w) for w in held.rest()]
+                held, now = Windows(budget, history, None), conv
+            out += [(now, *w) for w in held.add(role, text, tokens)]
+            size += len(text)
+            if size > 1 << 22:
+                yield batch(out)
+                out, size = [], 0
         if held:
             out += [(now, *w) for w in held.rest()]
         if out:
