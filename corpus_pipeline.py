@@ -18,7 +18,7 @@ from private_distinct.llm import bpe, near_copies, packing, suffix_dedup, toxici
 from private_distinct.llm.common import materialise
 
 THRESHOLD, SEQUENCE, LENGTH = 0.5, 2048, 50
-VOCABULARY = "byte_bpe_50k.tiktoken"
+VOCABULARY, TOKENIZER = "byte_bpe_50k.tiktoken", "byte_bpe_50k.json"
 
 
 def _renamed(docs: DataFrame) -> DataFrame:
@@ -70,7 +70,8 @@ def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
     import public_tokenizers
 
     ranks = bpe.read_ranks(public_tokenizers.path(VOCABULARY))
-    return packing.pack(packing.encode_pieces(docs, ranks, public_tokenizers.PATTERN, SEQUENCE), SEQUENCE)
+    special = packing.special_tokens(public_tokenizers.path(TOKENIZER))
+    return packing.pack(packing.encode_pieces(docs, ranks, public_tokenizers.PATTERN, SEQUENCE, special=special), SEQUENCE)
 
 
 STAGES = [
