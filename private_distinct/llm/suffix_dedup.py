@@ -4,14 +4,14 @@ A byte goes if a string of ``length`` bytes that covers it also starts in a docu
 
 1. The least hash of the short grams inside a window of ``length`` bytes depends on the window alone.  Runs of
    windows with the same least hash are segments, and equal windows lie in segments with equal keys.  Keys that
-   occur once in the whole corpus cannot repeat; the others go into a Bloom filter of fixed size (a fuller filter
-   only lets more segments through).
-2. Segments with a shared key are dealt by key into shards, equal ones of a task once with their least id.
-3. Each shard is suffix-sorted by induction: leftmost S suffixes are ordered first, then L and S suffixes are
-   induced bucket by bucket from first-in first-out queues (one per first byte, so the queue of least byte is
-   the head of a priority queue) that spill to disk.  Orders are exact to at least ``length`` bytes, which is all
-   that is compared; common prefixes of neighbours are taken from the text up to that length.  Neighbours that
-   agree form groups, and each group's least id decides.
+   occur once in the whole corpus cannot repeat; the others go into a filter sized by their number, in ranges of
+   hashes where one broadcast could not hold it (``repeats``).
+2. Segments with a shared key are dealt by key into shards, equal ones of a task once with their least id.  How
+   many shards there are follows from the bytes of all texts.
+3. A task takes its shards one after the other.  A shard's text lies in a file and is sorted externally
+   (``induced``), with the common prefixes of neighbours; suffixes that share ``length`` bytes form groups, and
+   each group's least id decides.  Memory is bounded by ``memory`` and some 30 bytes for each segment; all else is in
+   files in Spark's own scratch folders, removed with the shard.
 4. Answers meet the occurrences in a join on the segment's hash (a hot segment is a skewed join, not a group),
    and the removed ranges meet the texts by document.
 
@@ -30,15 +30,16 @@ import tempfile
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from . import repeats
 from .common import discard, free_shuffles, materialise, partitions
+from .induced import Suffixes
 from .repeats import mixed
 
 LAST = 2**63 - 1
-FILTER_BITS, PROBES = 1 << 28, 2
-CHUNK = 1 << 20
+CHUNK, SHARD_BYTES, FILTER_BYTES, MEMORY = 1 << 20, 4 << 20, 128 << 20, 128 << 20
 
 
 # 1. keys of windows ------------------------------------------------------------------------------
@@ -99,15 +100,6 @@ def _spread(starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
     return np.repeat(starts - np.cumsum(sizes) + sizes, sizes) + np.arange(sizes.sum())
 
 
-def merged(ranges: str) -> Column:
-    """Sorted ranges with those that meet joined."""
-    joined = lambda done, x: F.when(
-        (F.size(done) > 0) & (F.element_at(done, -1)["e"] >= x["s"]),
-        F.concat(F.slice(done, 1, F.size(done) - 1), F.array(F.struct(F.element_at(done, -1)["s"].alias("s"), F.greatest(F.element_at(done, -1)["e"], x["e"]).alias("e")))),
-    ).otherwise(F.concat(done, F.array(x)))
-    return F.aggregate(F.array_sort(ranges), F.array().cast("array<struct<s:int,e:int>>"), joined)
-
-
 def _batches(column, step: int = CHUNK):
     """Slices of a column of binary values of about ``step`` bytes."""
     i, n = 0, len(column)
@@ -123,153 +115,109 @@ def _batches(column, step: int = CHUNK):
 # 3. sorting --------------------------------------------------------------------------------------
 
 
-class DiskQueue:
-    """First-in first-out arrays; beyond ``memory`` entries they wait in a file."""
-
-    def __init__(self, folder: str, name: str, memory: int):
-        self.held, self.size, self.memory, self.path, self.on_disk = [], 0, memory, os.path.join(folder, name), 0
-
-    def push(self, x: np.ndarray) -> None:
-        self.held.append(x)
-        self.size += len(x)
-        if self.size > self.memory:
-            with open(self.path, "ab") as f:
-                for y in self.held:
-                    y.astype(np.int64).tofile(f)
-            self.on_disk += self.size
-            self.held, self.size = [], 0
-
-    def pop_all(self, block: int = 1 << 20):
-        """Yields what is queued, oldest first, in blocks."""
-        if self.on_disk:
-            n, self.on_disk = self.on_disk, 0
-            moved = f"{self.path}.out"
-            os.replace(self.path, moved)
-            for i in range(0, n, block):
-                yield np.fromfile(moved, np.int64, min(block, n - i), offset=8 * i)
-            os.remove(moved)
-        held, self.held, self.size = self.held, [], 0
-        if held:
-            yield np.concatenate(held)
-
-    def __bool__(self) -> bool:
-        return bool(self.on_disk or self.size)
-
-
-def induced_sort(text: np.ndarray, depth: int, folder: str, memory: int = 1 << 18) -> np.ndarray:
-    """Suffix order of ``text`` (bytes), exact to ``depth`` bytes at least."""
-    n = len(text)
-    if n < 2:
-        return np.arange(n)
-    t = text.astype(np.int16)
-    differ = np.flatnonzero(t[:-1] != t[1:])
-    nxt = np.searchsorted(differ, np.arange(n))  # the type of i is that of the next place where bytes differ
-    small = np.zeros(n, bool)
-    inside = nxt < len(differ)
-    small[inside] = (t[differ] < t[np.minimum(differ + 1, n - 1)])[nxt[inside]]
-    left = np.flatnonzero(small[1:] & ~small[:-1]) + 1
-    padded = np.concatenate([text, np.zeros(depth + 16, np.uint8)])
-    words = np.lib.stride_tricks.sliding_window_view(padded, 8)
-    columns = [np.ascontiguousarray(words[left + 8 * j]).view(">u8").ravel().astype(np.uint64) for j in range(-(-depth // 8))]
-    left = left[np.lexsort(columns[::-1])] if len(left) else left
-    by = np.searchsorted(t[left], np.arange(257))
-
-    grown = [DiskQueue(folder, f"l{c}", memory) for c in range(256)]
-    kept: list[list[np.ndarray]] = [[] for _ in range(256)]  # L suffixes in order
-
-    def deal(p: np.ndarray, queues: list[DiskQueue], keep: np.ndarray) -> None:
-        p = p[keep]
-        if not len(p):
-            return
-        c = text[p]
-        order = np.argsort(c, kind="stable")
-        p, c = p[order], c[order]
-        cuts = np.flatnonzero(np.r_[True, c[1:] != c[:-1]])
-        for a, b in zip(cuts, [*cuts[1:], len(c)], strict=True):
-            queues[c[a]].push(p[a:b])
-
-    grown[text[n - 1]].push(np.array([n - 1]))  # the last suffix is of type L
-    for c in range(256):
-        while grown[c]:
-            for block in grown[c].pop_all():
-                kept[c].append(block)
-                p = block[block > 0] - 1
-                deal(p, grown, ~small[p])
-        p = left[by[c] : by[c + 1]] - 1
-        deal(p, grown, ~small[p])
-
-    shrunk = [DiskQueue(folder, f"s{c}", memory) for c in range(256)]
-    out: list[np.ndarray] = []  # from the last suffix to the first
-    for c in range(255, -1, -1):
-        while shrunk[c]:
-            for block in shrunk[c].pop_all():
-                out.append(block)
-                p = block[block > 0] - 1
-                deal(p, shrunk, small[p])
-        for block in reversed(kept[c]):
-            block = block[::-1]
-            out.append(block)
-            p = block[block > 0] - 1
-            deal(p, shrunk, small[p])
-    return np.concatenate(out)[::-1]
-
-
-def least_of_equal(contents: list[bytes], least: np.ndarray, length: int, folder: str) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Where windows have an equal with a smaller id: content, first window, windows, that least id."""
-    sizes = np.fromiter(map(len, contents), np.int64, len(contents))
-    text = np.frombuffer(b"".join(contents), np.uint8)
-    order = induced_sort(text, length, folder)
-    of = np.repeat(np.arange(len(contents), dtype=np.int32), sizes)
-    ends = np.cumsum(sizes)
-    order = order[order + length <= ends[of[order]]]  # windows inside a content
-    words = np.lib.stride_tricks.sliding_window_view(text, 8)
-    same = np.ones(len(order) - 1, bool)
-    for j in [*range(0, length - 8, 8), length - 8]:
-        x = np.ascontiguousarray(words[order + j]).view(np.uint64).ravel()
-        same &= x[1:] == x[:-1]
-    first = np.flatnonzero(np.r_[True, ~same])
-    low = np.minimum.reduceat(least[of[order]], first)
-    found = np.full(len(text), LAST, np.int64)
-    found[order] = np.repeat(low, np.diff(np.append(first, len(order))))
-    valid = np.zeros(len(text), bool)
-    valid[order] = True
-    cut = np.r_[True, (found[1:] != found[:-1]) | (valid[1:] != valid[:-1]) | (of[1:] != of[:-1])]
-    at = np.flatnonzero(cut)
-    n = np.diff(np.append(at, len(text)))
-    at, n = at[valid[at]], n[valid[at]]
-    return of[at], at - (ends - sizes)[of[at]], n, found[at]
+def scratch_folder() -> str:
+    """A folder of a worker's own on Spark's scratch disks, where the engine spills too."""
+    base = os.environ.get("SPARK_LOCAL_DIRS", tempfile.gettempdir()).split(",")[0]
+    return tempfile.mkdtemp(prefix="suffixes-", dir=base if os.path.isdir(base) else None)
+
+
+class Shard:
+    """Segments of one shard: their bytes in a file, hashes, least ids and sizes in arrays."""
+
+    def __init__(self, folder: str):
+        self.folder, self.raw = folder, os.path.join(folder, "raw")
+        self.file, self.arrays = open(self.raw, "wb"), []  # noqa: SIM115  closed by answers()
+
+    def add(self, h: np.ndarray, least: np.ndarray, sizes: np.ndarray, raw: bytes) -> None:
+        self.file.write(raw)
+        self.arrays.append((h, least, sizes))
+
+    def _unique(self) -> str:
+        """Each content once, with its least id."""
+        self.file.close()
+        h, least, sizes = (np.concatenate([x[i] for x in self.arrays]) for i in range(3))
+        self.arrays.clear()
+        order = np.lexsort((least, h))
+        kept = np.sort(order[np.r_[True, h[order][1:] != h[order][:-1]]])
+        at = np.cumsum(sizes) - sizes
+        self.h, self.least, self.sizes = h[kept], least[kept], sizes[kept]
+        if len(kept) == len(h):
+            return self.raw
+        path, raw = os.path.join(self.folder, "text"), np.memmap(self.raw, np.uint8, "r")
+        ends = np.cumsum(self.sizes)
+        with open(path, "wb") as f:
+            i = 0
+            while i < len(kept):
+                j = max(i + 1, int(np.searchsorted(ends, (ends[i - 1] if i else 0) + CHUNK, side="right")))
+                raw[_spread(at[kept[i:j]], self.sizes[i:j])].tofile(f)
+                i = j
+        del raw
+        os.remove(self.raw)
+        return path
+
+    def answers(self, length: int, memory: int):
+        """(segment hash, first window, windows, least id of their equals) of all windows, block by block."""
+        path = self._unique()
+        n, ends = int(self.sizes.sum()), np.cumsum(self.sizes)
+        starts = ends - self.sizes
+        group = np.memmap(os.path.join(self.folder, "group"), "<u4" if n < 2**32 - 1 else "<u8", "w+", shape=n)
+        count, low, link = 0, LAST, 0  # groups so far; of the open one its least id; least prefix since the last window
+        with open(os.path.join(self.folder, "least"), "wb") as f:
+            np.zeros(1, np.int64).tofile(f)  # group 0: no window starts here
+            for at, shared in Suffixes(path, length, self.folder, memory).descending():
+                of = np.searchsorted(starts, at, side="right") - 1
+                inside = np.flatnonzero(at + length <= ends[of])
+                if not len(inside):
+                    link = min(link, int(shared.min()))
+                    continue
+                least = np.minimum.reduceat(shared[: inside[-1] + 1], np.r_[0, inside[:-1] + 1]).astype(np.int64)
+                least[0] = min(int(least[0]), link)
+                link = int(shared[inside[-1] + 1 :].min(initial=255))
+                ids, new = self.least[of[inside]], least < length
+                group[at[inside]] = count + np.cumsum(new)
+                first = np.flatnonzero(new)
+                if len(first):
+                    head = int(ids[: first[0]].min(initial=LAST))
+                    found = np.minimum.reduceat(ids, first)
+                    closed = np.r_[[min(low, head)] if count else np.empty(0, np.int64), found[:-1]]
+                    closed.astype(np.int64).tofile(f)
+                    low, count = int(found[-1]), count + len(first)
+                else:
+                    low = min(low, int(ids.min()))
+            if count:
+                np.array([low], np.int64).tofile(f)
+        least = np.memmap(os.path.join(self.folder, "least"), np.int64, "r")
+        step = max(1 << 14, min(1 << 18, memory // 128))
+        for a in range(0, n, step):
+            g = np.array(group[a : a + step])
+            low = least[g]
+            place = np.arange(a, a + len(g))
+            of = np.searchsorted(starts, place, side="right") - 1
+            cut = np.flatnonzero(np.r_[True, (low[1:] != low[:-1]) | ((g[1:] > 0) != (g[:-1] > 0)) | (of[1:] != of[:-1])])
+            many = np.diff(np.append(cut, len(g)))
+            ok = g[cut] > 0
+            cut, many = cut[ok], many[ok]
+            yield self.h[of[cut]], place[cut] - starts[of[cut]], many, low[cut]
+        del group, least
+        for name in ("raw", "text", "group", "least"):
+            if os.path.exists(os.path.join(self.folder, name)):
+                os.remove(os.path.join(self.folder, name))
 
 
 # the operator ------------------------------------------------------------------------------------
 
 
-def repeated_ranges(docs: DataFrame, length: int = 50, shards: int | None = None) -> DataFrame:
+def repeated_ranges(docs: DataFrame, length: int = 50, shard_bytes: int = SHARD_BYTES, filter_bytes: int = FILTER_BYTES, memory: int = MEMORY) -> DataFrame:
     """(did, dh, gone): byte ranges to remove of documents given as (did, dh, body); dh: 32 bits that tell texts apart."""
     spark = docs.sparkSession
     if length < 16:
         raise ValueError("length must be 16 or more")
-    n = shards or max(256, 4 * partitions(spark))
-    bits = FILTER_BITS // n // 8 * 8
-
-    def parted(keys: np.ndarray) -> np.ndarray:
-        return ((keys >> np.uint64(40)) % np.uint64(n)).astype(np.int64)
-
-    def place(low: np.ndarray, i: int) -> np.ndarray:
-        return (mixed(low + np.uint64(i + 1)) % np.uint64(bits)).astype(np.int64)
+    total = docs.agg(F.sum(F.octet_length("body"))).first()[0] or 0
+    wide = partitions(spark)
+    n = max(min(wide, 64), -(-total // shard_bytes))
 
     def emit_keys(batches):
         held, size = [], 0
-
-        def flush():
-            keys, count = np.unique(np.concatenate(held), return_counts=True)
-            part = parted(keys)
-            low = (keys & np.uint64((1 << 40) - 1)) << np.uint64(1) | (count > 1).astype(np.uint64)
-            order = np.lexsort((low, part))
-            part, low = part[order], low[order]
-            cuts = np.searchsorted(part, np.arange(n + 1))
-            rows = [(p, (x >> np.uint64(32)).astype("<u2").tobytes() + (x & np.uint64(0xFFFFFFFF)).astype("<u4").tobytes()) for p in range(n) if len(x := low[cuts[p] : cuts[p + 1]])]
-            return pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.binary())], names=["part", "keys"])
-
         for b in batches:
             for _, texts in _batches(b.column(0)):
                 doc, _, _, keys, _ = segments(texts, length)
@@ -279,46 +227,17 @@ def repeated_ranges(docs: DataFrame, length: int = 50, shards: int | None = None
                     held.append(k[np.r_[True, (k[1:] != k[:-1]) | (d[1:] != d[:-1])]])
                     size += len(held[-1])
                 if size > 3 << 20:
-                    yield flush()
+                    yield repeats.dealt(np.concatenate(held), n)
                     held.clear()
                     size = 0
         if size:
-            yield flush()
-
-    def shared_keys(batches):
-        held: dict[int, list] = {}
-        for b in batches:
-            for p, x in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-                m = len(x) // 6
-                held.setdefault(p, []).append(np.frombuffer(x, "<u2", m).astype(np.uint64) << np.uint64(32) | np.frombuffer(x, "<u4", m, 2 * m))
-        for p, x in held.items():
-            low = np.sort(np.concatenate(x))
-            x.clear()
-            again = np.r_[False, low[1:] >> np.uint64(1) == low[:-1] >> np.uint64(1)] | (low & np.uint64(1)).astype(bool)
-            table = np.zeros(bits, bool)
-            for i in range(PROBES):
-                table[place(low[again] >> np.uint64(1), i)] = True
-            yield pa.RecordBatch.from_arrays([pa.array([p], pa.int32()), pa.array([np.packbits(table, bitorder="little").tobytes()], pa.binary())], names=["part", "bits"])
+            yield repeats.dealt(np.concatenate(held), n)
 
-    wide = partitions(spark)
-    got = docs.select("body").mapInArrow(emit_keys, "part int, keys binary").repartition(wide, "part").mapInArrow(shared_keys, "part int, bits binary").collect()  # FILTER_BITS in all
-    table = np.zeros(n * bits // 8, np.uint8)
-    for r in got:
-        table[r[0] * bits // 8 : (r[0] + 1) * bits // 8] = np.frombuffer(bytes(r[1]), np.uint8)
-    del got
-    free_shuffles(spark)
-    shared = spark.sparkContext.broadcast(table)
+    shared = repeats.filters(docs.select("body").mapInArrow(emit_keys, repeats.SCHEMA), n, "segment-keys", filter_bytes)
 
-    def maybe(table: np.ndarray, keys: np.ndarray) -> np.ndarray:
-        ok = np.ones(len(keys), bool)
-        for i in range(PROBES):
-            at = parted(keys) * bits + place(keys & np.uint64((1 << 40) - 1), i)
-            ok &= (table[at >> 3] >> (at & 7).astype(np.uint8) & 1).astype(bool)
-        return ok
+    names = ["part", "hashes", "sizes", "least", "bytes", "h", "did", "place"]
 
-    names = ["part", "sizes", "least", "bytes", "h", "did", "place"]
-
-    def emit_segments(batches):
+    def emit_segments(batches, known):
         held: list[tuple[np.ndarray, ...]] = []
         size = 0
 
@@ -331,14 +250,15 @@ def repeated_ranges(docs: DataFrame, length: int = 50, shards: int | None = None
             order = order[np.r_[True, h[order][1:] != h[order][:-1]]]  # each content once, with its least id
             order = order[np.argsort(part[order], kind="stable")]
             at = np.cumsum(sizes) - sizes
-            part, did, sizes, at = part[order], did[order], sizes[order], at[order]
+            h, part, did, sizes, at = h[order], part[order], did[order], sizes[order], at[order]
             cuts = [*np.flatnonzero(np.r_[True, part[1:] != part[:-1]]), len(part)]
-            cols: tuple[list, ...] = ([], [], [], [])
+            cols: tuple[list, ...] = ([], [], [], [], [])
             for i, j in zip(cuts, cuts[1:]):
                 cols[0].append(part[i])
-                cols[1].append(sizes[i:j].astype("<i4").tobytes())
-                cols[2].append(did[i:j].astype("<i8").tobytes())
-                cols[3].append(codec.compress(raw[_spread(at[i:j], sizes[i:j])].tobytes(), asbytes=True))
+                cols[1].append(h[i:j].astype("<u8").tobytes())
+                cols[2].append(sizes[i:j].astype("<i4").tobytes())
+                cols[3].append(did[i:j].astype("<i8").tobytes())
+                cols[4].append(codec.compress(raw[_spread(at[i:j], sizes[i:j])].tobytes(), asbytes=True))
             m = len(cols[0])
             return pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[1:]), *(pa.nulls(m, pa.int64()) for _ in range(3))], names=names)
 
@@ -346,19 +266,19 @@ def repeated_ranges(docs: DataFrame, length: int = 50, shards: int | None = None
             dids, dhs = b.column(0).to_numpy(), b.column(1).to_numpy()
             for i, texts in _batches(b.column(2)):
                 doc, at, count, keys, joined = segments(texts, length)
-                some = np.flatnonzero(maybe(shared.value, keys))
+                some = np.flatnonzero(known.value.maybe(keys))
                 doc, at, count, keys = doc[some], at[some], count[some], keys[some]
                 m, did, sizes = len(at), dids[i + doc], count + length - 1
                 digest = xxhash.xxh3_64_intdigest
                 h = np.fromiter((digest(joined[x:y]) for x, y in zip(at.tolist(), (at + sizes).tolist(), strict=True)), np.uint64, m)
                 starts = np.cumsum(list(map(len, texts))) - list(map(len, texts))
                 place = (dhs[i + doc] << 32) | (at - starts[doc] if m else at)
-                yield pa.RecordBatch.from_arrays([pa.nulls(m, pa.int32()), *(pa.nulls(m, pa.binary()) for _ in range(3)), pa.array(h.view(np.int64)), pa.array(did), pa.array(place)], names=names)
+                yield pa.RecordBatch.from_arrays([pa.nulls(m, pa.int32()), *(pa.nulls(m, pa.binary()) for _ in range(4)), pa.array(h.view(np.int64)), pa.array(did), pa.array(place)], names=names)
                 if m:
                     order = np.lexsort((did, h))
                     order = order[np.r_[True, h[order][1:] != h[order][:-1]]]
                     raw = np.frombuffer(joined, np.uint8)[_spread(at[order], sizes[order])]
-                    held.append((h[order], parted(keys[order]), did[order], sizes[order], raw))
+                    held.append((h[order], repeats.part_of(keys[order], n), did[order], sizes[order], raw))
                     size += len(raw) + 32 * len(order)
                 if size > 64 << 20:
                     yield flush()
@@ -366,43 +286,46 @@ def repeated_ranges(docs: DataFrame, length: int = 50, shards: int | None = None
         if held:
             yield flush()
 
-    schema = "part int, sizes binary, least binary, bytes binary, h long, did long, place long"
-    found = materialise(docs.select("did", "dh", "body").mapInArrow(emit_segments, schema), "segments")
+    schema = "part int, hashes binary, sizes binary, least binary, bytes binary, h long, did long, place long"
+    emitted = None
+    for one in shared:
+        more = docs.select("did", "dh", "body").mapInArrow(lambda batches, one=one: emit_segments(batches, one), schema)
+        emitted = more if emitted is None else emitted.union(more)
+    found = materialise(emitted, "segments")
 
     def resolve(batches):
-        held: dict[int, dict[bytes, int]] = {}
         codec = pa.Codec("zstd", 1)
-        for b in batches:
-            for p, sizes, least, raw in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                mine, at = held.setdefault(p, {}), 0
-                raw = codec.decompress(raw, int(np.frombuffer(sizes, "<i4").sum()), asbytes=True)
-                for size, low in zip(np.frombuffer(sizes, "<i4").tolist(), np.frombuffer(least, "<i8").tolist(), strict=True):
-                    c = raw[at : at + size]
-                    at += size
-                    if mine.get(c, LAST) >= low:
-                        mine[c] = low
-        folder = tempfile.mkdtemp(prefix="suffixes-")
+        folder = scratch_folder()
+
+        def finished(shard):
+            for h, first, count, low in shard.answers(length, memory):
+                yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(first), pa.array(count), pa.array(low)], names=["h", "first", "n", "low"])
+
         try:
-            while held:
-                _, mine = held.popitem()
-                contents = list(mine)
-                i, first, count, low = least_of_equal(contents, np.fromiter(mine.values(), np.int64, len(mine)), length, folder)
-                h = np.fromiter(map(xxhash.xxh3_64_intdigest, contents), np.uint64, len(contents)).view(np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array(h[i]), pa.array(first), pa.array(count), pa.array(low)], names=["h", "first", "n", "low"])
+            now, shard = None, None
+            for b in batches:
+                for r, part in enumerate(b.column(0).to_pylist()):
+                    if part != now:
+                        if shard:
+                            yield from finished(shard)
+                        now, shard = part, Shard(folder)
+                    h, sizes, least, raw = (b.column(i)[r].as_py() for i in (1, 2, 3, 4))
+                    sizes = np.frombuffer(sizes, "<i4").astype(np.int64)
+                    shard.add(np.frombuffer(h, "<u8"), np.frombuffer(least, "<i8"), sizes, codec.decompress(raw, int(sizes.sum()), asbytes=True))
+            if shard:
+                yield from finished(shard)
         finally:
             shutil.rmtree(folder, ignore_errors=True)
 
-    dealt = found.where("part is not null").select("part", "sizes", "least", "bytes").repartition(max(wide, n // 4), "part")
+    dealt = found.where("part is not null").select("part", "hashes", "sizes", "least", "bytes").repartition(max(wide, n // 4), "part").sortWithinPartitions("part")
     answers = materialise(dealt.mapInArrow(resolve, "h long, first long, n long, low long"), "answers")
     free_shuffles(spark)
     seen = found.where("part is null").select("h", "did", "place")
     out = seen.join(answers, "h").where("did > low")
     start = F.col("place").bitwiseAND(F.lit(2**32 - 1)) + F.col("first")
     out = out.select("did", F.shiftright("place", 32).alias("dh"), start.cast("int").alias("s"), (start + F.col("n") + F.lit(length - 1)).cast("int").alias("e"))
-    out = out.groupBy("did", "dh").agg(F.collect_list(F.struct("s", "e")).alias("gone"))  # a document's own
-    out = materialise(out.withColumn("gone", merged("gone")), "ranges")
-    discard(found)
-    discard(answers)
+    out = materialise(out.groupBy("did", "dh").agg(F.collect_list(F.struct("s", "e")).alias("gone")), "ranges")  # a document's own
+    discard(found, answers)
     free_shuffles(spark)
     return out
 

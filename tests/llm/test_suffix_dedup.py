@@ -1,9 +1,13 @@
 """Removal of repeated strings against a dictionary of all windows; the sorter against sorted suffixes."""
 
 import hashlib
+import itertools
+import os
 import random
 
 import numpy as np
+import pytest
+from pyspark.sql import functions as F
 
 SF = "/root/testdata/sf0.001"
 
@@ -25,17 +29,51 @@ def plain(rows, length=50):
     return sorted(out)
 
 
-def test_sorter(tmp_path):
-    from private_distinct.llm.suffix_dedup import induced_sort
+def in_order(text, folder, memory):
+    from private_distinct.llm.induced import Suffixes
 
+    path = folder / "text"
+    path.write_bytes(text)
+    sorter = Suffixes(str(path), 50, str(folder), memory)
+    blocks = list(sorter.descending())
+    path.unlink()
+    assert not list(folder.iterdir())
+    return [i for a, _ in blocks for i in a.tolist()], [x for _, b in blocks for x in b.tolist()], sorter
+
+
+@pytest.mark.parametrize("memory", [1 << 26, 1 << 12])
+def test_sorter(tmp_path, memory):
     rng = random.Random(5)
-    for alphabet, n, memory in ((b"ab", 500, 1 << 18), (b"abc", 900, 7), (bytes(range(256)), 700, 1), (b"a", 300, 9), (b"ab", 1, 9)):
+    for alphabet, n in ((b"ab", 500), (b"abc", 900), (bytes(range(256)), 700), (b"a", 300), (b"ab", 1), (b"a", 0), (b"a" * 40 + b"b", 2000), (b"abcdefg ", 3000)):
         t = bytes(rng.choice(alphabet) for _ in range(n)) * 2
-        got = induced_sort(np.frombuffer(t, np.uint8), 50, str(tmp_path), memory)
-        assert sorted(got.tolist()) == list(range(len(t)))
-        cut = [t[i : i + 50] for i in got]
-        assert cut == sorted(cut)
-    assert not list(tmp_path.iterdir())
+        order, shared, sorter = in_order(t, tmp_path, memory)
+        assert sorted(order) == list(range(len(t)))
+        cut = [t[i : i + 50] for i in order]
+        assert cut == sorted(cut, reverse=True)
+        assert shared[1:] == [len(os.path.commonprefix([x, y])) for x, y in itertools.pairwise(cut)]
+        if n > 2000:
+            assert sorter.levels >= 2 and (memory > 1 << 12 or sorter.spilled > n)  # names were named again; queues waited on disk
+
+
+def test_memory_does_not_grow_with_the_text(tmp_path):
+    """Eight megabytes under a bound of eight: what Python and numpy allocate stays under twice the bound, as for one."""
+    import tracemalloc
+
+    from private_distinct.llm.induced import Suffixes
+
+    rng = np.random.default_rng(0)
+    words = [bytes(rng.integers(97, 123, rng.integers(2, 9)).astype(np.uint8)) + b" " for _ in range(3000)]
+    peaks = {}
+    for size in (1 << 20, 8 << 20):
+        path = tmp_path / "text"
+        path.write_bytes(b"".join(words[i] for i in rng.integers(0, 3000, size // 4))[:size])
+        tracemalloc.start()
+        n = sum(len(a) for a, _ in Suffixes(str(path), 50, str(tmp_path), 8 << 20).descending())
+        peaks[size] = tracemalloc.get_traced_memory()[1]
+        tracemalloc.stop()
+        path.unlink()
+        assert n == size
+    assert peaks[8 << 20] < 16 << 20 and peaks[8 << 20] < 2 * peaks[1 << 20]
 
 
 def test_removal(spark):
@@ -50,3 +88,7 @@ def test_removal(spark):
     got = suffix_dedup.remove(docs, ["doc_id", "did"], as_text=True).collect()
     assert sorted((2**63 - 1 if r.doc_id is None else r.doc_id, r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in got) == plain(rows)
     assert suffix_dedup.remove(docs.limit(0), ["doc_id"]).count() == 0
+    # many shards, ranges of the filter and little memory change nothing
+    keyed = docs.select(F.coalesce("doc_id", F.lit(suffix_dedup.LAST)).alias("did"), F.shiftright(F.xxhash64(F.col("text").cast("binary")), 32).alias("dh"), F.coalesce("text", F.lit("")).cast("binary").alias("body"))
+    covered = lambda df: {(r.did, r.dh): suffix_dedup.cut(b"x" * 10**6, r.gone)[1:] for r in df.collect()}
+    assert covered(suffix_dedup.repeated_ranges(keyed, 50, 1 << 14, 500, 1 << 16)) == covered(suffix_dedup.repeated_ranges(keyed))
