@@ -39,7 +39,7 @@ from .induced import Suffixes
 from .repeats import mixed
 
 LAST = 2**63 - 1
-CHUNK, SHARD_BYTES, FILTER_BYTES, MEMORY = 1 << 20, 4 << 20, 128 << 20, 128 << 20
+CHUNK, SHARD_BYTES, FILTER_BYTES, MEMORY = 1 << 20, 2 << 20, 128 << 20, 96 << 20
 
 
 # 1. keys of windows ------------------------------------------------------------------------------
@@ -128,8 +128,10 @@ class Shard:
         self.folder, self.raw = folder, os.path.join(folder, "raw")
         self.file, self.arrays = open(self.raw, "wb"), []  # noqa: SIM115  closed by answers()
 
-    def add(self, h: np.ndarray, least: np.ndarray, sizes: np.ndarray, raw: bytes) -> None:
+    def add(self, least: np.ndarray, sizes: np.ndarray, raw: bytes) -> None:
         self.file.write(raw)
+        ends, digest = np.cumsum(sizes).tolist(), xxhash.xxh3_64_intdigest
+        h = np.fromiter((digest(raw[a:b]) for a, b in zip([0, *ends], ends, strict=False)), np.uint64, len(ends))
         self.arrays.append((h, least, sizes))
 
     def _unique(self) -> str:
@@ -161,11 +163,17 @@ class Shard:
         n, ends = int(self.sizes.sum()), np.cumsum(self.sizes)
         starts = ends - self.sizes
         group = np.memmap(os.path.join(self.folder, "group"), "<u4" if n < 2**32 - 1 else "<u8", "w+", shape=n)
+        content = np.memmap(os.path.join(self.folder, "content"), "<u4", "w+", shape=n)  # of each byte
+        i = 0
+        while i < len(ends):
+            j = max(i + 1, int(np.searchsorted(ends, starts[i] + CHUNK, side="right")))
+            content[starts[i] : ends[j - 1]] = np.repeat(np.arange(i, j, dtype=np.uint32), self.sizes[i:j])
+            i = j
         count, low, link = 0, LAST, 0  # groups so far; of the open one its least id; least prefix since the last window
         with open(os.path.join(self.folder, "least"), "wb") as f:
             np.zeros(1, np.int64).tofile(f)  # group 0: no window starts here
             for at, shared in Suffixes(path, length, self.folder, memory).descending():
-                of = np.searchsorted(starts, at, side="right") - 1
+                of = content[at]
                 inside = np.flatnonzero(at + length <= ends[of])
                 if not len(inside):
                     link = min(link, int(shared.min()))
@@ -192,14 +200,14 @@ class Shard:
             g = np.array(group[a : a + step])
             low = least[g]
             place = np.arange(a, a + len(g))
-            of = np.searchsorted(starts, place, side="right") - 1
+            of = np.array(content[a : a + step])
             cut = np.flatnonzero(np.r_[True, (low[1:] != low[:-1]) | ((g[1:] > 0) != (g[:-1] > 0)) | (of[1:] != of[:-1])])
             many = np.diff(np.append(cut, len(g)))
             ok = g[cut] > 0
             cut, many = cut[ok], many[ok]
             yield self.h[of[cut]], place[cut] - starts[of[cut]], many, low[cut]
-        del group, least
-        for name in ("raw", "text", "group", "least"):
+        del group, least, content
+        for name in ("raw", "text", "group", "least", "content"):
             if os.path.exists(os.path.join(self.folder, name)):
                 os.remove(os.path.join(self.folder, name))
 
@@ -235,7 +243,7 @@ def repeated_ranges(docs: DataFrame, length: int = 50, shard_bytes: int = SHARD_
 
     shared = repeats.filters(docs.select("body").mapInArrow(emit_keys, repeats.SCHEMA), n, "segment-keys", filter_bytes)
 
-    names = ["part", "hashes", "sizes", "least", "bytes", "h", "did", "place"]
+    names = ["part", "sizes", "least", "bytes", "h", "did", "place"]
 
     def emit_segments(batches, known):
         held: list[tuple[np.ndarray, ...]] = []
@@ -250,15 +258,14 @@ def repeated_ranges(docs: DataFrame, length: int = 50, shard_bytes: int = SHARD_
             order = order[np.r_[True, h[order][1:] != h[order][:-1]]]  # each content once, with its least id
             order = order[np.argsort(part[order], kind="stable")]
             at = np.cumsum(sizes) - sizes
-            h, part, did, sizes, at = h[order], part[order], did[order], sizes[order], at[order]
+            part, did, sizes, at = part[order], did[order], sizes[order], at[order]
             cuts = [*np.flatnonzero(np.r_[True, part[1:] != part[:-1]]), len(part)]
-            cols: tuple[list, ...] = ([], [], [], [], [])
+            cols: tuple[list, ...] = ([], [], [], [])
             for i, j in zip(cuts, cuts[1:]):
                 cols[0].append(part[i])
-                cols[1].append(h[i:j].astype("<u8").tobytes())
-                cols[2].append(sizes[i:j].astype("<i4").tobytes())
-                cols[3].append(did[i:j].astype("<i8").tobytes())
-                cols[4].append(codec.compress(raw[_spread(at[i:j], sizes[i:j])].tobytes(), asbytes=True))
+                cols[1].append(sizes[i:j].astype("<i4").tobytes())
+                cols[2].append(did[i:j].astype("<i8").tobytes())
+                cols[3].append(codec.compress(raw[_spread(at[i:j], sizes[i:j])].tobytes(), asbytes=True))
             m = len(cols[0])
             return pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[1:]), *(pa.nulls(m, pa.int64()) for _ in range(3))], names=names)
 
@@ -273,7 +280,7 @@ def repeated_ranges(docs: DataFrame, length: int = 50, shard_bytes: int = SHARD_
                 h = np.fromiter((digest(joined[x:y]) for x, y in zip(at.tolist(), (at + sizes).tolist(), strict=True)), np.uint64, m)
                 starts = np.cumsum(list(map(len, texts))) - list(map(len, texts))
                 place = (dhs[i + doc] << 32) | (at - starts[doc] if m else at)
-                yield pa.RecordBatch.from_arrays([pa.nulls(m, pa.int32()), *(pa.nulls(m, pa.binary()) for _ in range(4)), pa.array(h.view(np.int64)), pa.array(did), pa.array(place)], names=names)
+                yield pa.RecordBatch.from_arrays([pa.nulls(m, pa.int32()), *(pa.nulls(m, pa.binary()) for _ in range(3)), pa.array(h.view(np.int64)), pa.array(did), pa.array(place)], names=names)
                 if m:
                     order = np.lexsort((did, h))
                     order = order[np.r_[True, h[order][1:] != h[order][:-1]]]
@@ -286,7 +293,7 @@ def repeated_ranges(docs: DataFrame, length: int = 50, shard_bytes: int = SHARD_
         if held:
             yield flush()
 
-    schema = "part int, hashes binary, sizes binary, least binary, bytes binary, h long, did long, place long"
+    schema = "part int, sizes binary, least binary, bytes binary, h long, did long, place long"
     emitted = None
     for one in shared:
         more = docs.select("did", "dh", "body").mapInArrow(lambda batches, one=one: emit_segments(batches, one), schema)
@@ -309,15 +316,15 @@ def repeated_ranges(docs: DataFrame, length: int = 50, shard_bytes: int = SHARD_
                         if shard:
                             yield from finished(shard)
                         now, shard = part, Shard(folder)
-                    h, sizes, least, raw = (b.column(i)[r].as_py() for i in (1, 2, 3, 4))
+                    sizes, least, raw = (b.column(i)[r].as_py() for i in (1, 2, 3))
                     sizes = np.frombuffer(sizes, "<i4").astype(np.int64)
-                    shard.add(np.frombuffer(h, "<u8"), np.frombuffer(least, "<i8"), sizes, codec.decompress(raw, int(sizes.sum()), asbytes=True))
+                    shard.add(np.frombuffer(least, "<i8"), sizes, codec.decompress(raw, int(sizes.sum()), asbytes=True))
             if shard:
                 yield from finished(shard)
         finally:
             shutil.rmtree(folder, ignore_errors=True)
 
-    dealt = found.where("part is not null").select("part", "hashes", "sizes", "least", "bytes").repartition(max(wide, n // 4), "part").sortWithinPartitions("part")
+    dealt = found.where("part is not null").select("part", "sizes", "least", "bytes").repartition(max(wide, n // 4), "part").sortWithinPartitions("part")
     answers = materialise(dealt.mapInArrow(resolve, "h long, first long, n long, low long"), "answers")
     free_shuffles(spark)
     seen = found.where("part is null").select("h", "did", "place")
