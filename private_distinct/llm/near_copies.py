@@ -6,9 +6,9 @@ balls (``simhash.ball_edges``), and what meets is verified by the sets themselve
 up to 17 bits.  So a second pass finds the rest.  Sets are ordered by one order of all shingles, those common in
 a sample of texts last.  Of two sets of similarity t, the first size - ceil(t size) + 1 shingles of each share one,
 whatever the order, so these prefixes are dealt by shingle and sets that meet are compared whole.  Shingles that
-one prefix has alone are left out by a filter of repeated keys; sizes and places in the order rule out pairs
-before sets are fetched; pairs already in one component are left out, so a large group of copies costs no square
-of its size.
+one prefix has alone are left out by a filter of repeated keys; sizes, places in the order and the numbers of
+shingles in each of 256 ranges (which bound what two sets can share) rule out pairs before sets are fetched; pairs
+already in one component are left out, so a large group of copies costs no square of its size.
 
 Edge cases: null and blank texts share the empty set and are one class; a text shorter than a shingle is one
 shingle; equal sets are one class; texts, sets and shingles are told apart by 64-bit hashes.
@@ -56,6 +56,16 @@ def class_of(found: np.ndarray) -> int:
     return int(np.array(xxhash.xxh3_64_intdigest(found.tobytes()), np.uint64).view(np.int64))
 
 
+def tally(found: np.ndarray) -> bytes:
+    """How many of the shingles of a set lie in each of 256 ranges."""
+    n = np.bincount((found >> np.uint64(56)).astype(np.int64), minlength=256)
+    return n.astype(np.uint8 if n.max() < 256 else "<u4").tobytes()
+
+
+def from_tally(raw: bytes) -> np.ndarray:
+    return np.frombuffer(raw, np.uint8 if len(raw) == 256 else "<u4").astype(np.int64)
+
+
 def text_hash(text: str) -> Column:
     return F.xxhash64(F.coalesce(F.col(text), F.lit("")))
 
@@ -87,7 +97,7 @@ def common_shingles(docs: DataFrame, text: str, words: int) -> np.ndarray:
 
 
 def signed(docs: DataFrame, text: str, words: int, similarity: float) -> DataFrame:
-    """For each row the hash of its text, its class (hash of the set), set size, fingerprint, and prefix in the common order."""
+    """For each row hashes of the row and of its text, its class (hash of the set), set size, fingerprint, tally and prefix in the common order."""
     common = common_shingles(docs, text, words)
     by = np.argsort(common)
     shared = docs.sparkSession.sparkContext.broadcast((common[by], by))  # at most COMMON shingles
@@ -95,21 +105,23 @@ def signed(docs: DataFrame, text: str, words: int, similarity: float) -> DataFra
     def run(batches):
         known, rank = shared.value
         for b in batches:
-            cls, sizes, fps, prefixes = [], [], [], []
-            for x in b.column(1):
+            cls, sizes, fps, tallies, prefixes = [], [], [], [], []
+            for x in b.column(2):
                 all_ = shingles(x.as_py(), words)
                 fps.append(majority(all_))
                 s = np.unique(all_)
                 cls.append(class_of(s))
                 sizes.append(len(s))
+                tallies.append(tally(s))
                 if len(known) and len(s):
                     i = np.minimum(np.searchsorted(known, s), len(known) - 1)
                     s = s[np.argsort(np.where(known[i] == s, rank[i], -1), kind="stable")]
                 prefixes.append(s[: len(s) - math.ceil(similarity * len(s) - 1e-9) + 1].tobytes())
-            new = [pa.array(cls, pa.int64()), pa.array(sizes, pa.int32()), pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(prefixes, pa.binary())]
-            yield pa.RecordBatch.from_arrays([b.column(0), *new], names=["th", "cls", "size", "fp", "prefix"])
+            new = [pa.array(cls, pa.int64()), pa.array(sizes, pa.int32()), pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(tallies, pa.binary()), pa.array(prefixes, pa.binary())]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *new], names=["rk", "th", "cls", "size", "fp", "tally", "prefix"])
 
-    return docs.select(text_hash(text).alias("th"), F.col(text).alias("_text")).mapInArrow(run, "th long, cls long, size int, fp long, prefix binary")
+    rows = docs.select(F.xxhash64(*docs.columns).alias("rk"), text_hash(text).alias("th"), F.col(text).alias("_text"))
+    return rows.mapInArrow(run, "rk long, th long, cls long, size int, fp long, tally binary, prefix binary")
 
 
 def meeting(rows: np.ndarray, similarity: float) -> np.ndarray:
@@ -209,7 +221,7 @@ def candidates(classes: DataFrame, similarity: float) -> DataFrame:
 
 
 def sets_of(wanted: DataFrame, docs: DataFrame, text: str, words: int) -> DataFrame:
-    """(cls, s) for ``wanted`` (cls, th): the sets are made where the texts are read, texts are not shuffled."""
+    """(rk, s) for the rows ``wanted`` (rk), and a few more: sets are made where the texts are read, nothing is shuffled."""
     n = max(256, 4 * partitions(docs.sparkSession))
 
     def keys(batches):
@@ -217,30 +229,37 @@ def sets_of(wanted: DataFrame, docs: DataFrame, text: str, words: int) -> DataFr
             if b.num_rows:
                 yield repeats.dealt(repeats.mixed(b.column(0).to_numpy().view(np.uint64)), n)
 
-    parts = repeats.filters(wanted.select("th").mapInArrow(keys, repeats.SCHEMA), n, "copy-wanted", least=1)
+    parts = repeats.filters(wanted.select("rk").mapInArrow(keys, repeats.SCHEMA), n, "copy-wanted", least=1)
 
     def sets_for(filter_):
         def run(batches):
             for b in batches:
-                th = b.column(0).to_numpy()
-                at = np.flatnonzero(filter_.value.maybe(repeats.mixed(th.view(np.uint64))))
+                rk = b.column(0).to_numpy()
+                at = np.flatnonzero(filter_.value.maybe(repeats.mixed(rk.view(np.uint64))))
                 for i in range(0, len(at), 256):
                     some = pa.array(at[i : i + 256])
                     found = [shingle_set(x, words).tobytes() for x in b.column(1).take(some).to_pylist()]
-                    yield pa.RecordBatch.from_arrays([b.column(0).take(some), pa.array(found, pa.binary())], names=["th", "s"])
+                    yield pa.RecordBatch.from_arrays([b.column(0).take(some), pa.array(found, pa.binary())], names=["rk", "s"])
 
         return run
 
     made = None
     for f in parts:
-        more = docs.select(text_hash(text).alias("th"), F.col(text).alias("_text")).mapInArrow(sets_for(f), "th long, s binary")
+        more = docs.select(F.xxhash64(*docs.columns).alias("rk"), F.col(text).alias("_text")).mapInArrow(sets_for(f), "rk long, s binary")
         made = more if made is None else made.union(more)
-    return made.join(wanted, "th").dropDuplicates(["cls"]).select("cls", "s")
+    return made
 
 
 def links(pairs: DataFrame, classes: DataFrame, docs: DataFrame, text: str, words: int, similarity: float) -> DataFrame:
     """Forests of those ``pairs`` (a, b) of classes whose sets are similar."""
 
+    def possible(batches):
+        for b in batches:
+            if b.num_rows:
+                x, y = (np.array([from_tally(t) for t in b.column(i).to_pylist()]) for i in (4, 5))
+                ok = np.minimum(x, y).sum(1) >= least_overlap(x.sum(1), y.sum(1), similarity)
+                yield pa.RecordBatch.from_arrays([c.filter(pa.array(ok)) for c in b.columns[:4]], names=["a", "b", "ra", "rb"])
+
     def verify(batches):
         for b in batches:
             a, z, x, y = (c.to_pylist() for c in b.columns)
@@ -252,13 +271,16 @@ def links(pairs: DataFrame, classes: DataFrame, docs: DataFrame, text: str, word
     spark = docs.sparkSession
     pairs = materialise(pairs, "copy-pairs")
     free_shuffles(spark)
-    ends = pairs.select(F.col("a").alias("cls")).union(pairs.select("b")).distinct()
-    wanted = materialise(classes.select("cls", "th").join(ends, "cls"), "copy-ends")
-    held = materialise(sets_of(wanted, docs, text, words), "copy-sets")
+    known = classes.select("cls", "rk", "tally")
+    both = pairs.join(known.select(F.col("cls").alias("a"), F.col("rk").alias("ra"), F.col("tally").alias("x")), "a").join(known.select(F.col("cls").alias("b"), F.col("rk").alias("rb"), F.col("tally").alias("y")), "b")
+    left = materialise(both.select("a", "b", "ra", "rb", "x", "y").mapInArrow(possible, "a long, b long, ra long, rb long"), "copy-possible")
+    discard(pairs)
+    free_shuffles(spark)
+    held = materialise(sets_of(left.select(F.col("ra").alias("rk")).union(left.select("rb")).distinct(), docs, text, words), "copy-sets")
     free_shuffles(spark)
-    both = pairs.join(held.select(F.col("cls").alias("a"), F.col("s").alias("x")), "a").join(held.select(F.col("cls").alias("b"), F.col("s").alias("y")), "b")
+    both = left.join(held.select(F.col("rk").alias("ra"), F.col("s").alias("x")), "ra").join(held.select(F.col("rk").alias("rb"), F.col("s").alias("y")), "rb")
     out = materialise(both.select("a", "b", "x", "y").mapInArrow(verify, "a long, b long"), "copy-links")
-    discard(held, pairs, wanted)
+    discard(held, left)
     free_shuffles(spark)
     return out
 
@@ -267,7 +289,7 @@ def groups(docs: DataFrame, text: str = "text", words: int = WORDS, similarity:
     """(th, root) for every distinct text of ``docs``; equal roots for near copies."""
     spark = docs.sparkSession
     rows = materialise(signed(docs, text, words, similarity), "copy-rows")
-    one = rows.groupBy("cls").agg(F.first(F.struct("th", "size", "fp", "prefix")).alias("x")).select("cls", "x.*")
+    one = rows.groupBy("cls").agg(F.first(F.struct("rk", "size", "fp", "tally", "prefix")).alias("x")).select("cls", "x.*")
     classes = materialise(one, "copy-classes")
     named = materialise(rows.select("th", "cls").distinct(), "copy-texts")
     discard(rows)
@@ -280,7 +302,7 @@ def groups(docs: DataFrame, text: str = "text", words: int = WORDS, similarity:
     found = links(pairs, classes, docs, text, words, similarity)
     discard(by_print)
     roots = connected_components(found, "copies")
-    rooted = classes.join(roots, classes.cls == roots.node, "left").select("cls", "th", "size", "prefix", F.coalesce("root", "cls").alias("root"))
+    rooted = classes.join(roots, classes.cls == roots.node, "left").select("cls", "rk", "size", "tally", "prefix", F.coalesce("root", "cls").alias("root"))
     rooted = materialise(rooted, "copy-rooted")
     discard(classes, roots)
     more = links(candidates(rooted, similarity), rooted, docs, text, words, similarity)
