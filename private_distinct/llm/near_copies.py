@@ -29,6 +29,7 @@ from .common import connected_components, discard, forest, free_shuffles, materi
 from .simhash import ball_edges, majority
 
 WORDS, SIMILARITY, SAMPLE, COMMON = 5, 0.8, 8192, 1 << 19
+REACH = (4, 32, None)  # the last round compares all that is left
 _POSTING = np.dtype([("shingle", "<u8"), ("cls", "<i8"), ("root", "<i8"), ("size", "<u4"), ("place", "<u4")])
 
 
@@ -124,8 +125,11 @@ def signed(docs: DataFrame, text: str, words: int, similarity: float) -> DataFra
     return rows.mapInArrow(run, "rk long, th long, cls long, size int, fp long, tally binary, prefix binary")
 
 
-def meeting(rows: np.ndarray, similarity: float) -> np.ndarray:
-    """Pairs of classes, as rows (a, b), that share a shingle of their prefixes, may be similar and have different roots."""
+def meeting(rows: np.ndarray, similarity: float, reach: int | None) -> np.ndarray:
+    """Pairs of classes, as rows (a, b), that share a shingle of their prefixes, may be similar and have different roots.
+
+    ``reach``: each with so many next larger ones of its shingle only, so no more pairs than rows times that.
+    """
     rows = rows[np.lexsort((rows["cls"], rows["size"], rows["shingle"]))]
     first = np.flatnonzero(np.r_[True, rows["shingle"][1:] != rows["shingle"][:-1]])
     n = np.diff(np.append(first, len(rows)))
@@ -149,14 +153,14 @@ def meeting(rows: np.ndarray, similarity: float) -> np.ndarray:
             found = [np.unique(np.concatenate(found), axis=0)]
             held = len(found[0])
         d += 1
+        if reach and d > reach:
+            break
     return np.unique(np.concatenate(found), axis=0)
 
 
-def candidates(classes: DataFrame, similarity: float) -> DataFrame:
-    """Distinct pairs (a, b) of ``classes`` (cls, root, size, prefix) with different roots that may be similar."""
-    spark = classes.sparkSession
-    n = partitions(spark)
-    many = max(256, 4 * n)
+def repeated_shingles(classes: DataFrame) -> list:
+    """Filters of the shingles that more than one prefix has."""
+    many = max(256, 4 * partitions(classes.sparkSession))
 
     def keys(batches):
         held, size = [], 0
@@ -169,7 +173,12 @@ def candidates(classes: DataFrame, similarity: float) -> DataFrame:
         if size:
             yield repeats.dealt(np.concatenate(held), many)
 
-    known = repeats.filters(classes.select("prefix").mapInArrow(keys, repeats.SCHEMA), many, "copy-shingles")
+    return repeats.filters(classes.select("prefix").mapInArrow(keys, repeats.SCHEMA), many, "copy-shingles")
+
+
+def candidates(classes: DataFrame, known: list, similarity: float, reach: int | None) -> DataFrame:
+    """Distinct pairs (a, b) of ``classes`` (cls, root, size, prefix) with different roots that may be similar."""
+    n = partitions(classes.sparkSession)
 
     def emit_for(filter_):
         def emit(batches):
@@ -208,7 +217,7 @@ def candidates(classes: DataFrame, similarity: float) -> DataFrame:
             for p, x in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                 by_part.setdefault(p, []).append(x)
         for x in by_part.values():
-            pairs = meeting(np.frombuffer(b"".join(x), _POSTING), similarity)
+            pairs = meeting(np.frombuffer(b"".join(x), _POSTING), similarity, reach)
             x.clear()
             for i in range(0, len(pairs), 1 << 16):
                 yield pa.RecordBatch.from_arrays([pa.array(pairs[i : i + (1 << 16), 0]), pa.array(pairs[i : i + (1 << 16), 1])], names=["a", "b"])
@@ -302,12 +311,14 @@ def groups(docs: DataFrame, text: str = "text", words: int = WORDS, similarity:
     found = links(pairs, classes, docs, text, words, similarity)
     discard(by_print)
     roots = connected_components(found, "copies")
-    rooted = classes.join(roots, classes.cls == roots.node, "left").select("cls", "rk", "size", "tally", "prefix", F.coalesce("root", "cls").alias("root"))
-    rooted = materialise(rooted, "copy-rooted")
-    discard(classes, roots)
-    more = links(candidates(rooted, similarity), rooted, docs, text, words, similarity)
-    roots = connected_components(found.union(more), "copies")
+    known = repeated_shingles(classes)
+    for reach in REACH:  # near ones by size first: they link most of a group, and so leave few pairs
+        rooted = classes.join(roots, classes.cls == roots.node, "left").select(classes.cls, "size", "prefix", F.coalesce("root", "cls").alias("root"))
+        more = links(candidates(rooted, known, similarity, reach), classes, docs, text, words, similarity)
+        discard(roots)
+        found = found.union(more)
+        roots = connected_components(found, "copies")
     out = materialise(named.join(roots, named.cls == roots.node, "left").select("th", F.coalesce("root", "cls").alias("root")), "copy-groups")
-    discard(found, more, roots, rooted, named)
+    discard(classes, roots, named)
     free_shuffles(spark)
     return out
