@@ -46,17 +46,23 @@ def k_max_from_bits(bits: int) -> int:
 
 @dataclass(frozen=True)
 class SketchSpec:
-    """kind: fm, linear, bottomk, adaptive, hll or a registered one; k: slots or kept hashes."""
+    """kind: fm, linear, bottomk, adaptive, hll or a registered one; k: slots or kept hashes.
+
+    rate (linear only): share of the items that the sketch takes in, which widens its range.
+    """
 
     kind: str
     k: int
     bitmap_len: int = 32
+    rate: float = 1.0
 
     def __post_init__(self):
         if self.kind not in KINDS and self.kind not in CUSTOM:
             raise ValueError(f"unknown sketch {self.kind}")
         if self.k < 2 or self.kind in ("hll", "fm") and self.k & (self.k - 1):
             raise ValueError("k must be 2 or more, and a power of two for hll and fm")
+        if not 0 < self.rate <= 1 or self.rate < 1 and self.kind != "linear":
+            raise ValueError("rate is above 0 and up to 1, and below 1 for linear counting only")
 
     @property
     def k_max(self) -> int:
@@ -77,6 +83,8 @@ class SketchSpec:
             if own.rel_std_error is None:
                 raise ValueError(f"no standard error is known for {self.kind}")
             return own.rel_std_error(k)
+        if self.kind == "linear" and self.rate < 1:  # of the thinned items, and of the thinning
+            return math.sqrt((k * (math.exp(n * self.rate / k) - n * self.rate / k - 1)) / self.rate**2 + n * (1 - self.rate) / self.rate) / n
         if self.kind == "linear" and n >= k:
             return math.sqrt(k * (math.exp(n / k) - n / k - 1)) / n
         return {"fm": 0.649, "linear": 1.0, "bottomk": 1.0, "adaptive": 1.2, "hll": 1.04}[self.kind] / math.sqrt(k)
@@ -142,14 +150,44 @@ def log_binom_cdf(m: int, n: int, q: float) -> float:
     return min(0.0, top + math.log(sum(math.exp(x - top) for x in logs)))
 
 
+def linear_floor(k: int, eps: float, rate: float = 1.0) -> tuple[int, float]:
+    """(slots that must be filled for a state not to violate, items that fill so many on average)."""
+    b0 = max(0, math.ceil(k * (1 - pi0(eps) / rate)))
+    return b0, sum(k / (rate * (k - i)) for i in range(b0))
+
+
+def ln_delta_bound(spec: SketchSpec, n: float, eps: float) -> float:
+    """ln of a closed bound on the failure probability of an unmodified sketch of n items; 0 where it says nothing.
+
+    linear: the published form with the sound sign of its last factor; hash lists: relative entropy.
+    """
+    q, k = pi0(eps), spec.k
+    if n <= min_cardinality(spec.k_max, eps):
+        return 0.0
+    if spec.kind == "hll":
+        return min(0.0, math.log(k) - q * n / k)
+    if spec.kind == "fm":
+        v = math.ceil(-math.log2(q))
+        return min(0.0, math.log(k * v) - 2.0**-v * n / k)
+    if spec.kind == "linear":
+        if spec.rate < q:
+            return -math.inf
+        b0, mu0 = linear_floor(k, eps, spec.rate)
+        return min(0.0, math.log(mu0 / n) - b0 / k / mu0 * n + b0 / k) if n > mu0 else 0.0
+    x = k / n
+    return -n * (x * math.log(x / q) + (1 - x) * math.log((1 - x) / (1 - q)))
+
+
 def occupancy_cdf(k: int, n: int, b: int, rate: float = 1.0) -> float:
     """P(fewer than b of k slots are filled by n items, each kept with ``rate``)."""
-    p = [1.0] + [0.0] * b
+    import numpy as np
+
+    stay = 1 - rate * (1 - np.arange(b + 1) / k)
+    p = np.zeros(b + 1)
+    p[0] = 1.0
     for _ in range(n):
-        for i in range(b, -1, -1):
-            stay = p[i] * (1 - rate * (1 - i / k))
-            p[i] = stay + (p[i - 1] * rate * (1 - (i - 1) / k) if i else 0.0)
-    return min(1.0, sum(p[:b]))
+        p = p * stay + np.append(0.0, (p * (1 - stay))[:-1])
+    return min(1.0, float(p[:b].sum()))
 
 
 def delta(spec: SketchSpec, n: int, eps: float, method: str = "exact") -> float:
@@ -169,7 +207,9 @@ def delta(spec: SketchSpec, n: int, eps: float, method: str = "exact") -> float:
         v = math.ceil(-math.log2(q))
         return min(1.0, k * v * math.exp(-(2.0**-v) * n / k))
     if spec.kind == "linear":
-        return occupancy_cdf(k, n, math.ceil(k * (1 - q)))
+        if spec.rate < q:  # its own thinning keeps every state below the bound
+            return 0.0
+        return occupancy_cdf(k, n, linear_floor(k, eps, spec.rate)[0], spec.rate)
     if method == "printed":
         if eps > math.log(2) + 1e-12:
             raise ValueError("the printed bound is not sound for eps > ln 2")

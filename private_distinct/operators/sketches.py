@@ -6,6 +6,7 @@ partitions x groups x slots rows.  Packed states are for storage.
 
 from __future__ import annotations
 
+import math
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame, Window
@@ -117,6 +118,9 @@ def state_of_hashes(h: DataFrame, spec: SketchSpec, by: tuple = ()) -> DataFrame
 
 
 def build_state(df: DataFrame, item: list[str], spec: SketchSpec, key: SketchKey, by: tuple = (), keep_below: int | None = None, own: bool = False) -> DataFrame:
+    """A sketch with a rate thins by itself; a release that thins further does so with the same hash."""
+    if spec.rate < 1:
+        keep_below = min(keep_below or SPACE, math.ceil(spec.rate * SPACE))
     return state_of_hashes(hashed(df, item, key, by, keep_below, own=own), spec, by)
 
 
@@ -184,8 +188,9 @@ def estimate_state(state: DataFrame, spec: SketchSpec, by: tuple = (), estimator
     if own := CUSTOM.get(spec.kind):
         est, pi = own.estimate(k), own.pi(k)
     elif spec.kind == "linear":
-        pi = 1 - n / F.lit(float(k))
-        est = F.when(pi > 0, -F.lit(float(k)) * F.ln(pi))
+        free = 1 - n / F.lit(float(k))
+        pi = free * F.lit(spec.rate)
+        est = F.when(free > 0, -F.lit(float(k) / spec.rate) * F.ln(free))
     elif spec.kind == "hll":
         total = F.coalesce(F.sum(F.pow(F.lit(2.0), -F.col("val"))), F.lit(0.0)) + (F.lit(k) - n)
         pi = total / k

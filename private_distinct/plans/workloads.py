@@ -28,6 +28,7 @@ EPS = math.log(2)
 RAW = "('r:' || {})"  # text of an item, as hashed
 SPECS = {k: pv.SketchSpec(k, 64 if k == "fm" else 128) for k in ("fm", "linear", "bottomk", "adaptive", "hll")}
 TINY = {"linear": (3, 0, 6), "bottomk": (2, 6, 5), "hll": (2, 3, 5), "fm": (1, 3, 5)}  # kind -> k, levels, items
+KS = [1 << i for i in range(7, 13)]  # of both experiments
 GRID = [(kind, k, eps) for kind in SPECS for k in (128, 1024, 4096) for eps in (0.1, 0.5, EPS, 1.0, 2.0)]
 
 
@@ -169,7 +170,7 @@ def _sketches() -> None:
         floor = 1400
         plain, kept = _hashes(key, t, text), _hashes(key, t, text, below=thin)
         _add(f"state_{kind}", lambda s, d, spec=spec, key=key: sk.build_state(table(s, d, t), item, spec, key).select("slot", "val"), _state(spec, plain))
-        _add(f"plain_{kind}", lambda s, d, spec=small, key=key: _rounded(rl.release_plain(table(s, d, t), item, spec, budget(floor), key)), _release(small, plain, 1.0, 0, pv.delta(small, floor, EPS)))
+        _add(f"plain_{kind}", lambda s, d, spec=small, key=key: _rounded(rl.release_plain(table(s, d, t), item, spec, pv.Budget(EPS, 1.0, floor), key)), _release(small, plain, 1.0, 0, pv.delta(small, floor, EPS)))
         _add(f"large_{kind}", lambda s, d, spec=small, key=key: _rounded(rl.release_large(table(s, d, t), item, spec, budget(floor), key)), _release(small, kept, bound, 0, 0.0))
         _add(f"any_{kind}", lambda s, d, spec=spec, key=key: _rounded(rl.release_any(table(s, d, t), item, spec, budget(), key)), _release(spec, f"{kept} union all {_phantom_hashes(key, v, thin)}", bound, v, 0.0))
         stop = _local_stop(spec, key)
@@ -362,14 +363,14 @@ def _audits() -> None:
 
 
 def _experiments() -> None:
-    n, trials, key = 1 << 20, 4, SketchKey("experiment", "native")
+    n, trials, key = 1 << 20, 10, SketchKey("experiment", "native")
 
     def errors(s, d):
-        out = [ex.error_summary(ex.estimates(s, n, pv.SketchSpec("hll", k), trials, key, eps), n).select(F.lit(k).alias("k"), F.lit(name).alias("method"), "*") for k in (128, 1024, 4096) for name, eps in (("plain", None), ("private", EPS))]
+        out = [ex.error_summary(ex.estimates(s, n, pv.SketchSpec("hll", k), trials, key, eps), n).select(F.lit(k).alias("k"), F.lit(name).alias("method"), "*") for k in KS for name, eps in (("plain", None), ("private", EPS))]
         return reduce(DataFrame.union, out)
 
     def space(s, d):
-        return reduce(DataFrame.union, [ex.space_summary(s, n, k, trials, key, EPS).select(F.lit(k).alias("k"), "*") for k in (128, 1024, 4096)])
+        return reduce(DataFrame.union, [ex.space_summary(s, n, k, trials, key, EPS).select(F.lit(k).alias("k"), "*") for k in KS])
 
     def violations(s, d):
         out = []
@@ -423,6 +424,69 @@ def _baselines() -> None:
     _add("delta_grid", deltas)
 
 
+def _properties() -> None:
+    """Size, error, influential items, floor and a bound on ln delta of every sketch; exact failure probabilities."""
+    rows, values = [], []
+    for kind, k, eps in GRID:
+        spec = pv.SketchSpec(kind, k)
+        n0 = pv.min_cardinality(spec.k_max, eps)
+        for m in (2, 8, 32):
+            rows.append((kind, k, float(eps), m, spec.size_bits, spec.k_max, n0, spec.rel_std_error(1.0), pv.ln_delta_bound(spec, math.ceil(m * n0), eps)))
+            values.append(f"('{kind}', {k}, {float(eps)!r}::double, {m})")
+    schema = "kind string, k long, eps double, n_over_n0 long, size_bits long, k_max long, n0 double, rel_std_error double, ln_delta_bound double"
+    x, v, b0 = "(k / n)", "ceil(-log2(q))", "ceil(k * (1 - q))"
+    mu0 = f"list_sum(list_transform(range({b0}::bigint), lambda i: k::double / (k - i)))"
+    bound = f"""case kind when 'hll' then least(0, ln(k) - q * n / k) when 'fm' then least(0, ln(k * {v}) - pow(2.0::double, -{v}) * n / k)
+      when 'linear' then case when n > {mu0} then least(0, ln({mu0} / n) - {b0} / k / {mu0} * n + {b0} / k) else 0 end
+      else -n * ({x} * ln({x} / q) + (1 - {x}) * ln((1 - {x}) / (1 - q))) end"""
+    sql = f"""select kind, k::bigint as k, round(eps, 6) as eps, m::bigint as n_over_n0, bits::bigint as size_bits, k_max::bigint as k_max, round(n0, 6) as n0,
+      round(case kind when 'fm' then 0.649 when 'adaptive' then 1.2 when 'hll' then 1.04 else 1 end / sqrt(k), 6) as rel_std_error, round(({bound})::double, 6) as ln_delta_bound
+      from (select *, ceil(m * n0)::double as n from (select *, k_max / q as n0 from (select kind, k, eps, m, 1 - exp(-eps) as q,
+      case kind when 'fm' then 32 * k when 'linear' then k when 'hll' then 5 * k else 64 * k end as bits, case kind when 'fm' then 32 * k else k end as k_max from (values {', '.join(values)}) as g(kind, k, eps, m))))"""
+    _add("property_table", lambda s, d: _rounded(s.createDataFrame(rows, schema)), sql)
+    for kind in ("hll", "fm", "bottomk", "adaptive"):
+        spec, grid = pv.SketchSpec(kind, 128), []
+        for eps in (0.1, 0.5, EPS, 1.0, 2.0):
+            grid += [(eps, math.ceil(m * pv.min_cardinality(spec.k_max, eps))) for m in (1.0, 1.5, 2.0, 4.0)]
+        made = [(float(e), n, pv.delta(spec, n, e)) for e, n in grid]
+        least = f"case when n <= {spec.k_max} / q then 1 else {{}} end"
+        if kind == "hll":
+            d = "least(1, 128 * exp(-q * n / 128))"
+        elif kind == "fm":
+            d = "least(1, 128 * ceil(-log2(q)) * exp(-pow(2.0::double, -ceil(-log2(q))) * n / 128))"
+        else:
+            d = "list_sum(list_transform(range(129), lambda i: exp(lgamma(n + 1) - lgamma(i + 1) - lgamma(n - i + 1) + i * ln(q) + (n - i) * ln(1 - q))))"
+        source = ", ".join(f"({float(e)!r}::double, {n}::double)" for e, n in grid)
+        sql = f"select round(eps, 6) as eps, n::bigint as n, round(({least.format(d)})::double, 6) as delta from (select eps, n, 1 - exp(-eps) as q from (values {source}) as g(eps, n))"
+        _add(f"delta_grid_{kind}", lambda s, d, made=made: _rounded(s.createDataFrame(made, "eps double, n long, delta double")), sql)
+
+
+def _thinned_linear() -> None:
+    """Linear counting that thins by itself, below the bound: pure, and with a range beyond its slots."""
+    spec, key = pv.SketchSpec("linear", 128, rate=0.25), public_key("thinned-linear")
+    state = _state(pv.SketchSpec("linear", 128), _hashes(key, "lineitem", RAW.format("l_orderkey"), below=math.ceil(0.25 * SPACE)))
+    est = f"select base_estimate / 0.25::double as base_estimate from ({_estimate(pv.SketchSpec('linear', 128), state)})"
+    n0 = pv.min_cardinality(128, EPS)
+    sql = f"select round(base_estimate, 6) as base_estimate, 1.0::double as p, 0::bigint as phantoms, round(base_estimate, 6) as estimate, round({EPS!r}::double, 6) as eps, 0.0::double as delta, 128::bigint as k_max, round({n0!r}::double, 6) as n0 from ({est})"
+    _add("plain_linear_thinned", lambda s, d: _rounded(rl.release_plain(table(s, d, "lineitem"), ["l_orderkey"], spec, budget(1400), key)), sql)
+
+
+def _public_groups() -> None:
+    """Groups from a public list: one without items has its phantoms only, items of others are dropped."""
+    spec, thin, bound, key = SPECS["hll"], pv.threshold(EPS), pv.pi0(EPS), public_key("listed")
+    v = math.ceil(pv.min_cardinality(spec.k_max, EPS))
+    listed = ("1-URGENT", "5-LOW", "6-NONE")
+    values = "(select unnest([{}]) as o_orderpriority)".format(", ".join(f"'{x}'" for x in listed))
+    source = f"(select * from orders where o_orderpriority in (select o_orderpriority from {values}))"
+    hashes = f"{_hashes(key, source, _tagged('o_orderpriority', RAW.format('o_custkey')), 'o_orderpriority, ', thin)} union all {_phantom_hashes(key, v, thin, 'o_orderpriority, ', values)}"
+
+    def query(s, d):
+        groups = s.createDataFrame([(x,) for x in listed], "o_orderpriority string")
+        return _rounded(rl.release_any(table(s, d, "orders"), ["o_custkey"], spec, budget(), key, ("o_orderpriority",), groups=groups))
+
+    _add("grouped_public_list", query, _release(spec, hashes, bound, v, 0.0, "o_orderpriority, "))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     if not _QUERIES:
         _sketches()
@@ -432,6 +496,9 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         _audits()
         _baselines()
         _experiments()
+        _properties()
+        _thinned_linear()
+        _public_groups()
     return dict(_QUERIES)
 
 

@@ -24,7 +24,7 @@ def duck():
     return con
 
 
-@pytest.mark.parametrize("name", ["state_fm", "state_bottomk", "state_adaptive", "stored_states_converted", "documents_labelled", "documents_unlabelled", "text_overlap_diagnostic", "conversations_per_role", "rounded_vectors_per_label", "plain_linear", "any_hll", "convert_bottomk", "merge_split_union_adaptive", "dup_invariance_fm", "grouped_event_type", "region_segment_customers", "words_per_lang", "rollup_internal", "stream_windows_batch", "baseline_per_bucket", "params_grid", "grouped_day", "nation_suppliers", "cube_internal", "merge_equals_whole", "mle_hll", "mle_fm", "any_registered", "sql_release", "delta_curve", "bayes_linear", "bayes_bottomk", "bayes_thinned"])
+@pytest.mark.parametrize("name", ["state_fm", "state_bottomk", "state_adaptive", "stored_states_converted", "documents_labelled", "documents_unlabelled", "text_overlap_diagnostic", "conversations_per_role", "rounded_vectors_per_label", "plain_linear", "any_hll", "convert_bottomk", "merge_split_union_adaptive", "dup_invariance_fm", "grouped_event_type", "region_segment_customers", "words_per_lang", "rollup_internal", "stream_windows_batch", "baseline_per_bucket", "params_grid", "grouped_day", "nation_suppliers", "cube_internal", "merge_equals_whole", "mle_hll", "mle_fm", "any_registered", "sql_release", "delta_curve", "bayes_linear", "bayes_bottomk", "bayes_thinned", "property_table", "delta_grid_hll", "delta_grid_fm", "delta_grid_bottomk", "delta_grid_adaptive", "plain_linear_thinned", "grouped_public_list", "convert_hll", "convert_fm", "convert_linear", "convert_adaptive"])
 def test_workload_equals_sql(spark, duck, name):
     got = wl.queries()[name](spark, SF)
     cols = sorted(got.columns)
@@ -187,6 +187,57 @@ def test_ledger_refuses_a_second_output():
     assert ledger.claim(key.derive("orders"), "orders").secret not in str(ledger.entries)
 
 
+def test_releases_spend_keys_and_eps(spark):
+    spec, budget, df = wl.SPECS["hll"], pv.Budget(1.0), spark.range(500)
+    ledger, key = rl.KeyLedger(eps_limit=2.5), SketchKey("spent")
+    for _ in range(2):  # the same output again is no second release
+        rl.release_any(df, ["id"], spec, budget, key, ledger=ledger)
+    with pytest.raises(ValueError, match="spent on"):
+        rl.release_any(df.where("id > 3"), ["id"], spec, budget, key, ledger=ledger)
+    rl.release_any(df.where("id > 3"), ["id"], spec, budget, key.derive("b"), ledger=ledger)
+    with pytest.raises(ValueError, match="limit"):
+        rl.release_any(df.where("id > 4"), ["id"], spec, budget, key.derive("c"), ledger=ledger)
+    assert ledger.spent == 2.0 and key.secret not in str(ledger.entries)
+    with pytest.raises(ValueError, match="delta"):
+        rl.release_plain(df, ["id"], spec, pv.Budget(EPS, n_floor=400), SketchKey("p"))
+    with pytest.raises(ValueError, match="delta"):
+        rl.release_plain(df, ["id"], spec, pv.Budget(EPS, delta=0.1), SketchKey("p"))
+
+
+def test_stored_values_do_not_tell_the_native_seeds(spark):
+    from private_distinct.functions import hashing
+
+    key, spec = SketchKey("native secret", "native"), wl.SPECS["hll"]
+    seen = str(sk.pack_state(sk.build_state(spark.range(100), ["id"], spec, key), spec, key).collect()) + str(rl.KeyLedger().claim(key, "x").key_id)
+    assert all(str(s) not in seen for s in key.seeds) and len(set(key.seeds)) == 2
+    assert not {int(key.key_id, 16) % (1 << 62) + i for i in (0, 1)} & set(key.seeds)
+    assert key.seeds != SketchKey("other", "native").seeds and len(set(key.seeds) | set(key.derive("y").seeds)) == 4
+    plain, before = SketchKey("visible-secret"), spark.conf.get("spark.sql.redaction.string.regex", None)
+    hashing.redact(spark, plain, key)
+    for k in (plain, key):
+        text = sk.build_state(spark.range(100), ["id"], spec, k)._sc._jvm.PythonSQLUtils.explainString(sk.build_state(spark.range(100), ["id"], spec, k)._jdf.queryExecution(), "extended")
+        assert k.secret not in text and all(str(s) not in text for s in k.seeds)
+    spark.conf.unset("spark.sql.redaction.string.regex") if before is None else spark.conf.set("spark.sql.redaction.string.regex", before)
+
+
+def test_linear_counting_with_a_rate(spark):
+    assert pv.linear_floor(128, EPS)[0] == 64 and pv.linear_floor(128, EPS)[1] == pytest.approx(88.2, abs=0.2)
+    for rate in (0.6, 1.0):
+        spec = pv.SketchSpec("linear", 64, rate=rate)
+        for n in (150, 200, 300):
+            exact = pv.delta(spec, n, EPS)
+            assert exact <= math.exp(pv.ln_delta_bound(spec, n, EPS)) + 1e-12
+    thin = pv.SketchSpec("linear", 64, rate=0.3)
+    assert pv.delta(thin, 200, EPS) == 0 and pv.delta(thin, 100, EPS) == 1
+    est = [sk.estimate_state(sk.build_state(spark.range(300), ["id"], thin, SketchKey(f"r{i}")), thin).first() for i in range(12)]
+    assert abs(sum(r.base_estimate for r in est) / 12 - 300) < 4 * 300 * thin.rel_std_error(300) / 12**0.5
+    assert all(r.pi <= 0.3 for r in est)
+    with pytest.raises(ValueError):
+        pv.SketchSpec("hll", 64, rate=0.5)
+    with pytest.raises(ValueError):
+        rl.release_any(spark.range(9), ["id"], thin, pv.Budget(EPS), SketchKey("s"))
+
+
 def test_registered_sketch(spark):
     spec = pv.SketchSpec("binmin", 64)
     df, key = spark.range(5000), SketchKey("s")
