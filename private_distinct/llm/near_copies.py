@@ -30,7 +30,7 @@ from .simhash import ball_edges, majority
 
 WORDS, SIMILARITY, SAMPLE, COMMON = 5, 0.8, 8192, 1 << 19
 REACH = (4, 32, None)  # the last round compares all that is left
-_POSTING = np.dtype([("shingle", "<u8"), ("cls", "<i8"), ("root", "<i8"), ("size", "<u4"), ("place", "<u4")])
+_POSTING = np.dtype([("shingle", "<u8"), ("cls", "<i8"), ("root", "<i8"), ("size", "<u4"), ("place", "<u4"), ("before", "<u8")])
 
 
 def shingles(text: str | None, words: int = WORDS) -> np.ndarray:
@@ -125,10 +125,12 @@ def signed(docs: DataFrame, text: str, words: int, similarity: float) -> DataFra
     return rows.mapInArrow(run, "rk long, th long, cls long, size int, fp long, tally binary, prefix binary")
 
 
-def meeting(rows: np.ndarray, similarity: float, reach: int | None) -> np.ndarray:
+def meeting(rows: np.ndarray, similarity: float, after: int, reach: int | None) -> np.ndarray:
     """Pairs of classes, as rows (a, b), that share a shingle of their prefixes, may be similar and have different roots.
 
     ``reach``: each with so many next larger ones of its shingle only, so no more pairs than rows times that.
+    ``after``: the reach of the round before, whose pairs were compared; a shingle's rows are the same in all rounds.
+    Two classes meet at the first shingle of each run of shared ones only, so seldom in many tasks.
     """
     rows = rows[np.lexsort((rows["cls"], rows["size"], rows["shingle"]))]
     first = np.flatnonzero(np.r_[True, rows["shingle"][1:] != rows["shingle"][:-1]])
@@ -137,7 +139,7 @@ def meeting(rows: np.ndarray, similarity: float, reach: int | None) -> np.ndarra
     rows = rows[np.repeat(mixed, n)]  # shingles of one component have nothing to add
     key, cls, root = rows["shingle"], rows["cls"], rows["root"]
     size, place = rows["size"].astype(np.int64), rows["place"].astype(np.int64)
-    same, d, found, held = np.arange(len(rows)), 1, [np.empty((0, 2), np.int64)], 0
+    same, d, found, held = np.arange(len(rows)), after + 1, [np.empty((0, 2), np.int64)], 0
     while True:
         same = same[same + d < len(rows)]
         same = same[(key[same] == key[same + d]) & (size[same] >= similarity * size[same + d] - 1e-9)]  # sizes rise
@@ -145,7 +147,8 @@ def meeting(rows: np.ndarray, similarity: float, reach: int | None) -> np.ndarra
             break
         i, j = same, same + d
         left = np.minimum(size[i] - place[i], size[j] - place[j])  # no more are shared if this is the first one
-        ok = (root[i] != root[j]) & (left >= least_overlap(size[i], size[j], similarity))
+        run = (place[i] > 0) & (place[j] > 0) & (rows["before"][i] == rows["before"][j])  # they meet at that one
+        ok = (root[i] != root[j]) & ~run & (left >= least_overlap(size[i], size[j], similarity))
         i, j = i[ok], j[ok]
         found.append(np.stack([np.minimum(cls[i], cls[j]), np.maximum(cls[i], cls[j])], 1))
         held += len(i)
@@ -176,7 +179,7 @@ def repeated_shingles(classes: DataFrame) -> list:
     return repeats.filters(classes.select("prefix").mapInArrow(keys, repeats.SCHEMA), many, "copy-shingles")
 
 
-def candidates(classes: DataFrame, known: list, similarity: float, reach: int | None) -> DataFrame:
+def candidates(classes: DataFrame, known: list, similarity: float, after: int, reach: int | None) -> DataFrame:
     """Distinct pairs (a, b) of ``classes`` (cls, root, size, prefix) with different roots that may be similar."""
     n = partitions(classes.sparkSession)
 
@@ -201,6 +204,7 @@ def candidates(classes: DataFrame, known: list, similarity: float, reach: int |
                     if len(h):
                         rows = np.empty(len(h), _POSTING)
                         rows["shingle"], rows["cls"], rows["root"], rows["size"], rows["place"] = h, cls, root, length, np.arange(len(h))
+                        rows["before"] = np.roll(h, 1)
                         held.append(rows)
                         size += rows.nbytes
                     if size > 32 << 20:
@@ -217,7 +221,7 @@ def candidates(classes: DataFrame, known: list, similarity: float, reach: int |
             for p, x in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                 by_part.setdefault(p, []).append(x)
         for x in by_part.values():
-            pairs = meeting(np.frombuffer(b"".join(x), _POSTING), similarity, reach)
+            pairs = meeting(np.frombuffer(b"".join(x), _POSTING), similarity, after, reach)
             x.clear()
             for i in range(0, len(pairs), 1 << 16):
                 yield pa.RecordBatch.from_arrays([pa.array(pairs[i : i + (1 << 16), 0]), pa.array(pairs[i : i + (1 << 16), 1])], names=["a", "b"])
@@ -312,9 +316,9 @@ def groups(docs: DataFrame, text: str = "text", words: int = WORDS, similarity:
     discard(by_print)
     roots = connected_components(found, "copies")
     known = repeated_shingles(classes)
-    for reach in REACH:  # near ones by size first: they link most of a group, and so leave few pairs
+    for after, reach in zip((0, *REACH), REACH, strict=False):  # near ones by size first: they link most of a group, and so leave few pairs
         rooted = classes.join(roots, classes.cls == roots.node, "left").select(classes.cls, "size", "prefix", F.coalesce("root", "cls").alias("root"))
-        more = links(candidates(rooted, known, similarity, reach), classes, docs, text, words, similarity)
+        more = links(candidates(rooted, known, similarity, after, reach), classes, docs, text, words, similarity)
         discard(roots)
         found = found.union(more)
         roots = connected_components(found, "copies")

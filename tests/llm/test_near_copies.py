@@ -45,3 +45,31 @@ def test_stage_drops_all_near_copies(spark):
     want = plain([r for r in docs.collect() if r.doc_id is not None])
     assert Counter(r.doc_id for r in kept.collect()) == want + Counter([None])
     assert stage(spark, docs.limit(0), "").count() == 0
+
+
+def test_rounds_meet_every_pair_that_shares_a_prefix_once_it_is_due():
+    import numpy as np
+
+    from private_distinct.llm import near_copies as nc
+
+    rng = np.random.default_rng(5)
+    prefixes = [np.unique(rng.integers(1, 60, 12)).astype(np.uint64) for _ in range(150)]  # one order of all shingles
+    rows = np.zeros(sum(map(len, prefixes)), nc._POSTING)
+    at = 0
+    for c, h in enumerate(prefixes):
+        mine = rows[at : at + len(h)]
+        mine["shingle"], mine["cls"], mine["root"], mine["size"] = h, c, c, 40 + c % 5
+        mine["place"], mine["before"] = np.arange(len(h)), np.roll(h, 1)
+        at += len(h)
+    want = set()
+    for i, a in enumerate(prefixes):
+        for j in range(i):
+            shared = np.intersect1d(a, prefixes[j])
+            x, y = sorted((40 + i % 5, 40 + j % 5))
+            if len(shared) and x >= 0.8 * y:
+                first = shared[0]
+                left = min(40 + i % 5 - np.searchsorted(a, first), 40 + j % 5 - np.searchsorted(prefixes[j], first))
+                if left >= nc.least_overlap(np.array([x]), np.array([y]), 0.8)[0]:
+                    want.add((j, i))
+    met = [set(map(tuple, nc.meeting(rows, 0.8, a, r).tolist())) for a, r in zip((0, *nc.REACH), nc.REACH, strict=False)]
+    assert all(met) and want <= set().union(*met)
