@@ -21,7 +21,7 @@ from ..operators import baselines as bl
 from ..operators import release as rl
 from ..operators import sketches as sk
 from ..sources.tables import table
-from ..streaming.windows import stream_states
+from ..streaming.windows import release_windows, stream_states
 from . import experiments as ex
 
 EPS = math.log(2)
@@ -487,6 +487,23 @@ def _public_groups() -> None:
     _add("grouped_public_list", query, _release(spec, hashes, bound, v, 0.0, "o_orderpriority, "))
 
 
+def _private_stream() -> None:
+    """Private windows of a stream, over a table: the public list has a day without events, which has its phantoms only."""
+    spec, thin, bound, key = SPECS["hll"], pv.threshold(EPS), pv.pi0(EPS), public_key("private-stream")
+    v = math.ceil(pv.min_cardinality(spec.k_max, EPS))
+    days = "(select unnest(generate_series(timestamp '2024-01-01', timestamp '2024-02-01', interval 1 day)) as window_start)"
+    source = f"(select date_trunc('day', ts)::timestamp as window_start, user_id from events where date_trunc('day', ts) in (select window_start from {days}))"
+    hashes = f"{_hashes(key, source, _tagged('window_start', RAW.format('user_id')), 'window_start, ', thin)} union all {_phantom_hashes(key, v, thin, 'window_start, ', days)}"
+
+    def query(s, d):
+        windows = s.sql("select explode(sequence(timestamp'2024-01-01', timestamp'2024-02-01', interval 1 day)) as window_start")
+        states = stream_states(table(s, d, "events"), "ts", ["user_id"], spec, key, keep_below=thin)
+        out = release_windows(states, windows, spec, budget(), key)
+        return _rounded(out.withColumn("window_start", F.col("window_start").cast("timestamp_ntz")))
+
+    _add("stream_private_windows", query, _release(spec, hashes, bound, v, 0.0, "window_start, "))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     if not _QUERIES:
         _sketches()
@@ -499,6 +516,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         _properties()
         _thinned_linear()
         _public_groups()
+        _private_stream()
     return dict(_QUERIES)
 
 

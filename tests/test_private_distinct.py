@@ -24,7 +24,7 @@ def duck():
     return con
 
 
-@pytest.mark.parametrize("name", ["state_fm", "state_bottomk", "state_adaptive", "stored_states_converted", "documents_labelled", "documents_unlabelled", "text_overlap_diagnostic", "conversations_per_role", "rounded_vectors_per_label", "plain_linear", "any_hll", "convert_bottomk", "merge_split_union_adaptive", "dup_invariance_fm", "grouped_event_type", "region_segment_customers", "words_per_lang", "rollup_internal", "stream_windows_batch", "baseline_per_bucket", "params_grid", "grouped_day", "nation_suppliers", "cube_internal", "merge_equals_whole", "mle_hll", "mle_fm", "any_registered", "sql_release", "delta_curve", "bayes_linear", "bayes_bottomk", "bayes_thinned", "property_table", "delta_grid_hll", "delta_grid_fm", "delta_grid_bottomk", "delta_grid_adaptive", "plain_linear_thinned", "grouped_public_list", "convert_hll", "convert_fm", "convert_linear", "convert_adaptive"])
+@pytest.mark.parametrize("name", ["state_fm", "state_bottomk", "state_adaptive", "stored_states_converted", "documents_labelled", "documents_unlabelled", "text_overlap_diagnostic", "conversations_per_role", "rounded_vectors_per_label", "plain_linear", "any_hll", "convert_bottomk", "merge_split_union_adaptive", "dup_invariance_fm", "grouped_event_type", "region_segment_customers", "words_per_lang", "rollup_internal", "stream_windows_batch", "stream_private_windows", "baseline_per_bucket", "params_grid", "grouped_day", "nation_suppliers", "cube_internal", "merge_equals_whole", "mle_hll", "mle_fm", "any_registered", "sql_release", "delta_curve", "bayes_linear", "bayes_bottomk", "bayes_thinned", "property_table", "delta_grid_hll", "delta_grid_fm", "delta_grid_bottomk", "delta_grid_adaptive", "plain_linear_thinned", "grouped_public_list", "convert_hll", "convert_fm", "convert_linear", "convert_adaptive"])
 def test_workload_equals_sql(spark, duck, name):
     got = wl.queries()[name](spark, SF)
     cols = sorted(got.columns)
@@ -120,6 +120,33 @@ def test_stream_equals_table(spark, tmp_path):
     assert got.count() == want.count() and got.exceptAll(want).count() == 0
 
 
+def test_private_stream_ignores_replays_and_late_rows(spark, tmp_path):
+    from private_distinct.streaming.windows import release_windows, stream_states
+
+    events = spark.read.parquet(f"{SF}/events.parquet")
+    src = str(tmp_path / "in")
+    events.union(events.limit(300)).write.parquet(src)  # rows given again
+    odd = "event_id long, user_id long, day string"
+    at = lambda user, day: spark.createDataFrame([(-1, user, day)], odd).selectExpr("event_id", "user_id", "cast(day as timestamp_ntz) as ts", "'' as event_type", "0D as value", "'' as props").write.mode("append").parquet(src)
+    at(-1, "2031-01-01")  # moves the watermark past all windows
+    spec, key, budget = wl.SPECS["hll"], SketchKey("s"), wl.budget()
+    thin = pv.threshold(budget.eps)
+    start = lambda: stream_states(spark.readStream.schema(events.schema).parquet(src), "ts", ["user_id"], spec, key, keep_below=thin).writeStream.outputMode("append").format("parquet").option("path", str(tmp_path / "out")).option("checkpointLocation", str(tmp_path / "cp")).start()
+    for user in (None, 10**9, 10**9 + 1):  # stopped and taken up again, with rows that are late by years
+        if user:
+            at(user, "2024-01-05")
+        q = start()
+        q.processAllAvailable()
+        q.stop()
+    windows = spark.sql("select explode(sequence(timestamp'2024-01-01', timestamp'2024-02-01', interval 1 day)) as window_start")
+    ledger = rl.KeyLedger()
+    got = release_windows(spark.read.parquet(str(tmp_path / "out")), windows, spec, budget, key, ledger=ledger)
+    want = release_windows(stream_states(events, "ts", ["user_id"], spec, key, keep_below=thin), windows, spec, budget, key)
+    assert sorted(got.collect()) == sorted(want.collect()) and want.count() == 32
+    with pytest.raises(ValueError):
+        ledger.claim(key, "another output")
+
+
 def test_plans_stay_native(spark):
     df = spark.read.parquet(f"{SF}/lineitem.parquet")
     for kind in ("hll", "linear", "fm"):
