@@ -19,11 +19,27 @@ import zlib
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bpe import ByteBPE
-from .common import materialise, numbered
+from .common import give_back_memory, materialise, numbered, small_batches
+
+SLICE_BYTES, BATCH_ROWS = 1 << 22, 1000
+
+
+def text_slices(column: pa.Array, step: int = SLICE_BYTES):
+    """Texts of neighbouring rows, about ``step`` bytes together; a longer one stands alone."""
+    size = pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False).tolist()
+    i = 0
+    while i < len(size):
+        j, total = i + 1, size[i]
+        while j < len(size) and total + size[j] <= step:
+            total += size[j]
+            j += 1
+        yield column.slice(i, j - i).to_pylist()
+        i = j
 
 
 def _room(counts: np.ndarray) -> np.ndarray:
@@ -105,10 +121,11 @@ def encode_pieces(docs: DataFrame, ranks: dict[bytes, int], pattern: str, capaci
             yield np.concatenate([*found, np.array([end_id], np.uint32)]).astype("<u4")
 
     def run(batches):
+        give_back_memory()
         bpe = bpe_on_workers.value
         for b in batches:
             row, piece, start, length, crc, kept = [], [], [], [], [], []
-            for i, ids in enumerate(ids_of_rows(bpe, b.column(1).to_pylist())):
+            for i, ids in enumerate(x for texts in text_slices(b.column(1)) for x in ids_of_rows(bpe, texts)):
                 at, size, k = 0, len(ids) % capacity or capacity, 0
                 while at < len(ids):
                     row.append(i)
@@ -134,7 +151,8 @@ def special_tokens(path: str) -> dict[str, int]:
 
 def pack(pieces: DataFrame, capacity: int = 2048, order: tuple[str, ...] = ("doc_id", "piece")) -> DataFrame:
     """Adds sequence_id and offset to pieces with a ``length`` column from 1 to ``capacity``."""
-    pieces = materialise(pieces, "pieces")
+    with small_batches(pieces.sparkSession, BATCH_ROWS):
+        pieces = materialise(pieces, "pieces")
     histogram = {r[0]: r[1] for r in pieces.groupBy("length").agg(F.count(F.lit(1))).collect()}  # at most `capacity` rows
     table = pieces.sparkSession.sparkContext.broadcast(places(plan(histogram, capacity)))
     ranked = numbered(pieces, ["length"], list(order), "_number")

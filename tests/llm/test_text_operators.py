@@ -93,6 +93,28 @@ def test_packing(spark, docs):
     assert len(bins) <= math.ceil(sum(r["length"] for r in got) / 2048) * 1.02 + 1
 
 
+def test_packing_takes_bounded_memory(spark, monkeypatch):
+    import pyarrow as pa
+
+    from private_distinct.llm import bpe, common, packing
+
+    texts = ["é" * 300, None, "", "a" * 5000, *["b" * 400] * 9]
+    got = list(packing.text_slices(pa.array(texts), 1000))
+    assert [t for part in got for t in part] == texts and max(len(part) for part in got if part != texts[:3]) == 2
+    assert all(len(part) == 1 or sum(len((t or "").encode()) for t in part) <= 1000 for part in got)
+    coder = bpe.ByteBPE(bpe.read_ranks(P.path("byte_bpe_50k.tiktoken")), P.PATTERN, lockstep=True)
+    words, sizes, whole = [b"q%dz%d" % (i, i * i) for i in range(20000)], [], coder.merge_lockstep
+    monkeypatch.setattr(coder, "merge_lockstep", lambda pieces: sizes.append(len(pieces)) or whole(pieces))
+    monkeypatch.setattr(bpe, "LOCKSTEP_PIECES", 3000)
+    ids = coder.encode_pieces(words)
+    assert max(sizes) <= 3000 and ids[::97] == [coder.merge_heap(w) for w in words[::97]]
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(name)
+    with common.small_batches(spark, 7):
+        assert spark.range(30, numPartitions=1).mapInArrow(lambda bs: bs, "id long").count() == 30 and spark.conf.get(name) == "7"
+    assert spark.conf.get(name) == before
+
+
 def test_replacement_fits_more_tightly():
     from private_distinct.llm.packing import plan
 
