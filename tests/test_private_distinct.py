@@ -320,6 +320,47 @@ def test_audit_bounds(spark):
     assert sum(r.p_with for r in plain) == pytest.approx(1)
 
 
+@pytest.fixture(scope="module")
+def few(spark, tmp_path_factory):
+    """A folder of small tables with nulls and repeats."""
+    d = str(tmp_path_factory.mktemp("few"))
+    lines = [(1, 1), (1, 2), (1, 2), (2, 1), (2, 3), (3, 7), (None, 1), (None, 2), (None, 3), (4, None)]
+    spark.createDataFrame(lines, "l_orderkey long, l_partkey long").selectExpr("*", "l_partkey as l_suppkey", "if(l_orderkey = 2, 'A', 'B') as l_returnflag").write.parquet(f"{d}/lineitem.parquet")
+    orders = [(i, 1995 + (i >= 1000)) for i in range(3000)] * 2 + [(7, 1995), (None, 1995)]
+    spark.createDataFrame(orders, "o_custkey long, year int").selectExpr("o_custkey", "make_timestamp_ntz(year, 3, 4, 5, 6, 7) as o_orderdate").union(spark.sql("select 9999L, cast(null as timestamp_ntz)")).write.parquet(f"{d}/orders.parquet")
+    return d
+
+
+@pytest.mark.parametrize("name", ["bayes_bottomk"])
+def test_audit_reads_the_table(spark, few, name):
+    """Two groups of two items, one of one, one (of a null key) of three; every size's chances sum to one."""
+    import duckdb
+
+    got = wl.queries()[name](spark, few).collect()
+    assert {(r.n, r.n_groups) for r in got} == {(1, 1), (2, 2), (3, 1)}
+    for n in (1, 2, 3):
+        for p in ("p_with", "p_without"):
+            assert sum(r[p] for r in got if r.n == n) == pytest.approx(1, abs=1e-4)
+    con = duckdb.connect()
+    con.execute(f"create view lineitem as select * from '{few}/lineitem.parquet/*.parquet'")
+    r = con.execute(wl.oracle_sql()[name])
+    at = [[x[0] for x in r.description].index(c) for c in got[0].asDict()]
+    assert sorted(map(repr, (tuple(x[i] for i in at) for x in r.fetchall()))) == sorted(repr(tuple(x)) for x in got)
+
+
+def test_audit_by_binary_digits(spark):
+    """Chances of large groups equal those item by item; no group gives no row."""
+    from private_distinct.operators import audit
+
+    for kind, k, levels in (("bottomk", 2, 6), ("linear", 3, 0)):
+        got = {(r.n, r.state): r.p for r in audit.chances_of_sizes(spark, kind, k, levels, [0, 1, 6, 13]).collect()}
+        for n in (0, 1, 6):
+            want = {r.state: r.p for r in audit.state_chances(spark, kind, k, levels, n).collect()}
+            assert {s: p for (m, s), p in got.items() if m == n} == pytest.approx(want)
+    none = spark.createDataFrame([], "g long, x long")
+    assert audit.bayes_factors_of_groups(none, "g", "x", "hll", 2, 3).count() == 0
+
+
 def test_thresholds_and_violations(spark):
     from private_distinct.plans import experiments as ex
 
