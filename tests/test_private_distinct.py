@@ -331,7 +331,7 @@ def few(spark, tmp_path_factory):
     return d
 
 
-@pytest.mark.parametrize("name", ["bayes_bottomk", "bayes_fm", "bayes_hll", "bayes_linear"])
+@pytest.mark.parametrize("name", ["bayes_bottomk", "bayes_fm", "bayes_hll", "bayes_linear", "bayes_thinned"])
 def test_audit_reads_the_table(spark, few, name):
     """Two groups of two items, one of one, one (of a null key) of three; every size's chances sum to one."""
     import duckdb
