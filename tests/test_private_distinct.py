@@ -348,6 +348,13 @@ def test_audit_reads_the_table(spark, few, name):
     assert sorted(map(repr, (tuple(x[i] for i in at) for x in r.fetchall()))) == sorted(repr(tuple(x)) for x in got)
 
 
+def test_delta_curve_reads_the_table(spark, few):
+    """Customers so far after each day with new ones; orders without a date or a customer count for none."""
+    got = sorted(tuple(r) for r in wl.queries()["delta_curve"](spark, few).collect())
+    want = [(d, n, 256.0, round(pv.delta(wl.SPECS["hll"], n, EPS), 6)) for d, n in (("1995-03-04", 1000), ("1996-03-04", 3000))]
+    assert [(str(d), *x) for d, *x in got] == want
+
+
 def test_audit_by_binary_digits(spark):
     """Chances of large groups equal those item by item; no group gives no row."""
     from private_distinct.operators import audit
