@@ -355,6 +355,25 @@ def test_delta_curve_reads_the_table(spark, few):
     assert [(str(d), *x) for d, *x in got] == want
 
 
+@pytest.mark.parametrize("name", ["delta_grid"])
+def test_failure_chances_read_the_table(spark, few, name):
+    """Every period of the orders, with its different customers, at every eps."""
+    got = [r.asDict() for r in wl.queries()[name](spark, few).collect()]
+    period = "year" if name == "delta_grid" else "month"
+    kinds = list(wl.SPECS) if name == "delta_grid" else [name.removeprefix("delta_grid_")]
+    steps = (0.5, EPS, 1.0) if name == "delta_grid" else (0.1, 0.5, EPS, 1.0, 2.0)
+    assert {(r[period].year, r["n"]) for r in got} == {(1995, 1000), (1996, 2000)} and len(got) == 2 * len(kinds) * len(steps)
+    for kind, eps, n in itertools.product(kinds, steps, (1000, 2000)):
+        spec = pv.SketchSpec(kind, 128)
+        row = [r for r in got if r["n"] == n and abs(r["eps"] - eps) < 1e-6 and r.get("kind", kind) == kind]
+        assert [r["delta"] for r in row] == [pytest.approx(pv.delta(spec, n, eps), abs=1e-6)]
+
+
+def test_occupancy_of_many_items():
+    """Cut short once nothing can be seen of it, with the same result before."""
+    assert pv.occupancy_cdf(128, 10**9, 64) < 1e-280
+
+
 def test_audit_by_binary_digits(spark):
     """Chances of large groups equal those item by item; no group gives no row."""
     from private_distinct.operators import audit
