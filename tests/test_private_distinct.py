@@ -355,7 +355,7 @@ def test_delta_curve_reads_the_table(spark, few):
     assert [(str(d), *x) for d, *x in got] == want
 
 
-@pytest.mark.parametrize("name", ["delta_grid", "delta_grid_adaptive", "delta_grid_bottomk", "delta_grid_fm"])
+@pytest.mark.parametrize("name", ["delta_grid", "delta_grid_adaptive", "delta_grid_bottomk", "delta_grid_fm", "delta_grid_hll"])
 def test_failure_chances_read_the_table(spark, few, name):
     """Every period of the orders, with its different customers, at every eps."""
     got = [r.asDict() for r in wl.queries()[name](spark, few).collect()]
