@@ -374,6 +374,16 @@ def test_occupancy_of_many_items():
     assert pv.occupancy_cdf(128, 10**9, 64) < 1e-280
 
 
+def test_moments_read_the_table(spark, few):
+    from private_distinct.plans import experiments as ex
+
+    got = {r.l_returnflag: r for r in wl.queries()["experiment_bias_variance"](spark, few).collect()}
+    assert {f: (r.n, r.trials) for f, r in got.items()} == {"A": (2, 200), "B": (4, 200)}
+    many = spark.range(4500).selectExpr("if(id < 3000, 'a', null) as g", "id % 1500 as x")
+    for r in ex.group_moments(many, "x", ("g",), pv.SketchSpec("bottomk", 64), 100, SketchKey("g", "native"), EPS).collect():
+        assert r.n == 1500 and abs(r.z) < 4 and r.variance < 2 * r.variance_bound and r.variance_ratio < 2.5
+
+
 def test_audit_by_binary_digits(spark):
     """Chances of large groups equal those item by item; no group gives no row."""
     from private_distinct.operators import audit
