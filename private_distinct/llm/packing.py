@@ -106,7 +106,7 @@ def encode_pieces(docs: DataFrame, ranks: dict[bytes, int], pattern: str, capaci
 
     ``special``: strings that are one id wherever they stand in a text, as a tokenizer has them by default.
     """
-    bpe_on_workers = docs.sparkSession.sparkContext.broadcast(ByteBPE(ranks, pattern, strings=False, lockstep=True))
+    bpe_on_workers = docs.sparkSession.sparkContext.broadcast(ByteBPE(ranks, pattern, lockstep=True))
     kind = docs.select(key).schema[0].dataType.simpleString()
     schema = f"`{key}` {kind}, piece int, start long, length long, ids_crc32 long" + (", ids array<int>" if keep_ids else "")
     special = special or {}
@@ -116,10 +116,10 @@ def encode_pieces(docs: DataFrame, ranks: dict[bytes, int], pattern: str, capaci
         """Ids of each text, the end included."""
         parts = [finder.split(t) if t and any(x in t for x in special) else [t] for t in texts]
         encoded = bpe.encode_all([None if p in special else p for ps in parts for p in ps])
+        end = np.array([end_id], np.uint32)
         for ps in parts:
-            found = [np.array([special[p]], np.uint32) if p in special else bpe.ids_of(chunks) for p, chunks in zip(ps, encoded, strict=False)]
-            yield np.concatenate([*found, np.array([end_id], np.uint32)]).astype("<u4")
-
+            found = [np.array([special[p]], np.uint32) if p in special else ids for p, ids in zip(ps, encoded, strict=False)]
+            yield np.concatenate([*found, end])
     def run(batches):
         give_back_memory()
         bpe = bpe_on_workers.value

@@ -115,6 +115,29 @@ def test_packing_takes_bounded_memory(spark, monkeypatch):
     assert spark.conf.get(name) == before
 
 
+def test_slices_of_texts_share_what_is_known(monkeypatch):
+    from private_distinct.llm import bpe
+
+    ranks = bpe.read_ranks(P.path("byte_bpe_multi_50k.tiktoken"))
+    lib = tiktoken.Encoding("own", pat_str=P.PATTERN, mergeable_ranks=ranks, special_tokens={})
+    odd = [None, "", " ", "  ", "a ", " a", "a  b c", "x\u00a0 \u00a0y z.", "n \u3000z", "\u00bf a \u00bfno?", "a.\nB c's it's", "1 22,3 \x1f4", "e\u0301 . ,", "tail \n", "\n \n", "z. z, z; Z"]
+    texts = [*odd, "".join(t or "" for t in odd), *[f"{t} {t}. {t}" for t in odd]]
+    for lockstep in (False, True):
+        coder = bpe.ByteBPE(ranks, P.PATTERN, lockstep=lockstep)
+        for size in (1 << 21, 1):  # one slice, then a slice for each text; in between all is known, then again nothing is
+            monkeypatch.setattr(bpe, "SLICE_CHARS", size)
+            assert [ids.tolist() for ids in coder.encode_all(texts)] == [lib.encode_ordinary(t or "") for t in texts]
+        monkeypatch.setattr(bpe, "MEMO_PIECES", 3)
+        assert [ids.tolist() for ids in coder.encode_all(texts)] == [lib.encode_ordinary(t or "") for t in texts]
+        monkeypatch.undo()
+    coder = bpe.ByteBPE(ranks, P.PATTERN)
+    merged, whole = [], coder.merge_heap
+    monkeypatch.setattr(coder, "merge_heap", lambda piece: merged.append(piece) or whole(piece))
+    for text in ("a zqracoiexyz b", "a zqracoiexyz. c", "zqracoiexyz, zqracoiexyz,\nzqracoiexyz"):
+        coder.encode(text)
+    assert merged == [b" zqracoiexyz", b"zqracoiexyz"]  # not once for each chunk that holds it
+
+
 def test_replacement_fits_more_tightly():
     from private_distinct.llm.packing import plan
 
