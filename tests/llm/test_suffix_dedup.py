@@ -92,3 +92,24 @@ def test_removal(spark):
     keyed = docs.select(F.coalesce("doc_id", F.lit(suffix_dedup.LAST)).alias("did"), F.shiftright(F.xxhash64(F.col("text").cast("binary")), 32).alias("dh"), F.coalesce("text", F.lit("")).cast("binary").alias("body"))
     covered = lambda df: {(r.did, r.dh): suffix_dedup.cut(b"x" * 10**6, r.gone)[1:] for r in df.collect()}
     assert covered(suffix_dedup.repeated_ranges(keyed, 50, 1 << 14, 500, 1 << 16)) == covered(suffix_dedup.repeated_ranges(keyed))
+
+
+def test_ranges_and_blocks(spark):
+    """Removed ranges equal a mark for each byte; texts are hashed in blocks that fit a core's cache, with the same ranges."""
+    from private_distinct.llm import suffix_dedup
+
+    rng = random.Random(8)
+    for _ in range(200):
+        body = bytes(rng.choice(b"ab") for _ in range(rng.randrange(60)))
+        gone = [{"s": a, "e": rng.randint(a, len(body))} for a in (rng.randint(0, len(body)) for _ in range(rng.randrange(6)))]
+        gone = [g for g in gone if g["s"] < g["e"]]
+        away = [any(g["s"] <= i < g["e"] for g in gone) for i in range(len(body))]
+        runs = sum(x and not y for x, y in zip(away, [False, *away]))
+        want = bytes(c for c, x in zip(body, away) if not x), sum(away), runs
+        assert suffix_dedup.cut(body, gone) == want
+        assert suffix_dedup.without(body, np.array([g["s"] for g in gone], np.int32), np.array([g["e"] for g in gone], np.int32)) == want
+    texts = ["".join(rng.choice("ab ") for _ in range(400)) for _ in range(30)]
+    docs = spark.createDataFrame([(i, texts[i % 30][i % 7 :]) for i in range(90)] + [(90, None), (91, "")], "doc_id long, text string").cache()
+    whole = sorted(suffix_dedup.remove(docs, ["doc_id"]).collect())
+    assert suffix_dedup.HASHED * 8 <= 1 << 20
+    assert whole[0].n_removed == 0 and whole[60].n_removed > 300 and whole[90].n_bytes == 0
