@@ -255,7 +255,7 @@ def repeated_ranges(docs: DataFrame, length: int = 50, shard_bytes: int = SHARD_
             h, part, did, sizes = (np.concatenate([x[i] for x in held]) for i in range(4))
             raw = np.concatenate([x[4] for x in held])
             held.clear()
-            codec = pa.Codec("zstd", 1)
+            codec = pa.Codec("zstd", 6)
             order = np.lexsort((did, h))
             order = order[np.r_[True, h[order][1:] != h[order][:-1]]]  # each content once, with its least id
             order = order[np.argsort(part[order], kind="stable")]
@@ -303,7 +303,7 @@ def repeated_ranges(docs: DataFrame, length: int = 50, shard_bytes: int = SHARD_
     found = materialise(emitted, "segments")
 
     def resolve(batches):
-        codec = pa.Codec("zstd", 1)
+        codec = pa.Codec("zstd", 6)
         folder = scratch_folder()
 
         def finished(shard):
